@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from relgraph.llm import linededup, media, packing, simhash, suffix
+from relgraph.llm import linededup, media, packing, quality, simhash, suffix, toxicity
 from relgraph.llm.common import table
 
 #: File of the word vocabulary; None asks the installed package of public tokenizers for its place.
@@ -39,8 +39,16 @@ def op8_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffix.repeats(table(spark, sf_dir, "documents"))
 
 
+def op4_toxicity_fm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.toxicity(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
+def op10_quality_cnn(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.quality(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_gif_media, op3_best_fit_packing, op5_simhash_near_dedup, op6_line_dedup, op8_suffix_dedup)}
+    return {f.__name__: f for f in (op1_gif_media, op3_best_fit_packing, op5_simhash_near_dedup, op6_line_dedup, op8_suffix_dedup, op4_toxicity_fm, op10_quality_cnn)}
 
 
 def oracle_sql() -> dict[str, str]:
