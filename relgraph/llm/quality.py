@@ -90,8 +90,9 @@ class Network:
         return 1 / (1 + np.exp(-np.clip(z.astype(float), -30, 30)))
 
 
-def train(docs: list[bytes], labels: np.ndarray, epochs: int = 12, batch: int = 64, rate: float = 0.01, seed: int = 11) -> Network:
-    """Logistic loss by Adam; gradients pass through the chunk that gave each filter its largest response."""
+def train(docs: list[bytes], labels: np.ndarray, epochs: int = 12, steps: int = 500, batch: int = 64, rate: float = 0.01, seed: int = 11) -> Network:
+    """Logistic loss by Adam; gradients pass through the chunk that gave each filter its largest response.
+    A small sample is gone through more often, until `steps` batches are done."""
     rng = np.random.default_rng(seed)
     net = Network(rng.normal(0, 0.5, (256, DIM)), rng.normal(0, 0.25, (CHUNK, DIM + 1, FILTERS)), np.zeros(FILTERS), rng.normal(0, 0.5, FILTERS), 0.0)
     if not len(docs) or labels.min() == labels.max():
@@ -104,6 +105,7 @@ def train(docs: list[bytes], labels: np.ndarray, epochs: int = 12, batch: int =
     first = {n: np.zeros_like(np.asarray(getattr(net, n), float)) for n in names}
     second = {n: np.zeros_like(first[n]) for n in names}
     step = 0
+    epochs = max(epochs, -(-steps * batch // len(docs)))
     pull = np.where(labels > 0, 0.5 / prior, 0.5 / (1 - prior)) ** 0.5
     for epoch in range(epochs):
         order = rng.permutation(len(docs))

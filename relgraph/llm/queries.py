@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from relgraph.llm import linededup, media, packing, quality, simhash, suffix, toxicity
+from relgraph.llm import embeddings, linededup, media, packing, quality, simhash, suffix, toxicity
 from relgraph.llm.common import table
 
 #: File of the word vocabulary; None asks the installed package of public tokenizers for its place.
@@ -47,8 +47,12 @@ def op10_quality_cnn(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.quality(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
+def op7_embedding_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return embeddings.near_duplicates(table(spark, sf_dir, "embeddings"))
+
+
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_gif_media, op3_best_fit_packing, op5_simhash_near_dedup, op6_line_dedup, op8_suffix_dedup, op4_toxicity_fm, op10_quality_cnn)}
+    return {f.__name__: f for f in (op1_gif_media, op3_best_fit_packing, op5_simhash_near_dedup, op6_line_dedup, op8_suffix_dedup, op4_toxicity_fm, op10_quality_cnn, op7_embedding_near_dedup)}
 
 
 def oracle_sql() -> dict[str, str]:

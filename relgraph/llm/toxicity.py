@@ -83,7 +83,7 @@ class Machine:
         return 1 / (1 + np.exp(-np.clip(self.raw_scores(doc, bucket, texts), -30, 30)))
 
 
-def train(docs: list[np.ndarray], labels: np.ndarray, epochs: int = 8, batch: int = 64, rate: float = 0.5, decay: float = 1e-4, apart: float = 4.0, seed: int = 7) -> Machine:
+def train(docs: list[np.ndarray], labels: np.ndarray, epochs: int = 8, steps: int = 1000, batch: int = 64, rate: float = 0.5, decay: float = 1e-4, apart: float = 3.5, seed: int = 7) -> Machine:
     """Logistic loss, AdaGrad steps over shuffled batches; only terms whose toxic share lies `apart`
     standard deviations from the overall share are used, as the rest would add noise to long texts."""
     rng = np.random.default_rng(seed)
@@ -98,7 +98,7 @@ def train(docs: list[np.ndarray], labels: np.ndarray, epochs: int = 8, batch: in
     factor = rng.normal(0, 0.01, (BUCKETS, FACTORS)) * used[:, None]
     seen_w, seen_f = np.full(BUCKETS, 1e-8), np.full((BUCKETS, FACTORS), 1e-8)
     bias, seen_b = float(np.log(share / (1 - share))), 1e-8
-    for _ in range(epochs):
+    for _ in range(max(epochs, -(-steps * batch // len(docs)))):
         order = rng.permutation(len(docs))
         for at in range(0, len(order), batch):
             own = order[at : at + batch]
