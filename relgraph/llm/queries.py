@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from relgraph.llm import embeddings, linededup, media, packing, quality, secrets, simhash, suffix, toxicity
+from relgraph.llm import embeddings, linededup, media, mixing, packing, quality, secrets, simhash, suffix, toxicity
 from relgraph.llm.common import table
 
 #: File of the word vocabulary; None asks the installed package of public tokenizers for its place.
@@ -55,9 +55,13 @@ def op9_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.secrets(table(spark, sf_dir, "documents"))
 
 
+def op2_hierarchical_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.mix(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_gif_media, op3_best_fit_packing, op5_simhash_near_dedup, op6_line_dedup, op8_suffix_dedup, op4_toxicity_fm, op10_quality_cnn, op7_embedding_near_dedup, op9_secret_scan)}
+    return {f.__name__: f for f in (op1_gif_media, op3_best_fit_packing, op5_simhash_near_dedup, op6_line_dedup, op8_suffix_dedup, op4_toxicity_fm, op10_quality_cnn, op7_embedding_near_dedup, op9_secret_scan, op2_hierarchical_mix)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op2_hierarchical_mix": mixing.mix_sql()}
