@@ -10,8 +10,9 @@ work goes in three passes over units of documents:
    suffixes are merged: named for the whole length, sorted in buckets, and compared with their neighbours.
 3. Bytes under a repeated string are removed.
 
-A fixed length needs no ranks beyond it, so names are 64-bit hashes (with the bucket, 70 bits and more)
-instead of dense ranks, and recursion ends at the length. Units and buckets grow in number with the corpus,
+Exact copies of whole texts are found first: one of each stays in the search, as all of them are repeats.
+A fixed length needs no ranks beyond it, so names are 64-bit hashes instead of dense ranks, and recursion
+ends at the length; among n remaining suffixes some two names collide with a chance of about n^2 / 2^65. Units and buckets grow in number with the corpus,
 not in size. Each unit sends a name once, so a common passage reaches its bucket at most once a unit. Names
 travel packed, and what comes back is a bit for each.
 
@@ -29,7 +30,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from relgraph.llm.common import as_bytes, release, staged, width
+from relgraph.llm.common import as_bytes, staged, texts, width
 
 LENGTH, PERIOD = 200, 73
 UNIT_BYTES, BUCKET_BYTES = 3 << 20, 16 << 20
@@ -59,52 +60,75 @@ def joined_names(a: np.ndarray, b: np.ndarray) -> np.ndarray:
 
 
 class Names:
-    """Names of strings at every position of some bytes, by doubling from 8 bytes up to `top`."""
-
-    def __init__(self, raw: np.ndarray, top: int):
-        self.level = {8: np.ndarray((max(0, len(raw) - 7),), "<u8", raw.tobytes() if len(raw) else b"", strides=(1,)) if len(raw) > 7 else np.zeros(0, np.uint64)}
-        size = 8
-        while 2 * size <= top:
-            x = self.level[size]
-            self.level[2 * size] = joined_names(x[: max(0, len(x) - size)], x[size:])
-            if size > 8:
-                del self.level[size]
-            size *= 2
-        self.top = size
+    """Names of strings at every position of some bytes, by doubling from 8 bytes up to `top`, block by block."""
+
+    def __init__(self, raw: np.ndarray, top: int, block: int = 1 << 14):
+        n = len(raw)
+        view = np.ndarray((n + top,), "<u8", raw.tobytes() + bytes(top + 8), strides=(1,))
+        self.small, self.big, self.top = view[:n], np.empty(n, np.uint64), top
+        for a in range(0, n, block):
+            x, size = view[a : min(a + block, n) + top - 8].copy(), 8
+            while size < top:
+                x = joined_names(x[:-size], x[size:])
+                size *= 2
+            self.big[a : a + block] = x
 
     def of(self, at: np.ndarray, length: int) -> np.ndarray:
-        """Names of `length` bytes from each position; pieces of the largest level, then of 8 bytes, may overlap."""
-        x, big = self.level[self.top], self.top
-        if length < big:
+        """Names of `length` bytes from each position, of the largest pieces and then of 8 bytes; pieces may overlap."""
+        if length < self.top:
             raise ValueError("shorter than the level")
-        out, done = x[at], big
-        while done + big <= length:
-            out = joined_names(out, x[at + done])
-            done += big
-        small = self.level[8]
+        out, done = self.big[at], self.top
+        while done + self.top <= length:
+            out = joined_names(out, self.big[at + done])
+            done += self.top
         while done < length:
             step = min(done, length - 8)
-            out = joined_names(out, small[at + step])
+            out = joined_names(out, self.small[at + step])
             done = step + 8
         return out
 
 
+#: Stands for a null doc_id in keys of copies.
+NO_ID = -(1 << 63)
+
+
+def copy_keys(ids: list, raws: list[bytes]) -> list[bytes]:
+    """doc_id and signed text hash of each document, as the flags of copies name them."""
+    from xxhash import xxh64_intdigest
+
+    signed = lambda h: h - (h >> 63 << 64)
+    return [f"{NO_ID if k is None else k}:{signed(xxh64_intdigest(raw, 42))}".encode() for k, raw in zip(ids, raws, strict=True)]
+
+
 class Unit:
-    """The texts of a unit side by side, in an order that a second run repeats."""
+    """The texts of a unit side by side, in an order that a second run repeats; exact copies stand aside.
 
-    def __init__(self, rows: pa.Table, length: int, period: int):
+    flags of level 0 say which documents have copies: in bucket 1 the one that stays in the search, in 0 others.
+    """
+
+    def __init__(self, rows: pa.Table, flags: pa.Table, length: int, period: int):
         rows = rows.select(["doc_id", "text"]).sort_by([("doc_id", "ascending"), ("text", "ascending")])
         self.ids = rows.column("doc_id").combine_chunks()
-        self.raw, self.borders = as_bytes(rows.column("text"))
+        level = flags.filter(pc.equal(flags.column("level"), 0))
+        kind = dict(zip(level.column("bits").to_pylist(), level.column("bucket").to_pylist(), strict=True))
+        self.copied, aside = np.zeros(len(self.ids), bool), np.zeros(len(self.ids), bool)
+        if kind:
+            found = [kind.get(k) for k in copy_keys(self.ids.to_pylist(), texts(rows.column("text").combine_chunks()))]
+            self.copied = np.array([k is not None for k in found])
+            aside = np.array([k == 0 for k in found])
+        self.all_sizes = pc.binary_length(rows.column("text").cast(pa.large_binary())).to_numpy().astype(np.int64)
+        self.here = np.flatnonzero(~aside)
+        self.raw, self.borders = as_bytes(rows.column("text").filter(pa.array(~aside)))
         self.length, self.period = length, period
         self.sizes = np.diff(self.borders)
         n = len(self.raw)
-        within = np.arange(n, dtype=np.int32) - np.repeat(self.borders[:-1], self.sizes).astype(np.int32)
-        left = np.repeat(self.borders[1:], self.sizes).astype(np.int32) - np.arange(n, dtype=np.int32)
         self.reach = length - period + 1
+        within = np.arange(n, dtype=np.int32) - np.repeat(self.borders[:-1].astype(np.int32), self.sizes)
+        left = np.repeat(self.sizes.astype(np.int32), self.sizes) - within
         wanted = np.zeros(period, bool)
         wanted[cover(period)] = True
-        self.sampled = np.flatnonzero(wanted[within % period] & (left >= self.reach))
+        pattern = np.resize(wanted, int(self.sizes.max(initial=0)))
+        self.sampled = np.flatnonzero(pattern[within] & (left >= self.reach))
         self.whole = left >= length
         top = 8
         while 2 * top <= min(64, self.reach):
@@ -121,8 +145,8 @@ class Unit:
 
 
 def dealt(names: np.ndarray, buckets: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Distinct names by bucket: names in that order, bucket borders, each input's place, inputs with an equal."""
-    order = np.lexsort((names, names % np.uint64(buckets)))
+    """Distinct names in order, borders of the buckets (ranges of high bits), each input's place, places with several."""
+    order = np.argsort(names)
     sorted_ = names[order]
     fresh = np.ones(len(names), bool)
     fresh[1:] = sorted_[1:] != sorted_[:-1]
@@ -130,13 +154,13 @@ def dealt(names: np.ndarray, buckets: int) -> tuple[np.ndarray, np.ndarray, np.n
     place[order] = np.cumsum(fresh) - 1
     distinct = sorted_[fresh]
     often = np.bincount(place, minlength=len(distinct)) > 1 if len(names) else np.zeros(0, bool)
-    borders = np.concatenate([[0], np.cumsum(np.bincount((distinct % np.uint64(buckets)).astype(np.int64), minlength=buckets))])
-    return distinct, borders, place, often
+    bucket = (distinct >> np.uint64(32)) * np.uint64(buckets) >> np.uint64(32)
+    return distinct, np.searchsorted(bucket, np.arange(buckets + 1, dtype=np.uint64)), place, often
 
 
 def sent(unit: int, names: np.ndarray, buckets: int, kind: type) -> pa.Table:
     distinct, borders, _, _ = dealt(names, buckets)
-    packed = (distinct // np.uint64(buckets)).astype(kind)
+    packed = distinct.astype(kind)
     full = np.flatnonzero(np.diff(borders))
     return pa.table({
         "unit": pa.array(np.full(len(full), unit), pa.int32()),
@@ -186,10 +210,26 @@ def repeats(df: DataFrame, key: str = "doc_id", text: str = "text", length: int
     units, buckets = (max(width(spark), size // n + 1) for n in (UNIT_BYTES, BUCKET_BYTES))
     docs = base.withColumn("unit", F.pmod(F.xxhash64("doc_id"), F.lit(units)).cast("int"))
 
-    def sample(rows: pa.Table) -> pa.Table:
-        own = Unit(rows, length, period)
+    text_hash = F.xxhash64("text")
+    keyed = docs.select("doc_id", "unit", text_hash.alias("h"), F.xxhash64(F.lit("copy"), "text").alias("g"))
+    classes = keyed.groupBy("h", "g").agg(F.min("doc_id").alias("first"), F.count("*").alias("n")).where("n > 1")
+    copies = keyed.join(classes, ["h", "g"]).select(
+        "unit",
+        F.col("doc_id").eqNullSafe(F.col("first")).cast("int").alias("bucket"),
+        F.concat_ws(":", F.coalesce("doc_id", F.lit(NO_ID)).cast("string"), F.col("h").cast("string")).cast("binary").alias("bits"),
+        F.lit(0).alias("level"),
+    )
+    copies = staged(copies.distinct(), "copies")
+
+    def sample(rows: pa.Table, flags: pa.Table) -> pa.Table:
+        if not rows.num_rows:
+            return nothing()
+        own = Unit(rows, flags, length, period)
         return sent(rows.column("unit")[0].as_py(), own.names.of(own.sampled, own.reach), buckets, np.uint32)
 
+    def nothing() -> pa.Table:
+        return pa.table({"unit": pa.array([], pa.int32()), "bucket": pa.array([], pa.int32()), "names": pa.array([], pa.binary())})
+
     def first_flags(flags: pa.Table, level: int) -> pa.Table:
         return flags.filter(pc.equal(flags.column("level"), level))
 
@@ -198,46 +238,49 @@ def repeats(df: DataFrame, key: str = "doc_id", text: str = "text", length: int
 
     def merge(rows: pa.Table, flags: pa.Table) -> pa.Table:
         if not rows.num_rows:
-            return pa.table({"unit": pa.array([], pa.int32()), "bucket": pa.array([], pa.int32()), "names": pa.array([], pa.binary())})
-        own = Unit(rows, length, period)
+            return nothing()
+        own = Unit(rows, flags, length, period)
         return sent(rows.column("unit")[0].as_py(), own.names.of(remaining(own, flags), length), buckets, np.uint64)
 
     def finish(rows: pa.Table, flags: pa.Table) -> pa.Table:
-        own = Unit(rows, length, period)
+        own = Unit(rows, flags, length, period)
         at = remaining(own, flags)
         at = at[told(own.names.of(at, length), first_flags(flags, 2), buckets)]
         step = np.zeros(len(own.raw) + 1, np.int32)
-        np.add.at(step, at, 1)
-        np.add.at(step, at + length, -1)
+        step[:-1] += np.bincount(at, minlength=len(own.raw)).astype(np.int32)
+        step[:] -= np.bincount(at + length, minlength=len(own.raw) + 1).astype(np.int32)
         gone = np.cumsum(step[:-1]) > 0
-        before = np.concatenate([[False], gone[:-1]])
-        starts = gone & ~before
-        if len(gone):
-            firsts = own.borders[:-1][own.sizes > 0]
-            starts[firsts] = gone[firsts]
-        count = lambda x: np.diff(np.concatenate([[0], np.cumsum(x)])[own.borders])
-        kept = own.raw[~gone].tobytes()
-        removed = count(gone)
-        ends = np.cumsum(own.sizes - removed)
-        parts = [kept[b - n : b] for b, n in zip(ends.tolist(), (own.sizes - removed).tolist(), strict=True)]
+        runs, kept = {}, {}
+        for i, a, b in zip(own.here.tolist(), own.borders[:-1].tolist(), own.borders[1:].tolist(), strict=True):
+            part = gone[a:b]
+            if part.any():
+                edge = np.flatnonzero(np.diff(np.concatenate([[0], part.astype(np.int8), [0]])))
+                runs[i] = edge.reshape(-1, 2)
+                kept[i] = own.raw[a:b][~part].tobytes()
+            else:
+                kept[i] = own.raw[a:b].tobytes()
+        for i in np.flatnonzero(own.copied & (own.all_sizes >= length)).tolist():
+            runs[i], kept[i] = np.array([[0, own.all_sizes[i]]]), b""
+        short = [i for i in range(len(own.ids)) if i not in kept]
+        if short:
+            whole = rows.select(["doc_id", "text"]).sort_by([("doc_id", "ascending"), ("text", "ascending")]).column("text")
+            kept |= {i: whole[i].as_py().encode() for i in short}
+        n = range(len(own.ids))
         out = {
-            "doc_id": own.ids, "n_bytes": own.sizes.astype(np.int64), "n_removed": removed.astype(np.int64),
-            "n_spans": count(starts).astype(np.int64), "kept_sha256": [hashlib.sha256(p).hexdigest() for p in parts],
+            "doc_id": own.ids, "n_bytes": own.all_sizes, "n_removed": pa.array([int((runs[i][:, 1] - runs[i][:, 0]).sum()) if i in runs else 0 for i in n], pa.int64()),
+            "n_spans": pa.array([len(runs[i]) if i in runs else 0 for i in n], pa.int64()), "kept_sha256": [hashlib.sha256(kept[i]).hexdigest() for i in n],
         }
         if with_text:
-            out["kept"] = pa.array(parts, pa.binary())
-            spans = []
-            for a, b in zip(own.borders[:-1].tolist(), own.borders[1:].tolist(), strict=True):
-                edge = np.flatnonzero(np.diff(np.concatenate([[0], gone[a:b].astype(np.int8), [0]])))
-                spans.append([{"from": int(x), "to": int(y)} for x, y in zip(edge[::2], edge[1::2], strict=True)])
+            out["kept"] = pa.array([kept[i] for i in n], pa.binary())
+            spans = [[{"from": int(x), "to": int(y)} for x, y in runs[i]] if i in runs else [] for i in n]
             out["spans"] = pa.array(spans, pa.list_(pa.struct([("from", pa.int64()), ("to", pa.int64())])))
         return pa.table(out)
 
-    names = docs.groupBy("unit").applyInArrow(sample, SENT)
-    flags = staged(names.groupBy("bucket").applyInArrow(lambda t: ties(t, np.uint32), FLAGS).withColumn("level", F.lit(1)), "ties")
-    release(spark)
-    names = docs.groupBy("unit").cogroup(flags.groupBy("unit")).applyInArrow(merge, SENT)
-    last = staged(names.groupBy("bucket").applyInArrow(lambda t: ties(t, np.uint64), FLAGS).withColumn("level", F.lit(2)), "repeats")
-    release(spark)
+    def pass_(step, known: DataFrame, kind: type, level: int, tag: str) -> DataFrame:
+        names = docs.groupBy("unit").cogroup(known.groupBy("unit")).applyInArrow(step, SENT)
+        return staged(names.groupBy("bucket").applyInArrow(lambda t: ties(t, kind), FLAGS).withColumn("level", F.lit(level)), tag)
+
+    known = copies.union(pass_(sample, copies, np.uint32, 1, "ties"))
+    known = known.union(pass_(merge, known, np.uint64, 2, "repeats"))
     schema = RESULT + (", kept binary, spans array<struct<from: long, to: long>>" if with_text else "")
-    return docs.groupBy("unit").cogroup(flags.union(last).groupBy("unit")).applyInArrow(finish, schema)
+    return docs.groupBy("unit").cogroup(known.groupBy("unit")).applyInArrow(finish, schema)
