@@ -7,7 +7,7 @@ the line's fingerprint, its document count and the largest document that holds i
 line hashes to the shards and probe the arrays; no line text is joined. A shard that a common line makes
 hot is copied to as many salted groups as its probes ask for.
 
-Null or empty texts are one empty line. A document that repeats a line counts once for it. Rows that repeat
+Null or empty texts are one empty line. A row without doc_id is no document to count and keeps its lines. A document that repeats a line counts once for it. Rows that repeat
 a doc_id count as one document and each loses the same lines. Extra columns stay where `clean` is used and
 are left out elsewhere; columns named like the operator's own are no problem, as it works on positions.
 Empty tables: no rows.
@@ -126,7 +126,7 @@ def line_hashes(df: DataFrame, least: int) -> DataFrame:
 def drops(df: DataFrame, key: str = "doc_id", text: str = "text", least: int = LEAST, often: int = OFTEN) -> DataFrame:
     """(doc_id, gone: low hashes of the line keys that this document loses), only documents that lose lines."""
     spark = df.sparkSession
-    found = staged(line_hashes(df.select(F.col(key).cast("long").alias("doc_id"), F.col(text)), least).distinct(), "lines")
+    found = staged(line_hashes(df.where(F.col(key).isNotNull()).select(F.col(key).cast("long").alias("doc_id"), F.col(text)), least).distinct(), "lines")
     counted = found.groupBy("high", "low").agg(F.count("*").alias("n"), F.max("doc_id").alias("largest")).where(F.col("n") >= often)
     known = staged(counted, "dictionary")
     shards = max(width(spark), known.count() // 100_000 + 1)

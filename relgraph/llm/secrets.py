@@ -63,7 +63,7 @@ def battery(x: Column) -> Column:
     then = lambda value, f: F.element_at(F.transform(F.array(value), f), 1)
     pick = lambda k: _first([(p, F.lit(e[k])) for p, e in ((e[0], e) for e in ENCODINGS)], x)
     start = F.struct(
-        F.split(F.rtrim(F.lit("="), x), "").alias("c"), pick(1).alias("alphabet"), pick(2).alias("even")
+        F.split(F.rtrim(x, F.lit("=")), "").alias("c"), pick(1).alias("alphabet"), pick(2).alias("even")
     )
 
     def counts(s):

@@ -7,7 +7,8 @@ one exclusive-or gives 64 difference bits, and carry-save counters add them up.
 as soon as every lane of a word is beyond the radius. A bucket has fixed four blocks of bits, so the
 distinct fingerprints in it are bounded by the remaining bits, not by the corpus; copies were merged before.
 
-Null or empty texts have fingerprint zero and are linked like any other. Rows that repeat a doc_id are
+Null or empty texts have fingerprint zero and are linked like any other. A row without doc_id links nothing
+and gets the component of its fingerprint, null if no other row has that. Rows that repeat a doc_id are
 returned once each. Other columns are left out. Empty tables: no rows.
 """
 
@@ -163,14 +164,14 @@ def linked(found: DataFrame, radius: int = 2) -> DataFrame:
     The frame is read twice, so it should be a written table.
     """
     spark = found.sparkSession
-    classes = staged(found.groupBy("fp").agg(F.min("doc_id").alias("rep")), "classes")
+    classes = staged(found.where("doc_id is not null").groupBy("fp").agg(F.min("doc_id").alias("rep")), "classes")
     choices = F.explode(F.array(*[F.struct(F.lit(i).alias("choice"), (F.lit(m - (m >> 63 << 64))).cast("long").alias("mask")) for i, m in enumerate(masks(radius))])).alias("c")
     dealt = classes.select(choices, "fp", "rep").select("c.choice", F.col("fp").bitwiseAND(F.col("c.mask")).alias("bucket"), "fp", "rep")
     dealt = dealt.repartition(width(spark), "choice", "bucket").sortWithinPartitions("choice", "bucket")
     links = dealt.mapInArrow(lambda batches: bucket_links(batches, radius), "a long, b long")
     joined = components(links)
     named = classes.join(joined, classes.rep == joined.node, "left").select("fp", F.coalesce("component", "rep").alias("component_id"))
-    return found.join(named, "fp").select("doc_id", "fp", "component_id")
+    return found.join(named, "fp", "left").select("doc_id", "fp", "component_id")
 
 
 def near_duplicates(df: DataFrame, key: str = "doc_id", text: str = "text", shingle: int = 3, radius: int = 2, seed: int = 42) -> DataFrame:

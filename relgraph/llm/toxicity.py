@@ -74,7 +74,7 @@ class Machine:
 
     def raw_scores(self, doc: np.ndarray, bucket: np.ndarray, texts: int) -> np.ndarray:
         v = self.factor[bucket]
-        total = np.bincount(doc, self.weight[bucket] - 0.5 * (v * v).sum(1), texts)
+        total = np.bincount(doc, self.weight[bucket] - 0.5 * (v * v).sum(1), texts).astype(float)  # of no terms it is whole numbers
         for f in range(v.shape[1]):
             total += 0.5 * np.bincount(doc, v[:, f], texts) ** 2
         return total + self.bias
