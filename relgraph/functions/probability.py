@@ -34,7 +34,7 @@ def exp_cdf(count: Column, mu: float) -> Column:
     return rounded(1 - F.exp(-count / F.lit(float(mu))))
 
 
-def snapshot_ratio(seen: DataFrame, period: str = "month", keys: Sequence[str] = ("src", "dst")) -> DataFrame:
+def snapshot_ratio(seen: DataFrame, period: str = "period", keys: Sequence[str] = ("src", "dst")) -> DataFrame:
     """Share of months with the link, from the first month that shows it to the last month of all.
 
     seen: the keys and a date or timestamp `period`. The last month comes from one aggregate row.

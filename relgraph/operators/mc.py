@@ -86,7 +86,7 @@ def terminal_set(g: UncertainGraph, nodes: list[int] | None, k: int, seed: int =
 
     seen, _ = grow(starts(pairs, k, 1), step, None, "terminals")
     held = seen.join(wanted, "node").groupBy("world").agg(F.count("*").alias("n")).where(F.col("n") == many)
-    return held.agg(F.count("*").alias("hits")).select(F.lit(many).alias("terminals"), F.lit(k).alias("k"), "hits", (F.col("hits") / F.lit(k)).alias("r_hat"))
+    return held.agg(F.count("*").alias("hits")).select(F.lit(many).cast("long").alias("terminals"), F.lit(k).alias("k"), "hits", (F.col("hits") / F.lit(k)).alias("r_hat"))
 
 
 def reach_sql(workload: str, k: int, seed: int = 1, reps: int = 1, max_hops: int | None = None, method: str = "mc", present: str | None = None) -> str:

@@ -42,14 +42,14 @@ SELECT {KEY_SQL}, src, dst, round(1 - exp(-c / {float(mu)!r}), 9) AS prob FROM m
 def userflow(spark: SparkSession, sf_dir: str) -> UncertainGraph:
     """From the user of an event to the user of the next event; probability is one over the out-degree.
 
-    The order of events is global. Each month's events are ordered on their own, and the first event of the
-    next month that has any is attached, so no task orders the whole table.
+    The order of events is global. Each day's events are ordered on their own, and the first event of the
+    next day that has any is attached, so no task orders the whole table.
     """
     events = table(spark, sf_dir, "events").select("event_id", "ts", "user_id").withColumn("part", F.date_trunc("day", "ts"))
     own = Window.partitionBy("part").orderBy("ts", "event_id")
     heads = events.groupBy("part").agg(F.min_by("user_id", F.struct("ts", "event_id")).alias("head"))  # a row a day
     heads = heads.select("part", F.lead("head").over(Window.orderBy("part")).alias("head"))
-    events = events.withColumn("after", F.lead("user_id").over(own)).join(heads, F.col("part").eqNullSafe(heads["part"]))
+    events = events.withColumn("after", F.lead("user_id").over(own)).join(heads, "part")
     links = events.select(F.col("user_id").alias("src"), F.coalesce("after", "head").alias("dst")).where("src <> dst").distinct()
     return UncertainGraph.of(probability.inverse_outdegree(links.where("dst is not null")))
 
@@ -126,7 +126,7 @@ def nearest(spark: SparkSession, sf_dir: str, k: int = 3, blocks: int = 8) -> Un
 
 
 def nearest_sql(k: int = 3) -> str:
-    return f"""WITH v AS (SELECT vec_id, list_transform(embedding, x -> CAST(x AS DOUBLE)) AS v FROM embeddings),
+    return f"""WITH v AS (SELECT vec_id, CAST(embedding AS DOUBLE[]) AS v FROM embeddings),
 c AS (SELECT a.vec_id AS src, b.vec_id AS dst,
   round(list_dot_product(a.v, b.v) / (sqrt(list_dot_product(a.v, a.v)) * sqrt(list_dot_product(b.v, b.v))), 9) AS cosine FROM v a JOIN v b ON a.vec_id <> b.vec_id)
 SELECT {KEY_SQL}, src, dst, cosine AS prob FROM c WHERE cosine > 0
