@@ -16,6 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from relgraph.model import UncertainGraph
+from relgraph.plans.iterate import written
 from relgraph.plans.reach import relevant
 
 #: Most edges that are sent to every worker (24 bytes each); larger graphs are cut to each pair's relevant edges.
@@ -395,7 +396,7 @@ def solve(g: UncertainGraph, pairs: DataFrame, method: str, k: int, reps: int =
 
         return tasks.mapInArrow(run, RUNS)
     edges = relevant(g, pairs)
-    ends = pairs.select("pair_id", "s", "t")
+    ends = written(pairs.select("pair_id", "s", "t"), "ends")  # apart from the pairs that the edges derive from
 
     def one(task: pa.Table, edges: pa.Table) -> pa.Table:
         local = Local.of(*(edges.column(c).to_numpy() for c in ("src", "dst", "prob")))

@@ -129,7 +129,7 @@ def reach(index: TreeIndex, pairs: DataFrame, k: int, inner: str = "mc", reps: i
     one is cut to what each pair needs.
     """
     label = f"tree+{inner}"
-    ends = pairs.select("pair_id", "s", "t")
+    ends = written(pairs.select("pair_id", "s", "t"), "ends")
 
     def runs(task: pa.Table, src, dst, prob) -> pa.Table:
         local = kernels.Local.of(src, dst, prob)

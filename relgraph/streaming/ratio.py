@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from relgraph.plans.iterate import shared_dir
+from relgraph.plans.iterate import shared_dir, written
 
 EVENTS = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
 LINKS = "src long, dst string, first_day long, days long, last_day long"
@@ -80,11 +80,15 @@ def ratios(spark: SparkSession, path: str) -> DataFrame:
     return last.crossJoin(F.broadcast(end)).select("src", "dst", F.round(F.col("days") / (F.col("end") - F.col("first_day") + 1), 9).alias("prob"))
 
 
-def coactive(left: DataFrame, right: DataFrame, late: str = LATE, within: str = "5 minutes") -> DataFrame:
-    """(src, dst, ts): an event of one stream and a later one of another user in a second stream, joined by a time bound."""
-    a = left.withWatermark("ts", late).select(F.col("user_id").alias("src"), F.col("ts").alias("ts"))
-    b = right.withWatermark("ts", late).select(F.col("user_id").alias("dst"), F.col("ts").alias("ts2"))
-    bound = F.expr(f"ts2 >= ts AND ts2 <= ts + INTERVAL {within} AND src <> dst")
+def coactive(left: DataFrame, right: DataFrame, late: str = LATE, seconds: int = 300) -> DataFrame:
+    """(src, dst, ts): an event of one stream and a later one of another user in a second stream, joined by a time bound.
+
+    Streams join on an equality, here a time bucket; an event meets its own bucket and the next.
+    """
+    bucket = F.floor(F.unix_micros("ts") / (seconds * 1_000_000))
+    a = left.withWatermark("ts", late).select(F.col("user_id").alias("src"), "ts", F.explode(F.array(bucket, bucket + 1)).alias("bucket"))
+    b = right.withWatermark("ts", late).select(F.col("user_id").alias("dst"), F.col("ts").alias("ts2"), bucket.alias("bucket2"))
+    bound = F.expr(f"bucket = bucket2 AND ts2 >= ts AND ts2 <= ts + INTERVAL {seconds} SECONDS AND src <> dst")
     return a.join(b, bound).select("src", "dst", "ts")
 
 
@@ -99,7 +103,7 @@ def refresh_on(spark: SparkSession, stream: DataFrame, rebuild) -> int:
 
     def each(batch: DataFrame, number: int) -> None:
         count[0] += 1
-        rebuild(batch, number + 1)
+        rebuild(written(batch, "batch"), number + 1)  # all of a batch is read, whatever the callback does
 
     stream.writeStream.outputMode("update").option("checkpointLocation", place).trigger(availableNow=True).foreachBatch(each).start().awaitTermination()
     return count[0]
