@@ -21,13 +21,14 @@ SUPPLIERS = 1_000_000_000
 def copurchase(spark: SparkSession, sf_dir: str, mu: float = 5, first: str = "1997-01-01", last: str = "1997-03-01") -> UncertainGraph:
     """Parts bought in the same order, in both directions; probability from the number of orders they share.
 
-    The date range reaches the scan of orders; the pairs come from a join on the order, whose lines are few.
+    The date range reaches the scan of orders. An order's parts meet in one row, so one shuffle by order and one
+    by pair do, and the lines are not joined with themselves.
     """
     orders = table(spark, sf_dir, "orders").where((F.col("o_orderdate") >= F.lit(first).cast("timestamp")) & (F.col("o_orderdate") < F.lit(last).cast("timestamp")))
     lines = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey")
-    held = lines.join(orders.select("o_orderkey"), F.col("l_orderkey") == F.col("o_orderkey")).select("l_orderkey", "l_partkey").distinct()
-    other = held.select(F.col("l_orderkey"), F.col("l_partkey").alias("dst"))
-    pairs = held.withColumnRenamed("l_partkey", "src").join(other, "l_orderkey").where("src <> dst")
+    held = lines.join(orders.select("o_orderkey"), F.col("l_orderkey") == F.col("o_orderkey"))
+    sets = held.groupBy("l_orderkey").agg(F.collect_set("l_partkey").alias("parts"))  # the few lines of an order
+    pairs = sets.select(F.explode("parts").alias("src"), "parts").select("src", F.explode("parts").alias("dst")).where("src <> dst")
     counts = pairs.groupBy("src", "dst").agg(F.count("*").alias("c"))
     return UncertainGraph.of(counts.select("src", "dst", probability.exp_cdf(F.col("c"), mu).alias("prob")))
 
