@@ -21,8 +21,20 @@ LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 CLEAN = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
 
+#: Rows of a batch that travels between Spark and Python, where a row may hold a long document.
+BATCH_ROWS = 1000
+
+
+def modest(spark: SparkSession) -> None:
+    """Let Spark hand documents to Python a few at a time, as each batch is held several times over on its way."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(name)) <= BATCH_ROWS:
+        spark.conf.set(name, str(BATCH_ROWS))
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """A table of the given folder, through Spark's own reader so that any store works."""
+    modest(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
