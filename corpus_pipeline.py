@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from relgraph.llm import linededup, mixing, packing, quality, simhash
-from relgraph.llm.common import staged, table
+from relgraph.llm.common import modest, staged, table
 from relgraph.llm.queries import word_vocabulary
 
 #: Share of the tokens that the mix may hold.
@@ -19,17 +19,20 @@ MIX_SHARE = 0.75
 
 def quality_filter(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the byte network accepts, learned from the labels outside the held-out fold."""
+    modest(spark)
     network = quality.fit(docs, table(spark, sf_dir, "labels"))
     return quality.accepted(docs, network)
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without the lines that three or more of them share; n_chars follows the text."""
+    modest(spark)
     return linededup.clean(docs).withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group that fingerprints link: the one with the smallest doc_id."""
+    modest(spark)
     groups = simhash.near_duplicates(docs)
     kept = groups.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select("doc_id").distinct()
     return docs.join(kept, "doc_id", "left_semi").select(*docs.columns).dropDuplicates(["doc_id"])
@@ -43,6 +46,7 @@ def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pieces of at most 2048 tokens and their places in sequences."""
+    modest(spark)
     return packing.pack_documents(docs, word_vocabulary())
 
 
