@@ -29,7 +29,7 @@ from relgraph.llm.common import LOWER, slices, staged, texts
 CAPACITY = 2048
 END_ID = 0
 #: Chunks between blanks whose ids a worker remembers.
-REMEMBERED = 350_000
+REMEMBERED = 600_000
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
 
@@ -49,11 +49,24 @@ class ChunkTokenizer:
         self.inner = Tokenizer.from_file(path)
         self.young: dict[bytes, bytes] = {}
         self.old: dict[bytes, bytes] = {}
+        vocabulary = self.inner.get_vocab()
+        self.ends = np.zeros(max(vocabulary.values()) + 1, bool)
+        self.ends[[i for t, i in vocabulary.items() if t.endswith("</w>")]] = True
+        self.marks = {m: self._encode([bytes([m])])[0] for m in b".,"}
 
     def _encode(self, parts: list[bytes]) -> list[bytes]:
         found = self.inner.encode_batch_fast([x.decode("utf-8", "replace") for x in parts], add_special_tokens=False)
         return [array("I", x.ids).tobytes() for x in found]
 
+    def _words(self, words: list[bytes]) -> list[bytes]:
+        """Ids of words of Latin letters, each a single token run that ends in a token marked as a word's end."""
+        ids = np.array(self.inner.encode_batch_fast([b" ".join(words).decode()], add_special_tokens=False)[0].ids, "<u4")
+        cut = np.flatnonzero(self.ends[ids]) + 1
+        if len(cut) != len(words):  # never seen; the slower way is always right
+            return self._encode(words)
+        raw, borders = ids.tobytes(), [0, *(4 * cut).tolist()]
+        return [raw[x:y] for x, y in zip(borders, borders[1:], strict=False)]
+
     def _learn(self, chunks: set[bytes]) -> None:
         """Put what is not in the younger generation there."""
         young, old = self.young, self.old
@@ -65,29 +78,27 @@ class ChunkTokenizer:
             else:
                 absent.append(c)
         stems = [c[:-1] if c[-1] in b".," and len(c) > 1 and 97 <= c[-2] <= 122 else c for c in absent]
-        fresh = list({c for c in stems if c not in young})
-        young.update(zip(fresh, self._encode(fresh), strict=True))
-        marks = {m: self._encode([bytes([m])])[0] for m in b".,"}
+        words, others = [], []
+        for c in {c for c in stems if c not in young}:
+            text = c.decode("utf-8", "replace")
+            (words if text.isalpha() and max(text) < "\u0100" else others).append(c)
+        young.update(zip(words, self._words(words), strict=True))
+        young.update(zip(others, self._encode(others), strict=True))
         for c, stem in zip(absent, stems, strict=True):
             if stem is not c:
-                young[c] = young[stem] + marks[c[-1]]
+                young[c] = young[stem] + self.marks[c[-1]]
 
     def ids(self, raws: list[bytes]) -> list[bytes]:
         """32-bit ids of each text, least significant byte first, without an end id."""
-        out = []
-        for raw in raws:
-            if b"<|" in raw:
-                out.append(self._encode([raw])[0])
-                continue
-            chunks = raw.translate(LOWER).split()
-            try:
-                out.append(b"".join([self.young[c] for c in chunks]))
-            except KeyError:
-                if len(self.young) > REMEMBERED:
-                    self.old, self.young = self.young, {}
-                self._learn(set(chunks).difference(self.young))
-                out.append(b"".join([self.young[c] for c in chunks]))
-        return out
+        if len(self.young) > REMEMBERED:
+            self.old, self.young = self.young, {}
+        parts = [None if b"<|" in raw else raw.translate(LOWER).split() for raw in raws]
+        unknown: set[bytes] = set()
+        for chunks in parts:
+            unknown.update(chunks or ())
+        young = self.young
+        self._learn({c for c in unknown if c not in young})
+        return [self._encode([raw])[0] if chunks is None else b"".join([young[c] for c in chunks]) for raw, chunks in zip(raws, parts, strict=True)]
 
 
 @cache
@@ -105,7 +116,7 @@ def pieces(df: DataFrame, vocabulary: str, capacity: int = CAPACITY, key: str =
 
     def run(batches):
         model = tokenizer(vocabulary)
-        for batch in slices(batches, "text"):
+        for batch in slices(batches, "text", 1 << 20):
             keys, at, start, length, crc, kept = [], [], [], [], [], []
             for k, ids in zip(batch.column(0).to_pylist(), model.ids(texts(batch.column(1))), strict=True):
                 ids += end
