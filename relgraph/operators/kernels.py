@@ -137,8 +137,7 @@ def skip(g: Local, s: int, t: int, k: int, rng: np.random.Generator, max_hops: i
         if len(new):
             e, _ = g.edges_of(new)
             at, world = firing_list(g.prob[e], k, rng)
-            order = np.argsort(at, kind="stable")  # edges of a node lie side by side
-            e, world = e[at[order]], world[order]
+            e = e[at]
             count[new] = np.bincount(np.searchsorted(new, g.src[e]), minlength=len(new))
             place[new] = len(pool_edge) + np.cumsum(count[new]) - count[new]
             pool_edge, pool_world = np.concatenate([pool_edge, e]), np.concatenate([pool_world, world])
@@ -159,15 +158,21 @@ def skip(g: Local, s: int, t: int, k: int, rng: np.random.Generator, max_hops: i
 
 
 def firing_list(prob: np.ndarray, k: int, rng: np.random.Generator) -> tuple[np.ndarray, np.ndarray]:
-    """(edge, world) of all firings among k worlds, by gaps."""
+    """(edge, world) of all firings among k worlds, by gaps; in order of edges, then worlds."""
     at = np.full(len(prob), -1, np.int64)
-    edges, worlds, live = [], [], np.arange(len(prob))
+    steps, live, count = [], np.arange(len(prob)), np.zeros(len(prob), np.int64)
     while len(live):
-        at[live] += rng.geometric(prob[live])
-        live = live[at[live] < k]
-        edges.append(live)
-        worlds.append(at[live])
-    return np.concatenate([*edges, np.zeros(0, np.int64)]), np.concatenate([*worlds, np.zeros(0, np.int64)])
+        now = at[live] + rng.geometric(prob[live])
+        on = now < k
+        live, now = live[on], now[on]
+        at[live] = now
+        count[live] += 1
+        steps.append((live, now))
+    first = np.cumsum(count) - count
+    worlds = np.empty(int(count.sum()), np.int64)
+    for n, (live, now) in enumerate(steps):
+        worlds[first[live] + n] = now
+    return np.repeat(np.arange(len(prob)), count), worlds
 
 
 def skip_sequential(g: Local, s: int, t: int, k: int, rng: np.random.Generator, corrected: bool = True, loop: str = "retest") -> Answer:
@@ -249,22 +254,21 @@ def split(
 
     def value(status: np.ndarray, n: int, depth: int) -> float:
         out.depth = max(out.depth, depth)
-        sure = _within(g, s, status == IN, max_hops)
+        sure = _within(g, s, status == IN, max_hops, t)
         out.probes += int((sure >= 0).sum())
         if sure[t] >= 0:
             return 1.0
-        if _within(g, s, status != OUT, max_hops)[t] < 0:
+        if _within(g, s, status != OUT, max_hops, t)[t] < 0:
             return 0.0
-        if edge_order == "breadth":  # in the order of a search from s over what is not excluded, not only at the border
-            sure = _within(g, s, status != OUT, None)
-            border = np.flatnonzero((sure[g.src] >= 0) & (status == FREE))
-        else:
-            border = np.flatnonzero((sure[g.src] >= 0) & (status == FREE) & (sure[g.dst] < 0 if max_hops is None else True))
-        if edge_order == "random":
-            border = border[rng.permutation(len(border))]
+        if small(n):
+            border = np.zeros(0, np.int64)
+        elif edge_order == "breadth":  # not only at the border of what is certain
+            border = _first_free(g, s, status, r)
         else:
+            certain, _ = g.edges_of(np.flatnonzero(sure >= 0))
+            border = certain[(status[certain] == FREE) & (sure[g.dst[certain]] < 0 if max_hops is None else True)]
             far = sure[g.src[border]]
-            border = border[np.lexsort((border, -far if edge_order == "depth" else far))]
+            border = border[rng.permutation(len(border))] if edge_order == "random" else border[np.lexsort((border, -far))]
         if small(n) or (leaf is not None and len(border) < r):
             found = sample(g, s, t, n, rng, status, max_hops)
             out.used += n
@@ -306,12 +310,12 @@ def stratum_weights(prob: np.ndarray) -> np.ndarray:
     return np.concatenate([[none[-1]], prob * none[:-1]])
 
 
-def _within(g: Local, a: int, open_: np.ndarray, limit: int | None) -> np.ndarray:
-    """Hop distances over open edges, up to the limit; -1 beyond."""
+def _within(g: Local, a: int, open_: np.ndarray, limit: int | None, until: int | None = None) -> np.ndarray:
+    """Hop distances over open edges, up to the limit or the level that holds `until`; -1 beyond."""
     far = np.full(len(g.names), -1)
     far[a] = 0
     fresh, n = np.array([a]), 0
-    while len(fresh) and (limit is None or n < limit):
+    while len(fresh) and (limit is None or n < limit) and (until is None or far[until] < 0):
         n += 1
         e, _ = g.edges_of(fresh)
         found = g.dst[e[open_[e]]]
@@ -320,6 +324,22 @@ def _within(g: Local, a: int, open_: np.ndarray, limit: int | None) -> np.ndarra
     return far
 
 
+def _first_free(g: Local, a: int, status: np.ndarray, enough: int) -> np.ndarray:
+    """Undecided edges in the order of a breadth-first search over all that is possible, by whole levels until there are enough."""
+    seen = np.zeros(len(g.names), bool)
+    seen[a] = True
+    fresh, out, had = np.array([a]), [], 0
+    while len(fresh) and had < enough:
+        e, _ = g.edges_of(fresh)
+        free = np.sort(e[status[e] == FREE])
+        out.append(free)
+        had += len(free)
+        found = g.dst[e[status[e] != OUT]]
+        fresh = np.unique(found[~seen[found]])
+        seen[fresh] = True
+    return np.concatenate([*out, np.zeros(0, np.int64)]).astype(np.int64)
+
+
 def enumerate_exact(g: Local, s: int, t: int, most: int = 20) -> Answer:
     """Sum over all worlds of a small graph."""
     if s == t:
