@@ -29,7 +29,9 @@ from relgraph.llm.common import LOWER, slices, staged, texts
 CAPACITY = 2048
 END_ID = 0
 #: Chunks between blanks whose ids a worker remembers.
-REMEMBERED = 600_000
+REMEMBERED = 350_000
+#: Words encoded in one call, and slots that tell which chunks were met before.
+AT_ONCE, SLOTS = 4_000, 1 << 21
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
 
@@ -38,8 +40,8 @@ class ChunkTokenizer:
 
     The vocabulary's rules never join characters across a blank, drop the blanks and ignore case, so a
     text's ids are its chunks' ids in a row, and a comma or full stop after a letter is a token of its own.
-    A text that may hold a special token goes through the tokenizer whole. Two generations of chunks are
-    kept; when the younger is full, it takes the older one's place.
+    A text that may hold a special token goes through the tokenizer whole. Chunks are kept once they were met
+    a second time, in two generations; when the younger is full, it takes the older one's place.
     """
 
     def __init__(self, path: str):
@@ -49,17 +51,23 @@ class ChunkTokenizer:
         self.inner = Tokenizer.from_file(path)
         self.young: dict[bytes, bytes] = {}
         self.old: dict[bytes, bytes] = {}
+        self.met = bytearray(SLOTS)
         vocabulary = self.inner.get_vocab()
         self.ends = np.zeros(max(vocabulary.values()) + 1, bool)
         self.ends[[i for t, i in vocabulary.items() if t.endswith("</w>")]] = True
         self.marks = {m: self._encode([bytes([m])])[0] for m in b".,"}
 
     def _encode(self, parts: list[bytes]) -> list[bytes]:
-        found = self.inner.encode_batch_fast([x.decode("utf-8", "replace") for x in parts], add_special_tokens=False)
-        return [array("I", x.ids).tobytes() for x in found]
+        out = []
+        for i in range(0, len(parts), AT_ONCE):
+            found = self.inner.encode_batch_fast([x.decode("utf-8", "replace") for x in parts[i : i + AT_ONCE]], add_special_tokens=False)
+            out += [array("I", x.ids).tobytes() for x in found]
+        return out
 
     def _words(self, words: list[bytes]) -> list[bytes]:
         """Ids of words of Latin letters, each a single token run that ends in a token marked as a word's end."""
+        if len(words) > AT_ONCE:
+            return [x for i in range(0, len(words), AT_ONCE) for x in self._words(words[i : i + AT_ONCE])]
         ids = np.array(self.inner.encode_batch_fast([b" ".join(words).decode()], add_special_tokens=False)[0].ids, "<u4")
         cut = np.flatnonzero(self.ends[ids]) + 1
         if len(cut) != len(words):  # never seen; the slower way is always right
@@ -97,8 +105,16 @@ class ChunkTokenizer:
         for chunks in parts:
             unknown.update(chunks or ())
         young = self.young
-        self._learn({c for c in unknown if c not in young})
-        return [self._encode([raw])[0] if chunks is None else b"".join([young[c] for c in chunks]) for raw, chunks in zip(raws, parts, strict=True)]
+        unknown = {c for c in unknown if c not in young}
+        self._learn(unknown)
+        out = [self._encode([raw])[0] if chunks is None else b"".join([young[c] for c in chunks]) for raw, chunks in zip(raws, parts, strict=True)]
+        met = self.met
+        for c in unknown:
+            slot = hash(c) % SLOTS
+            if not met[slot]:
+                met[slot] = 1
+                del young[c]
+        return out
 
 
 @cache
