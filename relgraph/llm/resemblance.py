@@ -1,0 +1,166 @@
+"""Near-duplicates by exact Jaccard similarity of the sets of word shingles.
+
+Texts with the same set of shingles are one class. Classes that share one of BANDS keys, each made of ROWS
+least values of the set under random orders, are candidates: a pair of similarity s is missed by all keys
+with a chance of (1 - s^ROWS)^BANDS, 3e-6 at 0.8 and less above. Candidates are linked only if their sets
+themselves, fetched once for each class, are similar enough. In a bucket one member is compared with all,
+then another where the bucket still falls into parts, then every pair of two parts; so no candidates stay
+apart untested, and large groups of copies cost no square.
+
+Words are as for fingerprints (A to Z lower-cased); a text of fewer words than a shingle is one shingle, and
+texts without words (null, empty) are one class that is similar to nothing else. Rows are judged by their
+text alone: of each group of linked texts one row stays, the one with the least doc_id (null after all
+others), then the least hash of the row, so null and repeated ids lose nothing but duplicates. Other columns
+are kept. Empty tables: no rows.
+"""
+
+from __future__ import annotations
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from relgraph.llm.common import LOWER, components, staged, texts
+
+BANDS, ROWS = 32, 5
+#: Least similarity of linked texts, as a fraction.
+LEAST = (4, 5)
+_RNG = np.random.default_rng(11)
+_FACTOR = _RNG.integers(0, 1 << 63, BANDS * ROWS, dtype=np.uint64) << np.uint64(1) | np.uint64(1)
+_ADDEND = _RNG.integers(0, 1 << 63, BANDS * ROWS, dtype=np.uint64)
+
+
+def shingles(raw: bytes, shingle: int = 5) -> np.ndarray:
+    """Sorted distinct XXH64 values of the word shingles."""
+    from xxhash import xxh64_intdigest as digest
+
+    words = raw.translate(LOWER).split()
+    if not words:
+        return np.zeros(0, np.uint64)
+    line = b" ".join(words)
+    ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1)
+    start = np.concatenate([[0], ends[:-1]])[: max(1, len(words) - shingle + 1)]
+    stop = ends[min(shingle, len(words)) - 1 :] - 1
+    return np.unique(np.array([digest(line[a:b]) for a, b in zip(start.tolist(), stop.tolist(), strict=True)], np.uint64))
+
+
+def keys(own: np.ndarray, most: int = 1 << 16) -> list[int]:
+    """One key for each band of least values; none for an empty set."""
+    from xxhash import xxh64_intdigest as digest
+
+    if not len(own):
+        return []
+    least = np.full(BANDS * ROWS, ~np.uint64(0))
+    for at in range(0, len(own), most // 16):
+        part = own[at : at + most // 16]
+        step = max(1, most // len(part))
+        for k in range(0, len(least), step):
+            values = _FACTOR[k : k + step, None] * part + _ADDEND[k : k + step, None]
+            np.minimum(least[k : k + step], values.min(1), out=least[k : k + step])
+    return [digest(least[b * ROWS : (b + 1) * ROWS].tobytes(), b) for b in range(BANDS)]
+
+
+def similar(a: np.ndarray, b: np.ndarray) -> bool:
+    shared = len(np.intersect1d(a, b, assume_unique=True))
+    return shared * LEAST[1] >= LEAST[0] * (len(a) + len(b) - shared)
+
+
+def _signed(values) -> pa.Array:
+    return pa.array(np.array(values, np.uint64).view(np.int64))
+
+
+def sketches(rows: DataFrame, shingle: int) -> DataFrame:
+    """(doc_id, row, text) -> (doc_id, row, name, n, bands): hash and size of the set, keys of the bands."""
+
+    def run(batches):
+        from xxhash import xxh64_intdigest as digest
+
+        for batch in batches:
+            sets = [shingles(raw, shingle) for raw in texts(batch.column(2))]
+            found = [keys(x) for x in sets]
+            ends = np.cumsum([0, *map(len, found)]).astype(np.int32)
+            bands = pa.ListArray.from_arrays(pa.array(ends), _signed([k for x in found for k in x]))
+            names = _signed([digest(x.tobytes()) if len(x) else 0 for x in sets])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), names, pa.array([len(x) for x in sets], pa.int32()), bands], ["doc_id", "row", "name", "n", "bands"])
+
+    return rows.mapInArrow(run, "doc_id long, row long, name long, n int, bands array<long>")
+
+
+def fetched(rows: DataFrame, shingle: int) -> DataFrame:
+    """(name, text) -> (name, held): the set itself."""
+
+    def run(batches):
+        for batch in batches:
+            held = [shingles(raw, shingle).tobytes() for raw in texts(batch.column(1))]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(held, pa.binary())], ["name", "held"])
+
+    return rows.mapInArrow(run, "name long, held binary")
+
+
+def tested(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+    """The pairs (a, b) whose sets are similar enough."""
+
+    def run(batches):
+        for batch in batches:
+            x, y = ([np.frombuffer(v, np.uint64) for v in batch.column(k).to_pylist()] for k in (2, 3))
+            yield batch.select(["a", "b"]).filter(pa.array([similar(p, q) for p, q in zip(x, y, strict=True)], pa.bool_()))
+
+    left, right = sets.toDF("a", "x"), sets.toDF("b", "y")
+    return pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(run, "a long, b long")
+
+
+def candidates(members: DataFrame, joined: DataFrame | None, step: int) -> DataFrame:
+    """Pairs (a < b) of two parts of a bucket: of one member with the others (steps 0 and 1), or all."""
+    if joined is None:
+        members = members.withColumn("part", F.col("name"))
+    else:
+        members = members.join(joined.toDF("name", "part"), "name", "left").withColumn("part", F.coalesce("part", "name"))
+    if step < 2:
+        order = F.xxhash64("name", "key") if step else F.col("name")
+        other = members.groupBy("key").agg(F.min(F.struct(order.alias("o"), "name", "n", "part")).alias("h")).select("key", F.col("h.name").alias("m"), F.col("h.n").alias("mn"), F.col("h.part").alias("mp"))
+        met = members.join(other, "key").where("part <> mp")
+    else:
+        met = members.join(members.toDF(*[{"name": "m", "n": "mn", "part": "mp"}.get(c, c) for c in members.columns]), "key").where("part <> mp and name < m")
+    met = met.where(f"least(n, mn) * {LEAST[1]} >= greatest(n, mn) * {LEAST[0]}")
+    return met.select(F.least("name", "m").alias("a"), F.greatest("name", "m").alias("b")).distinct()
+
+
+def linked(classes: DataFrame, rows: DataFrame, shingle: int) -> DataFrame | None:
+    """(node, component) of the classes (name, n, bands, first) that are linked; rows: (doc_id, row, text)."""
+    dealt = classes.select("name", "n", F.explode("bands").alias("band"))
+    groups = dealt.groupBy("band").agg(F.sort_array(F.collect_list(F.struct("name", "n"))).alias("own")).where("size(own) > 1")
+    groups = staged(groups.select("own").distinct(), "buckets")
+    members = groups.select(F.xxhash64("own").alias("key"), F.explode("own").alias("m")).select("key", "m.name", "m.n")
+    wanted = members.select("name").distinct().join(classes, "name").select("name", "first.doc_id", "first.row")
+    same = rows.doc_id.eqNullSafe(wanted.doc_id) & (rows.row == wanted.row)
+    sets = staged(fetched(rows.join(wanted, same).select("name", "text"), shingle).dropDuplicates(["name"]), "shingles")
+    joined, links, done = None, None, None
+    for step in range(3):
+        pairs = candidates(members, joined, step)
+        pairs = staged(pairs.join(done, ["a", "b"], "left_anti") if done else pairs, "pairs")
+        if pairs.isEmpty():
+            if step < 2:
+                continue
+            break
+        found = staged(tested(pairs, sets), "similar")
+        done, links = (done.union(pairs), links.union(found)) if done else (pairs, found)
+        joined = components(links)
+    return joined
+
+
+def distinct(docs: DataFrame, shingle: int = 5) -> DataFrame:
+    """One row of each group of near-duplicates."""
+    row = F.xxhash64(*docs.columns, *[F.col(c).isNull() for c in docs.columns]).alias("row")  # nulls leave no mark by themselves
+    rows = docs.select(F.col("doc_id").cast("long"), row, "text")
+    sets = staged(sketches(rows, shingle), "sets")
+    classes = sets.groupBy("name").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "row")).alias("first"), F.first("n").alias("n"), F.first("bands").alias("bands"))
+    classes = staged(classes, "classes")
+    joined = linked(classes, rows, shingle)
+    groups = classes.select(F.col("name").alias("component"), "first")
+    if joined:
+        groups = classes.join(joined, classes.name == joined.node, "left").select(F.coalesce("component", "name").alias("component"), "first")
+    kept = groups.groupBy("component").agg(F.min("first").alias("first")).select(F.col("first.doc_id").alias("_id"), F.col("first.row").alias("_kept"))
+    marked = docs.withColumn("_row", row)
+    found = marked.join(kept, marked.doc_id.cast("long").eqNullSafe(kept._id) & (marked._row == kept._kept), "left_semi")
+    return found.dropDuplicates(["doc_id", "_row"]).select(*docs.columns)  # what is left twice is the same row

@@ -1,5 +1,7 @@
 """The pipeline's stages over the small tables, each judged on its own input."""
 
+import random
+
 import corpus_pipeline
 import pytest
 from pyspark.sql import functions as F
@@ -48,3 +50,39 @@ def test_mix_keeps_within_budget(steps):
 
 def test_places(steps):
     check_places(steps[4][2].collect())
+
+
+def five(text):
+    words = (text or "").translate({c: c + 32 for c in range(65, 91)}).split()
+    return {" ".join(words[i : i + 5]) for i in range(max(1, len(words) - 4))} if words else set()
+
+
+def test_near_dedup_links_from_similarity_08(spark, small):
+    """Pairs of prose just above and just below 0.8; the copies differ in a run of words."""
+    base = table(spark, small, "documents")
+    docs, apart = [], 0
+    for i in range(60):
+        r = random.Random(i)
+        words = [f"w{r.randrange(5000)}" for _ in range(200)]
+        cut = 13 if i % 2 == 0 else 21
+        other = words[:150] + [f"v{k}" for k in range(cut)] + words[150 + cut :]
+        a, b = five(" ".join(words)), five(" ".join(other))
+        close = len(a & b) / len(a | b) >= 0.8
+        assert close == (i % 2 == 0)
+        apart += 1 if close else 2
+        docs += [(2 * i, " ".join(words)), (2 * i + 1, " ".join(other))]
+    frame = spark.createDataFrame(docs, "doc_id long, text string")
+    for c in base.columns:
+        if c not in ("doc_id", "text"):
+            frame = frame.withColumn(c, F.lit(None).cast(base.schema[c].dataType))
+    found = corpus_pipeline.near_dedup(spark, frame.select(*base.columns), small).collect()
+    assert len(found) == apart
+    assert {r.doc_id for r in found} == {i for i in range(120) if i % 2 == 0 or i % 4 == 3}
+
+
+def test_near_dedup_against_all_pairs(steps):
+    """The stage over its own input of the run, by comparing every two texts."""
+    _, before, after = steps[2]
+    sets = {r.doc_id: five(r.text) for r in before.collect()}
+    groups = brute_components(sorted(sets), lambda a, b: len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b]))
+    assert {r.doc_id for r in after.collect()} == set(groups.values()) and after.count() == len(set(groups.values()))
