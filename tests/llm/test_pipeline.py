@@ -86,3 +86,15 @@ def test_near_dedup_against_all_pairs(steps):
     sets = {r.doc_id: five(r.text) for r in before.collect()}
     groups = brute_components(sorted(sets), lambda a, b: len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b]))
     assert {r.doc_id for r in after.collect()} == set(groups.values()) and after.count() == len(set(groups.values()))
+
+
+def test_near_dedup_with_null_and_repeated_ids(spark, small):
+    """Only rows whose text has a near copy go; the same rows stay however the input is cut."""
+    text = lambda k: " ".join(f"t{k}x{i}" for i in range(40))
+    rows = [(1, text(1)), (1, text(2)), (1, text(2)), (2, text(1)), (3, text(3)), (None, text(3)), (None, text(4)), (None, text(4)), (None, text(5)), (None, None), (4, "")]
+    base = table(spark, small, "documents")
+    frame = spark.createDataFrame([(*r, "en", "a", 1) for r in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    expected = sorted([(1, text(1)), (1, text(2)), (3, text(3)), (-1, text(4)), (-1, text(5)), (4, "")])
+    for parts in (1, 5):
+        found = corpus_pipeline.near_dedup(spark, frame.select(*base.columns).repartition(parts), small).collect()
+        assert sorted((-1 if r.doc_id is None else r.doc_id, r.text or "") for r in found) == expected
