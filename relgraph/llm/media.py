@@ -103,9 +103,10 @@ def lzw_unpack(stream: bytes, depth: int, expected: int) -> bytes:
     total, at, had = 8 * len(stream), 0, 0
     first = [bytes([i]) for i in range(clear)] + [b"", b""]
     parts: list[bytes] = []
+    known, prev, read = first.copy(), b"", 0  # read: codes since the last clear code, which may be far back
     while had < expected and at + least <= total:
         n = min((total - at) // least, MOST_CODES + 2)
-        bits = _widths(n, least)
+        bits = _widths(read + n, least)[read:] if read < MOST_CODES else np.full(n, MOST_CODES.bit_length() - 1)
         start = at + np.cumsum(bits) - bits
         start = start[start + bits <= total]
         bits = bits[: len(start)]
@@ -115,7 +116,6 @@ def lzw_unpack(stream: bytes, depth: int, expected: int) -> bytes:
         codes = (raw[j] | raw[j + 1] << 8 | raw[j + 2] << 16) >> (start & 7) & ((1 << bits) - 1)
         stop = np.flatnonzero((codes == clear) | (codes == clear + 1))
         last = int(stop[0]) if len(stop) else len(codes)
-        known, prev = first.copy(), b""
         add, emit = known.append, parts.append
         for code in codes[:last].tolist():
             if code < len(known):
@@ -133,8 +133,10 @@ def lzw_unpack(stream: bytes, depth: int, expected: int) -> bytes:
             if codes[last] == clear + 1:
                 break
             at = int(start[last] + bits[last])
+            known, prev, read = first.copy(), b"", 0
         else:
             at = int(start[-1] + bits[-1])
+            read += len(codes)
     found = b"".join(parts)[:expected]
     if len(found) < expected:
         raise ValueError("code stream ends early")

@@ -100,6 +100,35 @@ def test_lzw_of_noise_and_depths():
         media.lzw_unpack(b"\x00", 8, 5)
 
 
+def packed_without_clear(data, depth):
+    """Clear code once at the start; the full table stays in use to the end."""
+    clear, width = 1 << depth, depth + 1
+    known, fresh = {bytes([i]): i for i in range(clear)}, clear + 2
+    value, at = clear, width
+    held = b""
+    for k in range(len(data) + 1):
+        more = held + data[k : k + 1]
+        if k < len(data) and more in known:
+            held = more
+            continue
+        value, at = value | known[held] << at, at + width
+        if k < len(data) and fresh < 4096:
+            known[more] = fresh
+            width += fresh == 1 << width
+            fresh += 1
+        held = data[k : k + 1]
+    value, at = value | clear + 1 << at, at + width
+    return value.to_bytes(-(-at // 8), "little"), fresh
+
+
+@pytest.mark.parametrize("depth", [2, 8])
+def test_lzw_keeps_a_full_table(depth):
+    data = np.random.default_rng(1).integers(0, 1 << depth, 120_000, dtype=np.uint8).tobytes()
+    packed, fresh = packed_without_clear(data, depth)
+    assert fresh == 4096 and 8 * len(packed) > 12 * 3 * 4098
+    assert media.lzw_unpack(packed, depth, len(data)) == data
+
+
 def test_interlaced_rows():
     assert media._interlaced(10).tolist() == [0, 8, 4, 2, 6, 1, 3, 5, 7, 9]
 
