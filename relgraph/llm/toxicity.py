@@ -83,20 +83,23 @@ class Machine:
         return 1 / (1 + np.exp(-np.clip(self.raw_scores(doc, bucket, texts), -30, 30)))
 
 
-def train(docs: list[np.ndarray], labels: np.ndarray, epochs: int = 8, steps: int = 1000, batch: int = 64, rate: float = 0.5, decay: float = 1e-4, apart: float = 3.5, seed: int = 7) -> Machine:
-    """Logistic loss, AdaGrad steps over shuffled batches; only terms whose toxic share lies `apart`
-    standard deviations from the overall share are used, as the rest would add noise to long texts."""
+def train(docs: list[np.ndarray], labels: np.ndarray, epochs: int = 8, steps: int = 1000, batch: int = 64, rate: float = 0.5, decay: float = 1e-3, apart: float = 3.5, calm: float = 0.01, seed: int = 7) -> Machine:
+    """Logistic loss, AdaGrad steps over shuffled batches, on all terms.
+
+    Noise is held down by decay, no term is left out: that of a weight grows as the term's toxic share comes
+    within `apart` standard deviations of the overall share, and is the plain one for factors, as words that
+    are harmless alone can matter in pairs. Steps of rare terms are small, as their sums start at `calm`."""
     rng = np.random.default_rng(seed)
     if not len(docs) or labels.min() == labels.max():
         return Machine(-30.0 if not len(docs) or not labels.max() else 30.0, np.zeros(BUCKETS), np.zeros((BUCKETS, FACTORS)))
     spread = np.bincount(np.concatenate(docs), minlength=BUCKETS)
     share = labels.mean()
     bad = np.bincount(np.concatenate(docs), np.repeat(labels, [len(d) for d in docs]), BUCKETS)
-    used = (spread > 2) & (np.abs(bad - share * spread) >= apart * np.sqrt(spread * share * (1 - share)))
-    docs = [d[used[d]] for d in docs]
+    z = np.abs(bad - share * spread) / np.sqrt(np.maximum(spread, 1) * share * (1 - share))
+    shrink = decay * (apart / np.clip(z, 0.1 * apart, apart)) ** 2
     weight = np.zeros(BUCKETS)
-    factor = rng.normal(0, 0.01, (BUCKETS, FACTORS)) * used[:, None]
-    seen_w, seen_f = np.full(BUCKETS, 1e-8), np.full((BUCKETS, FACTORS), 1e-8)
+    factor = rng.normal(0, 0.01, (BUCKETS, FACTORS)) * (spread > 0)[:, None]
+    seen_w, seen_f = np.full(BUCKETS, calm), np.full((BUCKETS, FACTORS), calm)
     bias, seen_b = float(np.log(share / (1 - share))), 1e-8
     for _ in range(max(epochs, -(-steps * batch // len(docs)))):
         order = rng.permutation(len(docs))
@@ -113,7 +116,7 @@ def train(docs: list[np.ndarray], labels: np.ndarray, epochs: int = 8, steps: in
             sums = np.stack([np.bincount(doc, v[:, f], len(own)) for f in range(FACTORS)], 1)
             each, place = np.unique(bucket, return_inverse=True)
             g = gap[doc]
-            gw = np.bincount(place, g, len(each)) + decay * weight[each]
+            gw = np.bincount(place, g, len(each)) + shrink[each] * weight[each]
             gv = np.stack([np.bincount(place, g * (sums[doc, f] - v[:, f]), len(each)) for f in range(FACTORS)], 1) + decay * factor[each]
             seen_w[each] += gw * gw
             seen_f[each] += gv * gv

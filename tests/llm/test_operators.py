@@ -422,6 +422,20 @@ def test_machine_learns_pairs():
     assert pair[0] > 0.9 and pair[1] < 0.2 and pair[2] < 0.2
 
 
+def test_machine_learns_pairs_of_harmless_terms():
+    """With production parameters: each term alone has the share of all texts, only the pair tells."""
+    r = np.random.default_rng(0)
+    docs, y = [], []
+    for _ in range(5000):
+        a, b = (r.random(2) < 0.5).tolist()
+        docs.append(np.unique([10 if a else 11, 20 if b else 21, *(1000 + r.zipf(1.3, 40) % 3000)]))
+        y.append(float(a == b))
+    m = toxicity.train(docs[:4000], np.array(y[:4000]))
+    rest = docs[4000:]
+    found = m.scores(np.repeat(np.arange(1000), [len(d) for d in rest]), np.concatenate(rest), 1000)
+    assert ((found >= 0.5) == np.array(y[4000:])).mean() > 0.9
+
+
 def test_terms_do_not_cross_texts():
     raw = b"Foo bar" + b"foo" + b"" + b"bar"
     doc, bucket = toxicity.terms(np.frombuffer(raw, np.uint8), np.array([0, 7, 10, 10, 13]))
