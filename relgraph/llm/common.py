@@ -39,14 +39,13 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; only where none is named (tests) one is made."""
-    found = spark.conf.get("spark.checkpoint.dir", None)
+    """The folder that driver and executors share; only a local session that names none gets one of its own."""
+    found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:
-        known = spark.sparkContext.getCheckpointDir()
-        if not known:
-            spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="corpus-"))
-            known = spark.sparkContext.getCheckpointDir()
-        found = known
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
+        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="corpus-"))
+        found = spark.sparkContext.getCheckpointDir()
     return found.rstrip("/")
 
 
@@ -60,7 +59,17 @@ def staged(df: DataFrame, tag: str) -> DataFrame:
         df.write.parquet(path)
     finally:
         spark.conf.unset(CLEAN) if before is None else spark.conf.set(CLEAN, before)
-    return spark.read.schema(df.schema).parquet(path)
+    found = spark.read.schema(df.schema).parquet(path)
+    found._folder = path
+    return found
+
+
+def discard(*frames: DataFrame) -> None:
+    """Remove the folders of written frames that nothing will read again."""
+    for frame in frames:
+        context = frame.sparkSession.sparkContext
+        path = context._jvm.org.apache.hadoop.fs.Path(frame._folder)
+        path.getFileSystem(context._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def width(spark: SparkSession) -> int:
@@ -97,6 +106,19 @@ def texts(column: pa.Array) -> list[bytes]:
     return [x or b"" for x in column.cast(pa.large_binary()).to_pylist()]
 
 
+_A, _B = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F)
+
+
+def joined_names(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Hash of two neighbouring strings from their hashes."""
+    x = a * _A
+    x += b
+    x ^= x >> np.uint64(31)
+    x *= _B
+    x ^= x >> np.uint64(29)
+    return x
+
+
 def local_roots(n: int, left: np.ndarray, right: np.ndarray) -> np.ndarray:
     """Smallest index that each of n nodes reaches over the links left-right."""
     root = np.arange(n)

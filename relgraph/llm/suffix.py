@@ -1,23 +1,29 @@
 """Exact repeats of `length` bytes, by a distributed difference cover.
 
-For any two positions there is a shift below the period that brings both onto the cover's residues. So of
-two equal strings of `length` bytes, some pair of sampled suffixes agrees on length - period + 1 bytes. The
-work goes in three passes over units of documents:
-
-1. Sampled suffixes are named. Names are made by recursion, a name of 2k bytes from two names of k bytes,
-   and sorted in buckets by name; equal neighbours are ties.
-2. Only suffixes within reach of a tie can still be equal to another for the whole length. These remaining
-   suffixes are merged: named for the whole length, sorted in buckets, and compared with their neighbours.
-3. Bytes under a repeated string are removed.
-
-Exact copies of whole texts are found first: one of each stays in the search, as all of them are repeats.
-A fixed length needs no ranks beyond it, so names are 64-bit hashes instead of dense ranks, and recursion
-ends at the length; among n remaining suffixes some two names collide with a chance of about n^2 / 2^65. Units and buckets grow in number with the corpus,
-not in size. Each unit sends a name once, so a common passage reaches its bucket at most once a unit. Names
-travel packed, and what comes back is a bit for each.
-
-Null or empty texts have no bytes. Matches never cross documents. Rows that repeat a doc_id are documents
-of their own (their texts repeat each other). Other columns are left out. Empty tables: no rows.
+The search runs over distinct texts; a text that stands in several rows is a repeat as a whole. Long texts are cut
+into pieces that overlap by one byte less than `length`, so that each string of that length lies in one piece.
+
+1. Screen. Hashes of sampled strings, at the residues of a wide cover, tell which parts of the pieces can hold
+   repeats at all. Equal strings have equal hashes, so nothing is lost; what only collides goes in the next step.
+   Only the parts that are left, the regions, go on.
+2. Sorted triples. Within regions the positions on three residues mod 7 are sampled. The triple of three 7-byte words
+   at each is sorted in buckets with its equals and named by its rank; a string that stands once has no name and
+   ends here. The names are recursed on: triples of names of 21 bytes name 63 bytes, and triples of those, with the
+   few bytes left over, name strings of length - 6 bytes.
+3. Merge. For any two positions some shift below 7 brings both onto the cover, so two equal strings of the whole
+   length have equal names at that shift and equal bytes around: d before the named string and 6 - d behind it.
+   Suffixes of one name are sorted by these bytes and compared with their neighbours, for each shift.
+4. Bytes under a repeated string are removed.
+
+Ranks come from comparing whole triples and neighbours are compared byte by byte, so no two different strings are taken
+for one. A fixed length needs classes and not a whole order, so triples are dealt to buckets by hash and a name is a
+bucket and a rank in it. Units and buckets grow in number with the corpus, not in size. Each unit sends a string once.
+A name that very many strings share, as of a passage cut off by different words, is dealt out again by its
+surrounding bytes (CROWD). Texts are told apart by 128 bits of hashes when results go back to their rows.
+
+Null or empty texts have no bytes. Very long texts are searched in pieces and put together in one task, as one row. Matches
+never cross documents. Rows that repeat a doc_id, or whose doc_id is null, are documents of their own (equal texts repeat
+each other). There are no ties to break. Other columns are left out, so names cannot clash. Empty tables: no rows.
 """
 
 from __future__ import annotations
@@ -30,12 +36,15 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from relgraph.llm.common import as_bytes, staged, texts, width
+from relgraph.llm.common import as_bytes, discard, joined_names, slices, staged, width
 
-LENGTH, PERIOD = 200, 73
-UNIT_BYTES, BUCKET_BYTES = 3 << 20, 16 << 20
+LENGTH, PERIOD, STEP = 200, 73, 7
+UNIT_BYTES, BUCKET_BYTES, PIECE = 3 << 20, 16 << 20, 1 << 20
+#: Strings of one name in a bucket from which on its suffixes are dealt by their surrounding bytes too.
+CROWD = 1 << 16
 RESULT = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string"
-_A, _B = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F)
+_A = np.uint64(0x9E3779B97F4A7C15)
+_MANY, _HOT = np.uint64(1 << 55), np.uint32(1 << 31)
 
 
 def cover(period: int = PERIOD) -> np.ndarray:
@@ -49,18 +58,8 @@ def cover(period: int = PERIOD) -> np.ndarray:
     return np.array(sorted(found))
 
 
-def joined_names(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """Name of two neighbouring strings from their names."""
-    x = a * _A
-    x += b
-    x ^= x >> np.uint64(31)
-    x *= _B
-    x ^= x >> np.uint64(29)
-    return x
-
-
-class Names:
-    """Names of strings at every position of some bytes, by doubling from 8 bytes up to `top`, block by block."""
+class Hashes:
+    """Hashes of strings at every position of some bytes, by doubling from 8 bytes up to `top`, block by block."""
 
     def __init__(self, raw: np.ndarray, top: int, block: int = 1 << 14):
         n = len(raw)
@@ -74,7 +73,7 @@ class Names:
             self.big[a : a + block] = x
 
     def of(self, at: np.ndarray, length: int) -> np.ndarray:
-        """Names of `length` bytes from each position, of the largest pieces and then of 8 bytes; pieces may overlap."""
+        """Hashes of `length` bytes from each position, of the largest pieces and then of 8 bytes; pieces may overlap."""
         if length < self.top:
             raise ValueError("shorter than the level")
         out, done = self.big[at], self.top
@@ -88,199 +87,429 @@ class Names:
         return out
 
 
-#: Stands for a null doc_id in keys of copies.
-NO_ID = -(1 << 63)
-
-
-def copy_keys(ids: list, raws: list[bytes]) -> list[bytes]:
-    """doc_id and signed text hash of each document, as the flags of copies name them."""
-    from xxhash import xxh64_intdigest
-
-    signed = lambda h: h - (h >> 63 << 64)
-    return [f"{NO_ID if k is None else k}:{signed(xxh64_intdigest(raw, 42))}".encode() for k, raw in zip(ids, raws, strict=True)]
+def ordered(rows: pa.Table, *keys: str) -> pa.Table:
+    return rows.sort_by([(k, "ascending") for k in keys])
 
 
-class Unit:
-    """The texts of a unit side by side, in an order that a second run repeats; exact copies stand aside.
+class Screen:
+    """The pieces of a unit side by side, in an order that a second run repeats, and their sampled strings."""
 
-    flags of level 0 say which documents have copies: in bucket 1 the one that stays in the search, in 0 others.
-    """
-
-    def __init__(self, rows: pa.Table, flags: pa.Table, length: int, period: int):
-        rows = rows.select(["doc_id", "text"]).sort_by([("doc_id", "ascending"), ("text", "ascending")])
-        self.ids = rows.column("doc_id").combine_chunks()
-        level = flags.filter(pc.equal(flags.column("level"), 0))
-        kind = dict(zip(level.column("bits").to_pylist(), level.column("bucket").to_pylist(), strict=True))
-        self.copied, aside = np.zeros(len(self.ids), bool), np.zeros(len(self.ids), bool)
-        if kind:
-            found = [kind.get(k) for k in copy_keys(self.ids.to_pylist(), texts(rows.column("text").combine_chunks()))]
-            self.copied = np.array([k is not None for k in found])
-            aside = np.array([k == 0 for k in found])
-        self.all_sizes = pc.binary_length(rows.column("text").cast(pa.large_binary())).to_numpy().astype(np.int64)
-        self.here = np.flatnonzero(~aside)
-        self.raw, self.borders = as_bytes(rows.column("text").filter(pa.array(~aside)))
-        self.length, self.period = length, period
-        self.sizes = np.diff(self.borders)
-        n = len(self.raw)
+    def __init__(self, rows: pa.Table, length: int, period: int):
+        self.rows = ordered(rows, "h", "g", "k")
+        self.raw, self.borders = as_bytes(self.rows.column("body").combine_chunks())
+        self.length, self.period, n = length, period, len(self.raw)
         self.reach = length - period + 1
-        within = np.arange(n, dtype=np.int32) - np.repeat(self.borders[:-1].astype(np.int32), self.sizes)
-        left = np.repeat(self.sizes.astype(np.int32), self.sizes) - within
+        sizes = np.diff(self.borders)
+        within = np.arange(n, dtype=np.int32) - np.repeat(self.borders[:-1].astype(np.int32), sizes)
+        left = np.repeat(sizes.astype(np.int32), sizes) - within
         wanted = np.zeros(period, bool)
         wanted[cover(period)] = True
-        pattern = np.resize(wanted, int(self.sizes.max(initial=0)))
-        self.sampled = np.flatnonzero(pattern[within] & (left >= self.reach))
+        self.sampled = np.flatnonzero(np.resize(wanted, int(sizes.max(initial=0)))[within] & (left >= self.reach))
         self.whole = left >= length
         top = 8
         while 2 * top <= min(64, self.reach):
             top *= 2
-        self.names = Names(self.raw, top)
+        self.hashes = Hashes(self.raw, top).of(self.sampled, self.reach) if n else np.zeros(0, np.uint64)
 
-    def candidates(self, tied: np.ndarray) -> np.ndarray:
-        """Positions of whole strings with a tied sample within the period."""
-        mark = np.zeros(len(self.raw) + self.period + 1, np.int32)
+    def regions(self, tied: np.ndarray) -> list[tuple[int, int, int]]:
+        """(piece, from, to) of the maximal runs of whole strings with a tied sample within the period."""
+        n = len(self.raw)
+        mark = np.zeros(n + self.period + 1, np.int32)
         mark[self.sampled[tied] + 1] = 1
         seen = np.cumsum(mark, dtype=np.int32)
-        n = len(self.raw)
-        return np.flatnonzero((seen[self.period : self.period + n] > seen[:n]) & self.whole)
+        at = np.flatnonzero((seen[self.period : self.period + n] > seen[:n]) & self.whole)
+        return runs(at, self.length, self.borders)
+
+
+def runs(at: np.ndarray, length: int, borders: np.ndarray) -> list[tuple[int, int, int]]:
+    """(part, from, to) of the maximal runs of bytes under strings at the positions; parts end at the borders."""
+    n = int(borders[-1])
+    step = np.zeros(n + 1, np.int32)
+    step[at] += 1
+    np.subtract.at(step, at + length, 1)
+    under = np.cumsum(step[:-1]) > 0
+    cut = np.zeros(n + 1, bool)
+    cut[borders] = True
+    first = np.flatnonzero(under & (cut[:-1] | ~np.concatenate([[False], under[:-1]])))
+    last = np.flatnonzero(under & (cut[1:] | ~np.concatenate([under[1:], [False]]))) + 1
+    part = np.searchsorted(borders, first, side="right") - 1
+    return list(zip(part.tolist(), (first - borders[part]).tolist(), (last - borders[part]).tolist(), strict=True))
 
 
 def dealt(names: np.ndarray, buckets: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Distinct names in order, borders of the buckets (ranges of high bits), each input's place, places with several."""
+    """Distinct hashes in order, borders of the buckets (ranges of high bits), each input's place, places with several."""
     order = np.argsort(names)
     sorted_ = names[order]
     fresh = np.ones(len(names), bool)
     fresh[1:] = sorted_[1:] != sorted_[:-1]
     place = np.empty(len(names), np.int64)
     place[order] = np.cumsum(fresh) - 1
-    distinct = sorted_[fresh]
-    often = np.bincount(place, minlength=len(distinct)) > 1 if len(names) else np.zeros(0, bool)
-    bucket = (distinct >> np.uint64(32)) * np.uint64(buckets) >> np.uint64(32)
-    return distinct, np.searchsorted(bucket, np.arange(buckets + 1, dtype=np.uint64)), place, often
+    hashes = sorted_[fresh]
+    often = np.bincount(place, minlength=len(hashes)) > 1 if len(names) else np.zeros(0, bool)
+    return hashes, bucket_borders(hashes, buckets), place, often
+
 
+def bucket_borders(hashes: np.ndarray, buckets: int) -> np.ndarray:
+    bucket = (hashes >> np.uint64(32)) * np.uint64(buckets) >> np.uint64(32)
+    return np.searchsorted(bucket, np.arange(buckets + 1, dtype=np.uint64))
 
-def sent(unit: int, names: np.ndarray, buckets: int, kind: type) -> pa.Table:
-    distinct, borders, _, _ = dealt(names, buckets)
-    packed = distinct.astype(kind)
+
+def sent(unit: int, packed: np.ndarray, borders: np.ndarray) -> pa.Table:
+    """What a unit sends to each bucket, a row a bucket."""
     full = np.flatnonzero(np.diff(borders))
     return pa.table({
         "unit": pa.array(np.full(len(full), unit), pa.int32()),
         "bucket": pa.array(full, pa.int32()),
-        "names": pa.array([packed[borders[b] : borders[b + 1]].tobytes() for b in full], pa.binary()),
+        "body": pa.array([packed[borders[b] : borders[b + 1]].tobytes() for b in full], pa.binary()),
     })
 
 
-def ties(rows: pa.Table, kind: type) -> pa.Table:
-    """For each unit's names in a bucket, which ones another unit has too."""
-    parts = [np.frombuffer(x, kind) for x in rows.column("names").to_pylist()]
+def ties(rows: pa.Table) -> pa.Table:
+    """For each unit's hashes in a bucket, which ones another unit has too."""
+    parts = [np.frombuffer(x, np.uint32) for x in rows.column("body").to_pylist()]
     names = np.concatenate(parts)
     order = np.argsort(names, kind="stable")
     same = names[order][1:] == names[order][:-1]
     tied = np.zeros(len(names), bool)
     tied[order[1:][same]] = True
     tied[order[:-1][same]] = True
-    ends = np.cumsum([len(p) for p in parts])
-    return pa.table({
-        "unit": rows.column("unit"),
-        "bucket": rows.column("bucket"),
-        "bits": pa.array([np.packbits(x).tobytes() for x in np.split(tied, ends[:-1])], pa.binary()),
-    })
+    return answered(rows, [np.packbits(x).tobytes() for x in apart(tied, parts)])
+
 
+def apart(values: np.ndarray, parts: list[np.ndarray]) -> list[np.ndarray]:
+    return np.split(values, np.cumsum([len(p) for p in parts])[:-1])
 
-def told(names: np.ndarray, flags: pa.Table, buckets: int) -> np.ndarray:
-    """Which names have an equal, in this unit or by the flags that came back."""
-    distinct, borders, place, often = dealt(names, buckets)
+
+def answered(rows: pa.Table, bodies: list[bytes]) -> pa.Table:
+    return pa.table({"unit": rows.column("unit"), "bucket": rows.column("bucket"), "body": pa.array(bodies, pa.binary())})
+
+
+def told(own: Screen, flags: pa.Table, buckets: int) -> np.ndarray:
+    """Which samples have an equal, in this unit or by the flags that came back."""
+    _, borders, place, often = dealt(own.hashes, buckets)
     tied = often.copy()
-    for b, bits in zip(flags.column("bucket").to_pylist(), flags.column("bits").to_pylist(), strict=True):
+    for b, bits in zip(flags.column("bucket").to_pylist(), flags.column("body").to_pylist(), strict=True):
         n = int(borders[b + 1] - borders[b])
         tied[borders[b] : borders[b + 1]] |= np.unpackbits(np.frombuffer(bits, np.uint8), count=n).astype(bool)
-    return tied[place] if len(names) else np.zeros(0, bool)
+    return tied[place] if len(own.hashes) else np.zeros(0, bool)
+
+
+def mixed(words: np.ndarray, bits: int) -> np.ndarray:
+    """A hash of each row of words, of which so many high bits are used."""
+    x = words[:, 0] * _A
+    for k in range(1, words.shape[1]):
+        x = joined_names(x, words[:, k])
+    x = joined_names(x, x >> np.uint64(32))
+    return x if bits >= 64 else x >> np.uint64(64 - bits) << np.uint64(64 - bits)
+
+
+def distinct(words: np.ndarray, bits: int, key: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct rows sorted by their hash and then word by word, their hashes, each input's place, and how often each stands."""
+    key = mixed(words, bits) if key is None else key
+    order = np.argsort(key)
+    rows, keys = words[order], key[order]
+    same = (rows[1:] == rows[:-1]).all(1)
+    if (same != (keys[1:] == keys[:-1])).any():  # different rows of one hash
+        order = np.lexsort((*words.T[::-1], key))
+        rows, keys = words[order], key[order]
+        same = (rows[1:] == rows[:-1]).all(1)
+    fresh = np.concatenate([np.ones(min(1, len(rows)), bool), ~same])
+    place = np.empty(len(words), np.int64)
+    place[order] = np.cumsum(fresh) - 1
+    return rows[fresh], keys[fresh], place, np.bincount(place, minlength=int(fresh.sum()))
+
+
+def levels(length: int) -> list[tuple[int, tuple[int, ...], int]]:
+    """(bytes named, offsets of the names it is made of, bytes left over) of each level; the last names length - STEP + 1 bytes."""
+    reach, size, out = length - STEP + 1, STEP, []
+    if reach < STEP:
+        raise ValueError(f"repeats of under {2 * STEP - 1} bytes are not searched")
+    while 3 * size < reach - STEP + 1:
+        out.append((3 * size, (0, size, 2 * size), 0))
+        size *= 3
+    last = (reach - size) // STEP * STEP
+    return [*out, (reach, (0, min(size, last), last), reach - last - size)]
+
+
+class Zone:
+    """The regions of a unit side by side, and the names of their samples as levels give them."""
+
+    def __init__(self, rows: pa.Table, length: int, bits: int):
+        self.rows = ordered(rows, "h", "g", "at")
+        self.raw, self.borders = as_bytes(self.rows.column("body").combine_chunks())
+        self.length, self.bits, n = length, bits, len(self.raw)
+        sizes = np.diff(self.borders)
+        within = np.arange(n, dtype=np.int32) - np.repeat(self.borders[:-1].astype(np.int32), sizes)
+        left = np.repeat(sizes.astype(np.int32), sizes) - within
+        wanted = np.zeros(STEP, bool)
+        wanted[cover(STEP)] = True
+        self.at = np.flatnonzero(np.resize(wanted, int(sizes.max(initial=0)))[within] & (left >= STEP))
+        self.within, self.left = within[self.at], left[self.at]
+        self.place = np.full(n + length, -1, np.int32)
+        self.place[self.at] = np.arange(len(self.at), dtype=np.int32)
+        #: Eight bytes from each position, with eight of nothing before the first.
+        self.view = np.ndarray((n + length + 16,), "<u8", bytes(8) + self.raw.tobytes() + bytes(length + 16), strides=(1,))
+        self.names = self.view[self.at + 8] & np.uint64((1 << 8 * STEP) - 1)
+        self.hot = np.zeros(len(self.at), bool)
+
+    def triples(self, level: tuple[int, tuple[int, ...], int], first: bool) -> tuple[np.ndarray, np.ndarray]:
+        """Samples that can be named at a level, and the names that make up theirs."""
+        size, offsets, over = level
+        own = np.flatnonzero(self.left >= size)
+        parts = [self.names[self.place[self.at[own] + o]] for o in offsets]
+        if not first:
+            alive = np.logical_and.reduce([p > 0 for p in parts])
+            own, parts = own[alive], [p[alive] for p in parts]
+        if over:
+            parts.append(self.view[self.at[own] + 8 + size - over] & np.uint64((1 << 8 * over) - 1))
+        return own, np.stack(parts, 1) if len(own) else np.zeros((0, len(parts)), np.uint64)
+
+    def take(self, own: np.ndarray, words: np.ndarray, ranks: pa.Table, buckets: int) -> None:
+        """Name the samples by the ranks that came back; 0 stands for no name."""
+        _, keys, place, _ = distinct(words, self.bits)
+        borders, found = bucket_borders(keys, buckets), np.zeros(len(keys), np.uint64)
+        hot = np.zeros(len(keys), bool)
+        for b, body in zip(ranks.column("bucket").to_pylist(), ranks.column("body").to_pylist(), strict=True):
+            rank = np.frombuffer(body, np.uint32)
+            part = slice(borders[b], borders[b + 1])
+            hot[part] = rank & _HOT > 0
+            rank = rank & ~_HOT
+            found[part] = np.where(rank > 0, np.uint64(b << 32) | rank.astype(np.uint64), np.uint64(0))
+        self.names = np.zeros(len(self.at), np.uint64)
+        if len(own):
+            self.names[own], self.hot[own] = found[place], hot[place]
+
+    def suffixes(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(sample, words, hash to deal by) of named samples: the name, the bytes before with the shifts that fit in the
+        region, the bytes behind; one row for each shift where the name is crowded."""
+        around, reach = STEP - 1, self.length - STEP + 1
+        own = np.flatnonzero(self.names)
+        low = lambda n: (np.uint64(1) << (np.uint64(8) * n.astype(np.uint64))) - np.uint64(1)
+        had = np.minimum(self.within[own], around)
+        before = self.view[self.at[own] + 8 - around] & np.uint64((1 << 8 * around) - 1)
+        before &= ~low(around - had)  # nothing from the region before
+        behind = self.view[self.at[own] + 8 + reach] & low(np.clip(self.left[own] - reach, 0, around))
+        least, most = np.maximum(self.length - self.left[own], 0), had
+        fits = np.zeros(len(own), np.uint64)
+        for d in range(STEP):
+            fits |= ((least <= d) & (d <= most)).astype(np.uint64) << np.uint64(48 + d)
+        words = np.stack([self.names[own], before | fits, behind], 1) if len(own) else np.zeros((0, 3), np.uint64)
+        words, own = words[fits > 0], own[fits > 0]
+        hot = self.hot[own]
+        sample, rows, keys = [own[~hot]], [words[~hot]], [mixed(words[~hot][:, :1], self.bits)]
+        for d in range(STEP if hot.any() else 0):
+            fit = hot & (words[:, 1] >> np.uint64(48 + d) & np.uint64(1) > 0)
+            part = np.stack([words[fit, 0], seen_before(words[fit, 1], d) | np.uint64(1 << 48 + d), seen_behind(words[fit, 2], d) | np.uint64(1 + d << 48)], 1)
+            sample.append(own[fit])
+            rows.append(part)
+            keys.append(mixed(part, self.bits))
+        return np.concatenate(sample), np.concatenate(rows), np.concatenate(keys)
+
+
+def seen_before(word: np.ndarray, d: int) -> np.ndarray:
+    """The last d of the bytes before a named string."""
+    return (word & np.uint64((1 << 48) - 1)) >> np.uint64(8 * (STEP - 1 - d))
+
+
+def seen_behind(word: np.ndarray, d: int) -> np.ndarray:
+    """The first bytes behind, so many that d before and these make up the whole length."""
+    return word & np.uint64((1 << 8 * (STEP - 1 - d)) - 1)
+
+
+def ranked(rows: pa.Table, words: int, bits: int, crowd: int) -> pa.Table:
+    """Ranks from 1 of a bucket's strings that stand more than once, for each unit that sent them; others get 0."""
+    parts = [np.frombuffer(x, np.uint64).reshape(-1, words + 1) for x in rows.column("body").to_pylist()]
+    whole = np.concatenate(parts)
+    _, _, place, _ = distinct(whole[:, :-1], bits)
+    often = np.bincount(place, whole[:, -1].astype(float))
+    rank = np.where(often > 1, np.cumsum(often > 1), 0).astype(np.uint32)
+    if len(rank) >= int(_HOT):
+        raise ValueError("too many strings in a bucket")
+    rank[often > crowd] |= _HOT
+    return answered(rows, [x.tobytes() for x in apart(rank[place], parts)])
+
+
+def merged(rows: pa.Table, bits: int) -> pa.Table:
+    """For each suffix the shifts, as bits, at which a neighbour of the same name has the same bytes around it."""
+    parts = [np.frombuffer(x, np.uint64).reshape(-1, 3) for x in rows.column("body").to_pylist()]
+    words = np.concatenate(parts)
+    form, many = words[:, 2] >> np.uint64(48), words[:, 1] & _MANY > 0
+    out = np.zeros(len(words), np.uint8)
+    for d in range(STEP):
+        own = np.flatnonzero((words[:, 1] >> np.uint64(48 + d) & np.uint64(1) > 0) & ((form == 0) | (form == 1 + d)))
+        if not len(own):
+            continue
+        alone = form[own] > 0  # cut to its shift already
+        before, behind = words[own, 1] & np.uint64((1 << 48) - 1), words[own, 2] & np.uint64((1 << 48) - 1)
+        key = np.stack([words[own, 0], np.where(alone, before, seen_before(before, d)), seen_behind(behind, d)], 1)
+        _, _, place, _ = distinct(key, bits)
+        often = np.bincount(place, 1 + many[own])
+        out[own] |= (often[place] > 1).astype(np.uint8) << d
+    return answered(rows, [x.tobytes() for x in apart(out, parts)])
+
+
+ROWS = "unit int, bucket int, body binary"
+REGIONS = "unit int, h long, g long, at long, body binary"
+_NONE = {"unit": pa.int32(), "bucket": pa.int32(), "body": pa.binary()}
+
+
+def nothing() -> pa.Table:
+    return pa.table({c: pa.array([], t) for c, t in _NONE.items()})
+
+
+def regions(texts: DataFrame, size: int, length: int, period: int, piece: int = PIECE) -> DataFrame:
+    """The parts of the texts (h, g, text) that the screen leaves, as rows (unit, h, g, at: byte offset in the text, body)."""
+    spark = texts.sparkSession
+    units, buckets = (max(width(spark), size // n + 1) for n in (UNIT_BYTES, BUCKET_BYTES))
+    n = F.octet_length("text").cast("long")
+    cut = F.explode(F.sequence(F.lit(0).cast("long"), F.floor((n - length) / piece)))
+    pieces = texts.where(n >= length).select("h", "g", F.col("text").cast("binary").alias("text"), cut.alias("k"))
+    body = F.expr(f"substring(text, cast(k * {piece} + 1 as int), {piece + length - 1})")
+    pieces = pieces.select(F.pmod(F.xxhash64("h", "g", "k"), F.lit(units)).cast("int").alias("unit"), "h", "g", "k", body.alias("body"))
 
+    def sample(rows: pa.Table) -> pa.Table:
+        own = Screen(rows, length, period)
+        hashes, borders, _, _ = dealt(own.hashes, buckets)
+        return sent(rows.column("unit")[0].as_py(), hashes.astype(np.uint32), borders)
 
-SENT, FLAGS = "unit int, bucket int, names binary", "unit int, bucket int, bits binary"
+    flags = pieces.groupBy("unit").applyInArrow(sample, ROWS).groupBy("bucket").applyInArrow(ties, ROWS)
+    flags = staged(flags, "ties")
 
+    def leave(rows: pa.Table, flags: pa.Table) -> pa.Table:
+        if not rows.num_rows:
+            return pa.table({"unit": pa.array([], pa.int32()), "h": pa.array([], pa.int64()), "g": pa.array([], pa.int64()), "at": pa.array([], pa.int64()), "body": pa.array([], pa.binary())})
+        own = Screen(rows, length, period)
+        found = own.regions(told(own, flags, buckets))
+        part = pa.array([i for i, _, _ in found], pa.int64())
+        raw, base = own.raw, own.borders
+        take = lambda c: own.rows.column(c).combine_chunks().take(part)
+        return pa.table({
+            "unit": take("unit"), "h": take("h"), "g": take("g"),
+            "at": pc.add(pc.multiply(take("k"), piece), pa.array([a for _, a, _ in found], pa.int64())),
+            "body": pa.array([raw[base[i] + a : base[i] + b].tobytes() for i, a, b in found], pa.binary()),
+        })
+
+    out = staged(pieces.groupBy("unit").cogroup(flags.groupBy("unit")).applyInArrow(leave, REGIONS), "regions")
+    discard(flags)
+    return out
+
+
+def repeated(left: DataFrame, length: int, bits: int, crowd: int) -> DataFrame:
+    """(h, g, from, to): runs of repeated bytes of the texts, from their regions; runs of neighbouring pieces can overlap."""
+    spark, plan = left.sparkSession, levels(length)
+    size = left.agg(F.sum(F.octet_length("body"))).first()[0] or 0
+    zones = max(width(spark), size // UNIT_BYTES + 1)
+    buckets = max(width(spark), size * 12 // BUCKET_BYTES + 1)
+    left = left.withColumn("unit", F.pmod("unit", F.lit(zones)).cast("int"))
+
+    def named(rows: pa.Table, known: pa.Table, most: int) -> Zone:
+        own = Zone(rows, length, bits)
+        for n, level in enumerate(plan[:most]):
+            ranks = known.filter(pc.equal(known.column("level"), n))
+            own.take(*own.triples(level, n == 0), ranks, buckets)
+        return own
+
+    def step(most: int):
+        def run(rows: pa.Table, known: pa.Table | None) -> pa.Table:
+            if not rows.num_rows:
+                return nothing()
+            own, unit = named(rows, known, most), rows.column("unit")[0].as_py()
+            if most < len(plan):
+                words, keys, _, often = distinct(own.triples(plan[most], most == 0)[1], bits)
+                words = np.concatenate([words, often[:, None].astype(np.uint64)], 1)
+            else:
+                words, keys = own.suffixes()[1:]
+                words, keys, _, often = distinct(words, bits, keys)
+                words[often > 1, 1] |= _MANY
+            return sent(unit, words, bucket_borders(keys, buckets))
 
-def repeats(df: DataFrame, key: str = "doc_id", text: str = "text", length: int = LENGTH, period: int = PERIOD, with_text: bool = False) -> DataFrame:
+        return run if most else lambda rows: run(rows, None)
+
+    def mark(rows: pa.Table, known: pa.Table) -> pa.Table:
+        empty = {"h": pa.int64(), "g": pa.int64(), "from": pa.int64(), "to": pa.int64()}
+        if not rows.num_rows:
+            return pa.table({c: pa.array([], t) for c, t in empty.items()})
+        own = named(rows, known, len(plan))
+        sample, words, keys = own.suffixes()
+        _, keys, place, _ = distinct(words, bits, keys)
+        borders, found = bucket_borders(keys, buckets), np.zeros(len(keys), np.uint8)
+        answers = known.filter(pc.equal(known.column("level"), len(plan)))
+        for b, body in zip(answers.column("bucket").to_pylist(), answers.column("body").to_pylist(), strict=True):
+            found[borders[b] : borders[b + 1]] = np.frombuffer(body, np.uint8)
+        shifts = found[place] if len(place) else found
+        again = np.zeros(len(own.raw) + 1, bool)
+        for d in range(STEP):
+            again[own.at[sample[shifts >> d & 1 > 0]] - d] = True
+        spans = runs(np.flatnonzero(again), length, own.borders)
+        part = pa.array([i for i, _, _ in spans], pa.int64())
+        take = lambda c: own.rows.column(c).combine_chunks().take(part)
+        at = take("at")
+        return pa.table({"h": take("h"), "g": take("g"), "from": pc.add(at, pa.array([a for _, a, _ in spans], pa.int64())), "to": pc.add(at, pa.array([b for _, _, b in spans], pa.int64()))})
+
+    def rank(words: int):
+        return lambda t: ranked(t, words, bits, crowd)
+
+    known = None
+    for n in range(len(plan) + 1):
+        if known is None:
+            out = left.groupBy("unit").applyInArrow(step(n), ROWS)
+        else:
+            out = left.groupBy("unit").cogroup(known.groupBy("unit")).applyInArrow(step(n), ROWS)
+        apply = rank(3 + (plan[n][2] > 0)) if n < len(plan) else lambda t: merged(t, bits)
+        answers = staged(out.groupBy("bucket").applyInArrow(apply, ROWS).withColumn("level", F.lit(n)), "ranks")
+        known = answers if known is None else known.union(answers)
+    return left.groupBy("unit").cogroup(known.groupBy("unit")).applyInArrow(mark, "h long, g long, from long, to long")
+
+
+def repeats(
+    df: DataFrame, key: str = "doc_id", text: str = "text", length: int = LENGTH, period: int = PERIOD, with_text: bool = False, bits: int = 64, crowd: int = CROWD, piece: int = PIECE
+) -> DataFrame:
     """Per document the bytes, removed bytes and maximal removed runs, and a digest of what remains.
 
-    with_text adds the runs (from, to: byte borders) and the remaining bytes.
+    with_text adds the runs (from, to: byte borders) and the remaining bytes. bits: how many bits of the hash deal and
+    presort triples; crowd and piece: as CROWD and PIECE. None of the three changes the results.
     """
     spark = df.sparkSession
-    base = df.select(F.col(key).cast("long").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
-    size = base.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    units, buckets = (max(width(spark), size // n + 1) for n in (UNIT_BYTES, BUCKET_BYTES))
-    docs = base.withColumn("unit", F.pmod(F.xxhash64("doc_id"), F.lit(units)).cast("int"))
-
-    text_hash = F.xxhash64("text")
-    keyed = docs.select("doc_id", "unit", text_hash.alias("h"), F.xxhash64(F.lit("copy"), "text").alias("g"))
-    classes = keyed.groupBy("h", "g").agg(F.min("doc_id").alias("first"), F.count("*").alias("n")).where("n > 1")
-    copies = keyed.join(classes, ["h", "g"]).select(
-        "unit",
-        F.col("doc_id").eqNullSafe(F.col("first")).cast("int").alias("bucket"),
-        F.concat_ws(":", F.coalesce("doc_id", F.lit(NO_ID)).cast("string"), F.col("h").cast("string")).cast("binary").alias("bits"),
-        F.lit(0).alias("level"),
-    )
-    copies = staged(copies.distinct(), "copies")
-
-    def sample(rows: pa.Table, flags: pa.Table) -> pa.Table:
-        if not rows.num_rows:
-            return nothing()
-        own = Unit(rows, flags, length, period)
-        return sent(rows.column("unit")[0].as_py(), own.names.of(own.sampled, own.reach), buckets, np.uint32)
-
-    def nothing() -> pa.Table:
-        return pa.table({"unit": pa.array([], pa.int32()), "bucket": pa.array([], pa.int32()), "names": pa.array([], pa.binary())})
-
-    def first_flags(flags: pa.Table, level: int) -> pa.Table:
-        return flags.filter(pc.equal(flags.column("level"), level))
-
-    def remaining(own: Unit, flags: pa.Table) -> np.ndarray:
-        return own.candidates(told(own.names.of(own.sampled, own.reach), first_flags(flags, 1), buckets))
-
-    def merge(rows: pa.Table, flags: pa.Table) -> pa.Table:
-        if not rows.num_rows:
-            return nothing()
-        own = Unit(rows, flags, length, period)
-        return sent(rows.column("unit")[0].as_py(), own.names.of(remaining(own, flags), length), buckets, np.uint64)
-
-    def finish(rows: pa.Table, flags: pa.Table) -> pa.Table:
-        own = Unit(rows, flags, length, period)
-        at = remaining(own, flags)
-        at = at[told(own.names.of(at, length), first_flags(flags, 2), buckets)]
-        step = np.zeros(len(own.raw) + 1, np.int32)
-        step[:-1] += np.bincount(at, minlength=len(own.raw)).astype(np.int32)
-        step[:] -= np.bincount(at + length, minlength=len(own.raw) + 1).astype(np.int32)
-        gone = np.cumsum(step[:-1]) > 0
-        runs, kept = {}, {}
-        for i, a, b in zip(own.here.tolist(), own.borders[:-1].tolist(), own.borders[1:].tolist(), strict=True):
-            part = gone[a:b]
-            if part.any():
-                edge = np.flatnonzero(np.diff(np.concatenate([[0], part.astype(np.int8), [0]])))
-                runs[i] = edge.reshape(-1, 2)
-                kept[i] = own.raw[a:b][~part].tobytes()
-            else:
-                kept[i] = own.raw[a:b].tobytes()
-        for i in np.flatnonzero(own.copied & (own.all_sizes >= length)).tolist():
-            runs[i], kept[i] = np.array([[0, own.all_sizes[i]]]), b""
-        short = [i for i in range(len(own.ids)) if i not in kept]
-        if short:
-            whole = rows.select(["doc_id", "text"]).sort_by([("doc_id", "ascending"), ("text", "ascending")]).column("text")
-            kept |= {i: whole[i].as_py().encode() for i in short}
-        n = range(len(own.ids))
-        out = {
-            "doc_id": own.ids, "n_bytes": own.all_sizes, "n_removed": pa.array([int((runs[i][:, 1] - runs[i][:, 0]).sum()) if i in runs else 0 for i in n], pa.int64()),
-            "n_spans": pa.array([len(runs[i]) if i in runs else 0 for i in n], pa.int64()), "kept_sha256": [hashlib.sha256(kept[i]).hexdigest() for i in n],
-        }
-        if with_text:
-            out["kept"] = pa.array([kept[i] for i in n], pa.binary())
-            spans = [[{"from": int(x), "to": int(y)} for x, y in runs[i]] if i in runs else [] for i in n]
-            out["spans"] = pa.array(spans, pa.list_(pa.struct([("from", pa.int64()), ("to", pa.int64())])))
-        return pa.table(out)
-
-    def pass_(step, known: DataFrame, kind: type, level: int, tag: str) -> DataFrame:
-        names = docs.groupBy("unit").cogroup(known.groupBy("unit")).applyInArrow(step, SENT)
-        return staged(names.groupBy("bucket").applyInArrow(lambda t: ties(t, kind), FLAGS).withColumn("level", F.lit(level)), tag)
-
-    known = copies.union(pass_(sample, copies, np.uint32, 1, "ties"))
-    known = known.union(pass_(merge, known, np.uint64, 2, "repeats"))
-    schema = RESULT + (", kept binary, spans array<struct<from: long, to: long>>" if with_text else "")
-    return docs.groupBy("unit").cogroup(known.groupBy("unit")).applyInArrow(finish, schema)
+    base = df.select(F.col(key).cast("long").alias("doc_id"), F.coalesce(F.col(text).cast("string"), F.lit("")).alias("text"))
+    named = [F.xxhash64("text").alias("h"), F.xxhash64(F.lit("copy"), "text").alias("g")]
+    texts = staged(base.groupBy("text").agg(F.count("*").alias("n")).select(*named, "n", "text"), "texts")
+    size, most = texts.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0)), F.coalesce(F.sum("n"), F.lit(0))).first()
+    left = regions(texts.select("h", "g", "text"), size, length, period, piece)
+    found = repeated(left, length, bits, crowd)
+    spans = staged(found.groupBy("h", "g").agg(F.sort_array(F.collect_list(F.struct("from", "to"))).alias("spans")), "spans")  # the runs of one text
+    discard(left)
+
+    more = ", kept binary, spans array<struct<from: long, to: long>>" if with_text else ""
+
+    def finish(batches):
+        for batch in slices(batches, "text", 8 << 20):
+            out = []
+            for h, g, n, raw, own in zip(*(batch.column(c).to_pylist() for c in ("h", "g", "n")), batch.column("text").cast(pa.large_binary()).to_pylist(), batch.column("spans").to_pylist(), strict=True):
+                gone, kept, at = [], [], 0
+                for a, b in [(0, len(raw))] if n > 1 and len(raw) >= length else [(s["from"], s["to"]) for s in own or ()]:
+                    if gone and a <= gone[-1][1]:
+                        gone[-1][1] = max(gone[-1][1], b)
+                    else:
+                        gone.append([a, b])
+                for a, b in gone:
+                    kept.append(raw[at:a])
+                    at = b
+                rest = b"".join([*kept, raw[at:]])
+                row = (h, g, n, len(raw), len(raw) - len(rest), len(gone), hashlib.sha256(rest).hexdigest())
+                out.append((*row, rest, [{"from": a, "to": b} for a, b in gone]) if with_text else row)
+            kinds = [pa.int64()] * 6 + [pa.string()] + ([pa.binary(), pa.list_(pa.struct([("from", pa.int64()), ("to", pa.int64())]))] if with_text else [])
+            names = ["h", "g", "n", "n_bytes", "n_removed", "n_spans", "kept_sha256"] + (["kept", "spans"] if with_text else [])
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), kinds, strict=True)], names)
+
+    joined = texts.join(spans, ["h", "g"], "left").select("h", "g", "n", "text", "spans")
+    results = staged(joined.mapInArrow(finish, "h long, g long, n long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + more), "results")
+    discard(texts, spans)
+    # Texts with very many rows, at most a thousand of them, are dealt out by the order of their rows.
+    share = max(1000, most // 1000)
+    hot = staged(results.where(F.col("n") > share).select(F.col("h").alias("hh"), F.col("g").alias("gg"), F.ceil(F.col("n") / share).cast("long").alias("salts")), "hot")
+    rows = base.select("doc_id", *named)
+    rows = rows.join(F.broadcast(hot), (F.col("h") == F.col("hh")) & (F.col("g") == F.col("gg")), "left")
+    rows = rows.withColumn("salt", F.coalesce(F.pmod(F.monotonically_increasing_id(), F.col("salts")), F.lit(0).cast("long"))).select("doc_id", "h", "g", "salt")
+    every = F.explode(F.sequence(F.lit(0).cast("long"), F.when(F.col("n") > share, F.ceil(F.col("n") / share) - 1).otherwise(0).cast("long")))
+    columns = [x.split()[0] for x in RESULT.split(", ")] + (["kept", "spans"] if with_text else [])
+    return rows.join(results.withColumn("salt", every).drop("n"), ["h", "g", "salt"]).select(*columns)
