@@ -1,9 +1,13 @@
 """GIF media columns: LZW code streams, palettes, disposal, transparency, timed frames, colour histograms.
 
 `decode_frames` turns a column of GIF files into one row a frame, composed on the logical screen.
-`store_text` keeps any bytes losslessly as 8-bit samples of a GIF, `read_back` gets them again.
-Null or damaged files give one row with `error` set and no frame; empty tables give empty results;
-other columns of the input are left out, so clashing names cannot occur.
+`store_text` keeps any bytes losslessly as 8-bit samples of a GIF, `read_back` gets them again, and composes the
+frames with the palette, times, disposal and transparency that the file holds.
+
+Null or damaged files give one row with `error` set and no frame; null or empty texts are stored as one row of blanks.
+Very long texts become many frames and are worked on one text at a time. Repeated rows are each returned, equal
+texts with equal values; there are no ties. Empty tables give empty results; other columns of the input are left out, so
+clashing names cannot occur.
 """
 
 from __future__ import annotations
@@ -19,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from relgraph.llm.common import texts
+from relgraph.llm.common import slices, texts
 
 WIDTH, ROWS, DELAY_CS = 192, 256, 10
 MOST_CODES, FULL = 4096, 4095
@@ -29,9 +33,12 @@ FRAME_SCHEMA = (
 )
 TEXT_SCHEMA = (
     "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, "
-    "media_bytes long, media_sha256 string, feature string"
+    "media_bytes long, media_sha256 string, feature string, "
+    "frames array<struct<start_ms: long, delay_ms: long, disposal: int, transparent: int, histogram: array<int>>>"
 )
 
+FRAMES = pa.list_(pa.struct([("start_ms", pa.int64()), ("delay_ms", pa.int64()), ("disposal", pa.int32()), ("transparent", pa.int32()), ("histogram", pa.list_(pa.int32()))]))
+
 
 @dataclass
 class Frame:
@@ -219,14 +226,19 @@ def parse(raw: bytes) -> tuple[int, int, int, list[Frame]]:
 
 def histogram(rgb: np.ndarray) -> np.ndarray:
     """Pixels in each of 64 colours: two high bits of red, green and blue."""
-    top = rgb.reshape(-1, 3).astype(np.int64) >> 6
-    return np.bincount(top[:, 0] * 16 + top[:, 1] * 4 + top[:, 2], minlength=64)
+    top = rgb >> 6
+    return np.bincount((top[..., 0] << 4 | top[..., 1] << 2 | top[..., 2]).ravel(), minlength=64)
 
 
 def compose(raw: bytes) -> Iterator[tuple[Frame, np.ndarray]]:
-    """Each frame with the screen as shown: transparent samples keep what lies below; after its time a frame
-    stays, is cleared to the background (black, as viewers show it) or gives way to what was there before."""
+    """Each frame of a file with the screen as shown."""
     width, height, _, frames = parse(raw)
+    return shown(width, height, frames)
+
+
+def shown(width: int, height: int, frames: list[Frame]) -> Iterator[tuple[Frame, np.ndarray]]:
+    """Each frame with the screen: transparent samples keep what lies below; after its time a frame
+    stays, is cleared to the background (black, as viewers show it) or gives way to what was there before."""
     screen = np.zeros((height, width, 3), np.uint8)
     for f in frames:
         before = screen.copy() if f.disposal == 3 else None
@@ -289,28 +301,32 @@ def store_text(raw: bytes) -> bytes:
     return encode(frames, WIDTH, min(ROWS, len(samples)), colours)
 
 
-def read_back(media: bytes) -> tuple[bytes, str]:
-    """The stored bytes, and a feature: frames, milliseconds, and the pixels in each of 64 colours as frames show them."""
-    _, _, _, frames = parse(media)
-    counts = sum((np.bincount(f.index.ravel(), minlength=256) for f in frames), np.zeros(256, np.int64))
-    top = cube().astype(np.int64) >> 6
-    bins = np.bincount(top[:, 0] * 16 + top[:, 1] * 4 + top[:, 2], counts, 64).astype(np.int64)
-    feature = f"{len(frames)};{sum(f.delay_cs for f in frames) * 10};" + ",".join(map(str, bins))
-    return b"".join(f.index.tobytes() for f in frames), feature
+def read_back(media: bytes) -> tuple[bytes, str, list[dict]]:
+    """The stored bytes; a feature: frames, milliseconds, and the pixels in each of 64 colours as the frames show
+    them; and the timed frames with their histograms."""
+    width, height, _, stored = parse(media)
+    frames, began, total = [], 0, np.zeros(64, np.int64)
+    for f, rgb in shown(width, height, stored):
+        own = histogram(rgb)
+        total += own
+        frames.append({"start_ms": began, "delay_ms": f.delay_cs * 10, "disposal": f.disposal, "transparent": f.transparent, "histogram": own.tolist()})
+        began += f.delay_cs * 10
+    feature = f"{len(frames)};{began};" + ",".join(map(str, total.tolist()))
+    return b"".join(f.index.tobytes() for f in stored), feature, frames
 
 
 def text_media(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     """Store each whole text as a GIF, read it back, and return digests of both forms (null text: empty)."""
 
     def run(batches):
-        for batch in batches:
+        for batch in slices(batches, "text"):
             out = []
             for k, raw in zip(batch.column(0).to_pylist(), texts(batch.column(1)), strict=True):
                 media = store_text(raw)
-                got, feature = read_back(media)
-                out.append((k, len(raw), len(got), hashlib.sha256(got).hexdigest(), zlib.crc32(got[-16:]), len(media), hashlib.sha256(media).hexdigest(), feature))
-            if out:
-                names = [x.split()[0] for x in TEXT_SCHEMA.split(", ")]
-                yield pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*out, strict=True)], names)
+                got, feature, frames = read_back(media)
+                out.append((k, len(raw), len(got), hashlib.sha256(got).hexdigest(), zlib.crc32(got[-16:]), len(media), hashlib.sha256(media).hexdigest(), feature, frames))
+            kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), FRAMES]
+            names = ["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "frames"]
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), kinds, strict=True)], names)
 
-    return df.select(F.col(key).cast("long").alias("doc_id"), F.col(text)).mapInArrow(run, TEXT_SCHEMA)
+    return df.select(F.col(key).cast("long").alias("doc_id"), F.col(text).alias("text")).mapInArrow(run, TEXT_SCHEMA)
