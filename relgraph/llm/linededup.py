@@ -3,19 +3,22 @@
 Lines that stand in several documents form a dictionary. Its 128-bit line hashes are dealt to shards, and
 each shard becomes a minimal perfect hash: levels of bit arrays, where hashes that collide at one level move
 on to the next, and a line's place is the number of set bits before its own. At that place lie arrays with
-the line's fingerprint, its document count and the largest document that holds it. Documents send their
-line hashes to the shards and probe the arrays; no line text is joined. A shard that a common line makes
-hot is copied to as many salted groups as its probes ask for.
-
-Null or empty texts are one empty line. A row without doc_id is no document to count and keeps its lines. A document that repeats a line counts once for it. Rows that repeat
-a doc_id count as one document and each loses the same lines. Extra columns stay where `clean` is used and
-are left out elsewhere; columns named like the operator's own are no problem, as it works on positions.
-Empty tables: no rows.
+the line's fingerprint, its document count and the largest document that holds it. A shard is built once and
+written as one row of packed arrays. Documents send their line hashes to the shards and probe the arrays; no line
+text is joined. Line hashes are dealt to salted groups by the number of probes that their shard gets, whether these
+are of common lines or of lines that no shard knows, and each group gets the shard's packed arrays.
+
+Null or empty texts are one empty line. A row without doc_id is no document to count and keeps its lines. A document
+that repeats a line counts once for it. Rows that repeat a doc_id count as one document and each loses the same lines, so
+the largest doc_id is never tied. Very long texts are split and hashed as wholes, one text at a time. Extra columns stay
+where `clean` is used and are left out elsewhere; columns named like the operator's own are no problem, as it
+works on positions. Empty tables: no rows.
 """
 
 from __future__ import annotations
 
 import hashlib
+import pickle
 from functools import cache
 
 import numpy as np
@@ -23,11 +26,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from relgraph.llm.common import BLANKS, LOWER, staged, texts, width
+from relgraph.llm.common import BLANKS, LOWER, slices, staged, texts, width
 
 LEAST, OFTEN = 20, 3
-#: Probes that one group of a shard should get, about.
-SHARE = 4000
+#: Probes that one group of a shard should get, and lines of the dictionary that a shard should hold, about.
+SHARE, SHARD = 200_000, 100_000
 
 
 def line_key(line: bytes) -> bytes:
@@ -98,6 +101,24 @@ class Shard:
         self.print, self.count, self.largest = np.empty_like(low), np.empty_like(count), np.empty_like(largest)
         self.print[at], self.count[at], self.largest[at] = low, count, largest
 
+    def packed(self) -> bytes:
+        """The arrays as bytes; ranks are left out, as they are counted again."""
+        bits = [(len(alone), np.packbits(alone).tobytes()) for alone, _ in self.hash.levels]
+        return pickle.dumps((bits, self.print.tobytes(), self.count.tobytes(), self.largest.tobytes()))
+
+    @staticmethod
+    def unpacked(body: bytes) -> Shard:
+        bits, *arrays = pickle.loads(body)
+        own = Shard.__new__(Shard)
+        own.hash = PerfectHash(np.zeros(0, np.uint64))
+        base = 0
+        for size, level in bits:
+            alone = np.unpackbits(np.frombuffer(level, np.uint8), count=size).astype(bool)
+            own.hash.levels.append((alone, base + np.cumsum(alone) - alone))
+            base += int(alone.sum())
+        own.print, own.count, own.largest = (np.frombuffer(a, np.int64) for a in arrays)
+        return own
+
     def probe(self, high: np.ndarray, low: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Which hashes are known, and their places."""
         at = self.hash.place(high.view(np.uint64))
@@ -110,7 +131,7 @@ def line_hashes(df: DataFrame, least: int) -> DataFrame:
     """(doc_id, high, low) for each distinct line key of at least `least` code points in a document."""
 
     def run(batches):
-        for batch in batches:
+        for batch in slices(batches, "text"):
             ids, high, low = [], [], []
             for k, raw in zip(batch.column(0).to_pylist(), texts(batch.column(1)), strict=True):
                 for key in {key for line in raw.split(b"\n") if long_enough(key := line_key(line), least)}:
@@ -123,34 +144,39 @@ def line_hashes(df: DataFrame, least: int) -> DataFrame:
     return df.mapInArrow(run, "doc_id long, high long, low long")
 
 
-def drops(df: DataFrame, key: str = "doc_id", text: str = "text", least: int = LEAST, often: int = OFTEN) -> DataFrame:
+def drops(df: DataFrame, key: str = "doc_id", text: str = "text", least: int = LEAST, often: int = OFTEN, share: int = SHARE, shard_lines: int = SHARD) -> DataFrame:
     """(doc_id, gone: low hashes of the line keys that this document loses), only documents that lose lines."""
     spark = df.sparkSession
-    found = staged(line_hashes(df.where(F.col(key).isNotNull()).select(F.col(key).cast("long").alias("doc_id"), F.col(text)), least).distinct(), "lines")
+    rows = df.select(F.col(key).cast("long").alias("doc_id"), F.col(text).alias("text")).where("doc_id is not null")
+    found = staged(line_hashes(rows, least).distinct(), "lines")
     counted = found.groupBy("high", "low").agg(F.count("*").alias("n"), F.max("doc_id").alias("largest")).where(F.col("n") >= often)
     known = staged(counted, "dictionary")
-    shards = max(width(spark), known.count() // 100_000 + 1)
+    shards = max(width(spark), known.count() // shard_lines + 1)
     shard = F.pmod(F.xxhash64("high"), F.lit(shards)).cast("int")
-    load = known.groupBy(shard.alias("shard")).agg(F.sum("n").alias("n"))
-    load = load.select("shard", F.ceil(F.col("n") / SHARE).cast("int").alias("salts"))  # a row a shard: bounded
-    load = staged(load, "load")
+
+    def build(lines: pa.Table) -> pa.Table:
+        high, low, n, largest = (lines.column(c).combine_chunks().to_numpy() for c in ("high", "low", "n", "largest"))
+        return pa.table({"shard": lines.column("shard")[:1], "arrays": pa.array([Shard(high, low, n, largest).packed()], pa.binary())})
+
+    arrays = staged(known.withColumn("shard", shard).groupBy("shard").applyInArrow(build, "shard int, arrays binary"), "shards")
+    load = found.groupBy(shard.alias("shard")).agg(F.ceil(F.count("*") / share).cast("int").alias("salts"))
+    load = staged(load.join(arrays.select("shard"), "shard"), "load")  # a row a shard, of which there are few
+    salted = arrays.join(F.broadcast(load), "shard").withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1))).select("shard", "salt", "arrays")
     again = F.broadcast(staged(load, "load"))  # read apart, as both sides of the cogroup derive from it
-    load = F.broadcast(load)
-    salted = known.withColumn("shard", shard).join(again, "shard").withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)))
-    probes = found.withColumn("shard", shard).join(load, "shard").withColumn("salt", F.pmod(F.xxhash64("doc_id", F.lit(7)), F.col("salts")).cast("int"))
+    probes = found.withColumn("shard", shard).join(again, "shard").withColumn("salt", F.pmod(F.xxhash64("doc_id", F.lit(7)), F.col("salts")).cast("int"))
 
     def probe(lines: pa.Table, arrays: pa.Table) -> pa.Table:
         if not lines.num_rows or not arrays.num_rows:
             return pa.table({"doc_id": pa.array([], pa.int64()), "low": pa.array([], pa.int64())})
-        of = lambda t, c: t.column(c).combine_chunks().to_numpy()
-        index = Shard(*(of(arrays, c) for c in ("high", "low", "n", "largest")))
-        doc, high, low = (of(lines, c) for c in ("doc_id", "high", "low"))
+        index = Shard.unpacked(arrays.column("arrays")[0].as_py())
+        doc, high, low = (lines.column(c).combine_chunks().to_numpy() for c in ("doc_id", "high", "low"))
         hit, at = index.probe(high, low)
         hit[hit] = index.largest[at[hit]] != doc[hit]
         return pa.table({"doc_id": doc[hit], "low": low[hit]})
 
+    probes = probes.select("shard", "salt", "doc_id", "high", "low")
     gone = probes.groupBy("shard", "salt").cogroup(salted.groupBy("shard", "salt")).applyInArrow(probe, "doc_id long, low long")
-    return gone.groupBy("doc_id").agg(F.collect_list("low").alias("gone"))
+    return gone.groupBy("doc_id").agg(F.collect_list("low").alias("gone"))  # lines of one document
 
 
 def _kept(raw: bytes, gone: set[int]) -> tuple[list[bytes], int]:
@@ -170,21 +196,22 @@ def clean(df: DataFrame, key: str = "doc_id", text: str = "text", least: int = L
 
     A document whose lines all go keeps an empty text.
     """
-    names = df.columns
-    lost = drops(df, key, text, least, often).withColumnsRenamed({"doc_id": "_doc", "gone": "_gone"})
-    joined = df.join(lost, df[key].cast("long") == lost["_doc"], "left").drop("_doc")
-    at = names.index(text)
+    names, at = df.columns, df.columns.index(text)
+    lost = drops(df, key, text, least, often)
+    plain = [f"c{i}" for i in range(len(names))]
+    own = df.toDF(*plain)
+    joined = own.join(lost, F.col(f"c{names.index(key)}").cast("long") == F.col("doc_id"), "left").drop("doc_id")
 
     def run(batches):
-        for batch in batches:
+        for batch in slices(batches, f"c{at}"):
             out = []
             for raw, gone, absent in zip(texts(batch.column(at)), batch.column(len(names)).to_pylist(), batch.column(at).is_null().to_pylist(), strict=True):
                 out.append(None if absent else b"\n".join(_kept(raw, set(gone or ()))[0]).decode("utf-8", "replace"))
             columns = [batch.column(i) for i in range(len(names))]
             columns[at] = pa.array(out, pa.string())
-            yield pa.RecordBatch.from_arrays(columns, names)
+            yield pa.RecordBatch.from_arrays(columns, plain)
 
-    return joined.mapInArrow(run, df.schema)
+    return joined.mapInArrow(run, own.schema).toDF(*names)
 
 
 def digest(df: DataFrame, key: str = "doc_id", text: str = "text", least: int = LEAST, often: int = OFTEN) -> DataFrame:
@@ -194,7 +221,7 @@ def digest(df: DataFrame, key: str = "doc_id", text: str = "text", least: int =
     joined = base.join(lost, "doc_id", "left").select("doc_id", "text", "gone")
 
     def run(batches):
-        for batch in batches:
+        for batch in slices(batches, "text"):
             total, dropped, sums = [], [], []
             for raw, gone in zip(texts(batch.column(1)), batch.column(2).to_pylist(), strict=True):
                 kept, n = _kept(raw, set(gone or ()))
