@@ -1,15 +1,18 @@
 """Secret scans with a randomness test battery, in DataFrame functions only.
 
 Base patterns find assignments, access ids and hexadecimal runs. The battery looks at every maximal run of
-20 or more encoding characters: an encoding is inferred from its characters, and the run's symbols are
-tested for uniform use of the alphabet (chi-squared), for the number of runs of upper and lower halves, and
+20 or more encoding characters. An equals sign can only end a run, as padding, so names do not join their values; a
+slash beside a lower-case word or before hexadecimal digits parts runs, as in paths. An encoding is inferred from the
+run's characters, and its symbols are tested for uniform use of the alphabet (chi-squared), for the number of runs of upper and lower halves, and
 for serial correlation. A run that fails these at 0.001 is no random string. For the others, the chance that
 text of this length would use the alphabet so evenly is a p-value against "this is text", so a short run
 must be more even than a long one to count. Discoveries are controlled at a false rate of 0.01 within
 classes of length, by the step-up rule on a histogram of p-values, whose size is fixed.
 
-Positions are code points, ends exclusive. Null or empty texts have no spans. Rows that repeat a doc_id are
-scanned each. Other columns are left out. Empty tables: no rows.
+Positions are code points, ends exclusive, and cost the same for each match however many a text has (running sums of
+64, 64 by 64, and so on). Null or empty texts have no spans. Very long texts are scanned whole, a row at a time. Rows that
+repeat a doc_id are scanned each; spans that start together are ordered by kind. Other columns are left out, so names
+cannot clash. Empty tables: no rows.
 """
 
 from __future__ import annotations
@@ -25,7 +28,7 @@ ASSIGN = r"""(?i:password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?(
 # A whole run is at least as long as asked exactly if it matches with that length, as runs are maximal.
 ACCESS = r"AKIA[A-Z0-9]{12,}"
 HEX = r"(?<![0-9a-f])[0-9a-f]{32,}+"
-RUN = r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_=-]{20,}+"
+RUN = r"(?<![A-Za-z0-9+_-])(?:[A-Za-z0-9+_-]|(?<![a-z]{3})/(?![a-z]{3}|[0-9a-fA-F]{20})){20,}+={0,2}"
 #: Encodings, the first that fits: pattern, alphabet, sum of squared letter shares of text in it.
 ENCODINGS = (
     (r"^[0-9a-f]+$", "0123456789abcdef", 0.13),
@@ -39,16 +42,45 @@ ENCODINGS = (
 WRONG, FALSE_RATE, CLASSES, STEPS = 0.001, 0.01, 8, 300
 
 
-def spans(text: str, matches: str, pieces: str) -> Column:
+#: Values that one running sum goes over.
+BLOCK_BITS = 6
+
+
+def bound(value: Column, f) -> Column:
+    """f of a value that is worked out once, however often f names it."""
+    return F.element_at(F.transform(F.array(value), f), 1)
+
+
+def running(sizes: Column, depth: int = 3) -> Column:
+    """Sums of all values before each, of an array that is not empty."""
+    total = lambda part: F.aggregate(part, F.lit(0), lambda s, x: s + x)
+    if not depth:
+        return F.transform(sizes, lambda x, i: total(F.slice(sizes, F.lit(1), i)))
+    blocks = F.sequence(F.lit(0), F.shiftright(F.size(sizes) - 1, BLOCK_BITS))
+    sums = F.transform(blocks, lambda k: total(F.slice(sizes, F.shiftleft(k, BLOCK_BITS) + 1, F.lit(1 << BLOCK_BITS))))
+
+    def within(before):
+        first = lambda i: F.shiftleft(F.shiftright(i, BLOCK_BITS), BLOCK_BITS)
+        return F.transform(sizes, lambda x, i: F.get(before, F.shiftright(i, BLOCK_BITS)) + total(F.slice(sizes, first(i) + 1, i - first(i))))
+
+    return bound(bound(sums, lambda s: running(s, depth - 1)), within)
+
+
+def spans(matches: Column, pieces: Column) -> Column:
     """Start and end of each match, from the matches and the pieces between them."""
-    total = lambda a: F.aggregate(F.transform(a, lambda x: F.length(x)), F.lit(0), lambda s, x: s + x)
-    return F.transform(
-        F.sequence(F.lit(1), F.size(matches)),
-        lambda i: F.struct(
-            (total(F.slice(F.col(pieces), F.lit(1), i)) + total(F.slice(F.col(matches), F.lit(1), i - 1))).alias("start"),
-            (total(F.slice(F.col(pieces), F.lit(1), i)) + total(F.slice(F.col(matches), F.lit(1), i))).alias("end"),
-        ),
-    )
+
+    def placed(both):
+        steps = F.transform(both["m"], lambda x, i: F.length(F.get(both["p"], i)) + F.length(x))
+        at = lambda before: F.transform(
+            both["m"],
+            lambda x, i: F.struct(
+                (F.get(before, i) + F.length(F.get(both["p"], i))).alias("start"),
+                (F.get(before, i) + F.length(F.get(both["p"], i)) + F.length(x)).alias("end"),
+            ),
+        )
+        return bound(bound(steps, lambda s: running(s)), at)
+
+    return bound(F.struct(matches.alias("m"), pieces.alias("p")), placed)
 
 
 def tail(z: Column) -> Column:
@@ -59,8 +91,7 @@ def tail(z: Column) -> Column:
 
 def battery(x: Column) -> Column:
     """Struct of the tests of one run of characters: n, chi2, df, wrong (p against randomness), text (p against text)."""
-    # Each step is a struct, handed on through a one-element array so that it is worked out once.
-    then = lambda value, f: F.element_at(F.transform(F.array(value), f), 1)
+    # Each step is a struct, so that it is worked out once.
     pick = lambda k: _first([(p, F.lit(e[k])) for p, e in ((e[0], e) for e in ENCODINGS)], x)
     start = F.struct(
         F.split(F.rtrim(x, F.lit("=")), "").alias("c"), pick(1).alias("alphabet"), pick(2).alias("even")
@@ -103,7 +134,7 @@ def battery(x: Column) -> Column:
             tail(zt).alias("text"),
         )
 
-    return then(then(then(start, counts), sums), tests)
+    return bound(bound(bound(start, counts), sums), tests)
 
 
 def _first(cases: list[tuple[str, Column]], x: Column) -> Column:
@@ -121,29 +152,33 @@ def scan(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, base, runs): base spans in order, and the tested runs, of every document."""
     found = df.select(F.col(key).cast("long").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("t"))
     empty = F.array().cast("array<string>")
-    for kind, pattern in zip(KINDS, (ASSIGN, ACCESS, HEX, RUN), strict=True):
-        all_ = F.regexp_extract_all("t", F.lit(pattern), F.lit(0))
-        found = found.withColumn(kind, F.when(F.contains(F.col("t"), F.lit("AKIA")), all_).otherwise(empty) if kind == "access" else all_)
-    none = F.array().cast("array<struct<start:int,end:int>>")
-    for kind, pattern in zip(KINDS, (ASSIGN, ACCESS, HEX, RUN), strict=True):
-        found = found.withColumn(f"{kind}_between", F.when(F.size(kind) > 0, F.split("t", pattern, -1)))
-    found = found.withColumn("value", F.when(F.size("assign") > 0, F.regexp_extract_all("t", F.lit(ASSIGN), F.lit(1))))
     columns = ["doc_id"]
-    for rank, kind in enumerate(KINDS):
-        found = found.withColumn(f"{kind}_at", F.when(F.size(kind) > 0, spans("t", kind, f"{kind}_between")).otherwise(none))
-        named = of_kind(rank)
-        if kind == "assign":
-            own = F.filter(F.transform(f"{kind}_at", lambda s, i: F.when(F.length(F.get("value", i)) >= 8, named(s))), lambda s: s.isNotNull())
-        elif kind == "random":
-            own = F.transform(f"{kind}_at", lambda s, i: F.struct(s["start"].alias("start"), s["end"].alias("end"), battery(F.get("random", i)).alias("test")))
-        else:
-            own = F.transform(f"{kind}_at", named)
-        columns.append(own.alias(f"{kind}_span"))
+    for rank, (kind, pattern) in enumerate(zip(KINDS, (ASSIGN, ACCESS, HEX, RUN), strict=True)):
+        all_ = F.regexp_extract_all("t", F.lit(pattern), F.lit(0))
+        if kind == "access":
+            all_ = F.when(F.contains(F.col("t"), F.lit("AKIA")), all_).otherwise(empty)
+        columns.append(bound(all_, _found(rank, pattern)).alias(f"{kind}_span"))
     found = found.select(*columns)
     base = F.array_sort(F.concat("assign_span", "access_span", "hex_span"))
     return found.select("doc_id", base.alias("base"), F.col("random_span").alias("runs"))
 
 
+def _found(rank: int, pattern: str):
+    return lambda m: F.when(F.size(m) > 0, _kind(rank, m, pattern)).otherwise(F.array())
+
+
+def _kind(rank: int, matches: Column, pattern: str) -> Column:
+    """Spans of the matches of a kind, with the tests of random runs."""
+    at, named = spans(matches, F.split(F.col("t"), pattern, -1)), of_kind(rank)
+    if KINDS[rank] == "assign":
+        value = F.regexp_extract_all("t", F.lit(pattern), F.lit(1))
+        kept = lambda v: F.filter(F.transform(at, lambda s, i: F.when(F.length(F.get(v, i)) >= 8, named(s))), lambda s: s.isNotNull())
+        return bound(value, kept)
+    if KINDS[rank] == "random":
+        return F.transform(at, lambda s, i: F.struct(s["start"].alias("start"), s["end"].alias("end"), battery(F.get(matches, i)).alias("test")))
+    return F.transform(at, named)
+
+
 def discovered(runs: DataFrame) -> DataFrame:
     """(class, least): for each class of length the least step of -10 log10 p that the step-up rule accepts."""
     seen = runs.select(F.explode("runs").alias("r")).where(F.col("r.test.wrong") >= WRONG)
