@@ -10,10 +10,12 @@ The prefix of a leaf is found without gathering it: the hash that orders it is r
 token sums over these bits tell in which part the prefix ends, and after three readings only that part is
 put in order.
 
-Null tree values count as empty names, null texts as one token, null or missing weights as 0 (then the node
-gets nothing unless all its siblings have none, when they share evenly). Ties in order fall to doc_id. Rows
-that repeat a doc_id are documents of their own. Columns of the input are kept where documents are returned,
-and own columns start with an underscore, so names do not clash. Empty tables or budgets: no rows.
+Null tree values count as empty names, null and empty texts as one token, null or missing weights as 0 (then the node
+gets nothing unless all its siblings have none, when they share evenly). Very long texts are one document and the one
+at the end of a prefix is cut, not dropped. Ties in order fall to doc_id; a null doc_id is ordered by a hash of the text.
+Rows that repeat a doc_id are documents of their own; those that share a place in the order are taken alike. Columns of
+the input are kept where documents are returned; own columns start with an underscore, or with more where the
+input has such a name already, so names do not clash. Empty tables or budgets: no rows.
 """
 
 from __future__ import annotations
@@ -38,6 +40,20 @@ def tokens(text: str = "text") -> Column:
     return (F.length(t) - F.length(F.translate(t, " \n", "")) + 1).cast(FINE)
 
 
+def prefix(text: str, count: Column) -> Column:
+    """The first so many tokens of a text, without the blank or line end behind them."""
+    head = F.call_function("substring_index", F.translate(F.col(text), "\n", " "), F.lit(" "), count.cast("int"))
+    return F.substring(F.col(text), F.lit(1), F.length(head))
+
+
+def free_names(wanted: Sequence[str], taken: Sequence[str]) -> list[str]:
+    """The names with an underscore before them, and more of these until none is taken; case does not tell names apart."""
+    line, known = "_", {c.lower() for c in taken}
+    while any((line + n).lower() in known for n in wanted):
+        line += "_"
+    return [line + n for n in wanted]
+
+
 def order_key(seed: int, epoch: Column, key: Column) -> Column:
     """60 bits that order a leaf in an epoch: the first 15 hexadecimal digits of an md5."""
     return F.conv(F.substring(F.md5(F.concat_ws(":", F.lit(str(seed)), epoch.cast("string"), key.cast("string"))), 1, DIGITS), 16, 10).cast(FINE)
@@ -81,17 +97,20 @@ def quotas(leaves: DataFrame, tree: Sequence[str], weights: Sequence[Column], bu
 
 
 def chosen(df: DataFrame, tree: Sequence[tuple[str, Column]], weights: Sequence[Column], budget: int | float, epochs: int = 4, seed: int = 1, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """Documents with their tree columns, `_epoch` (from 0), `_tokens` and `_take`, a row for each epoch they serve in.
+    """Documents with their tree columns, `_epoch` (from 0), `_tokens` and `_take`, a row for each epoch they serve in;
+    these come last and have more underscores where the input has such names.
 
     tree: name and value of each level; weights: an integer for each level, from the tree columns so far.
     A budget below 1 is a share of all tokens, others are tokens. The document at the end of a prefix is
     taken in part (`_take` below `_tokens`).
     """
     names = [n for n, _ in tree]
-    columns = [c for c in df.columns if c not in names]
-    clash = {n for n, _ in tree} & set(df.columns)
-    docs = df.withColumns({f"_in_{n}": df[n] for n in clash}) if clash else df
-    docs = docs.withColumns({n: F.coalesce(v.cast("string"), F.lit("")) for n, v in tree}).withColumn("_tokens", tokens(text))
+    own = free_names([*names, "epoch", "tokens", "take"], df.columns)
+    ident = F.when(F.col(key).isNull(), F.concat(F.lit("n"), F.xxhash64(text).cast("string"))).otherwise(F.col(key).cast("string"))
+    levels = [F.coalesce(v.cast("string"), F.lit("")).alias(n) for n, v in tree]
+    # The input's columns travel in one struct, apart from all names used here.
+    docs = df.select(F.struct(*(F.col(f"`{c}`") for c in df.columns)).alias("_row"), ident.alias("_ident"), tokens(text).alias("_tokens"), *levels)
+    key = "_ident"
     leaves = staged(docs.groupBy(*names).agg(F.sum("_tokens").alias("_tokens")), "leaves")
     total, count = leaves.agg(F.coalesce(F.sum("_tokens"), F.lit(0)), F.count("*")).first()
     budget = int(total * budget) if budget < 1 else int(budget)
@@ -131,9 +150,8 @@ def chosen(df: DataFrame, tree: Sequence[tuple[str, Column]], weights: Sequence[
     docs = docs.withColumn("_more", more)
     docs = docs.withColumn("_epoch", F.explode(F.sequence(F.lit(0).cast(FINE), F.col("_whole")))).where((F.col("_epoch") < F.col("_whole")) | (F.col("_more") > 0))
     docs = docs.withColumn("_take", F.when(F.col("_epoch") < F.col("_whole"), F.col("_tokens")).otherwise(F.col("_more")))
-    own = {n: F.col(f"_in_{n}").alias(n) for n in clash}
-    kept = [own.get(c, F.col(c)) for c in df.columns]
-    return docs.select(*kept, *(F.col(n).alias(f"_{n}") for n in names), "_epoch", "_tokens", "_take")
+    made = [F.col(c).alias(o) for c, o in zip([*names, "_epoch", "_tokens", "_take"], own, strict=True)]
+    return docs.select("_row", *made).select("_row.*", *own)
 
 
 def corpus_tree() -> list[tuple[str, Column]]:
