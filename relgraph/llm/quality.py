@@ -4,11 +4,12 @@ Each byte becomes a learned vector, with one more input that tells whether the f
 short way earlier as well. Filters slide over overlapping chunks of bytes, over the whole text with its end
 padded; each filter's largest response anywhere in the text is kept, and a logistic unit combines these into one
 probability. The network learns from a bounded sample of labelled rows (SAMPLE, the rows with the least
-hash) by whole texts.
+hash) by whole texts of up to SAMPLE_BYTES bytes, so what the driver holds is bounded by their product.
 
-Null or empty texts are one chunk of padding. Null labels are left out of training; a doc_id labelled more
-than once is good if any label says so. Rows that repeat a doc_id are scored each. Extra columns are left
-out. No usable labels: the score is 1, as nothing speaks against a text. Empty tables: no rows.
+Null or empty texts are one chunk of padding; very long texts are scored whole, one at a time. Null labels are left out of
+training; a doc_id labelled more than once is good if any label says so, and one that repeats with different texts is
+learned from once. Rows that repeat a doc_id are scored each; a score of 0.5 counts as 1. Extra columns are left out (`accepted` keeps
+them), so names cannot clash. No usable labels: the score is 1, as nothing speaks against a text. Empty tables: no rows.
 """
 
 from __future__ import annotations
@@ -28,6 +29,8 @@ CHUNK, STRIDE, FILTERS, DIM = 16, 4, 16, 8
 ECHO = range(3, 25)
 #: Most labelled rows that training uses.
 SAMPLE = 4_000
+#: Most bytes of a text that training uses; longer ones are not learned from.
+SAMPLE_BYTES = 1 << 15
 
 
 def symbols(raw: np.ndarray, borders: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -145,7 +148,7 @@ def train(docs: list[bytes], labels: np.ndarray, epochs: int = 12, steps: int =
 
 
 def fit(docs: DataFrame, labels: DataFrame, parts: int = 3, held: int = 1, most: int = SAMPLE) -> Network:
-    found = labelled(docs, labels, "quality", parts, held, most).toArrow()
+    found = labelled(docs, labels, "quality", parts, held, most, SAMPLE_BYTES).toArrow()
     rows = sorted(zip(found.column("doc_id").to_pylist(), ((x or "").encode() for x in found.column("text").to_pylist()), found.column("label").to_pylist(), strict=True))
     return train([r[1] for r in rows], np.array([float(r[2] > 0) for r in rows]))
 
@@ -183,11 +186,12 @@ def quality(docs: DataFrame, labels: DataFrame) -> DataFrame:
 def accepted(docs: DataFrame, network: Network, least: float = 0.5) -> DataFrame:
     """The documents, with all their columns, whose score reaches `least`."""
     apply, shared = scorer(docs, network)
-    at = docs.columns.index("text")
+    names, at = docs.columns, docs.columns.index("text")
+    own = docs.toDF(*(f"c{i}" for i in range(len(names))))
 
     def run(batches):
         tables = shared.value.tables()
-        for part in slices(batches, "text", 1 << 20):
+        for part in slices(batches, f"c{at}", 1 << 20):
             yield part.filter(pa.array(apply(part.column(at), tables) >= least))
 
-    return docs.mapInArrow(run, docs.schema)
+    return own.mapInArrow(run, own.schema).toDF(*names)

@@ -5,9 +5,10 @@ each and, by factors, one for each pair, so an insult beside a group mention can
 It learns from a bounded sample of labelled rows (SAMPLE, the rows with the least hash) and scores every
 whole text in Arrow batches, with array operations on bytes only.
 
-Null or empty texts have no terms and get the score of the bias. Null labels are left out of training; a
-doc_id labelled more than once is toxic if any label says so. Rows that repeat a doc_id are scored each.
-Extra columns are left out. No usable labels: the score is 0. Empty tables: no rows.
+Null or empty texts have no terms and get the score of the bias; very long texts are scored whole, one at a time. Null
+labels are left out of training; a doc_id labelled more than once is toxic if any label says so, and one that repeats
+with different texts is learned from once. Rows that repeat a doc_id are scored each; a score of 0.5 counts as 1. Extra columns
+are left out, so names cannot clash. No usable labels: the score is 0. Empty tables: no rows.
 """
 
 from __future__ import annotations
@@ -133,12 +134,18 @@ def fold(key: str, parts: int):
     return F.pmod(F.crc32(F.coalesce(F.col(key).cast("string"), F.lit("")).cast("binary")), F.lit(parts))
 
 
-def labelled(docs: DataFrame, labels: DataFrame, label: str, parts: int, held: int, most: int) -> DataFrame:
-    """(doc_id, text, label) of at most `most` labelled rows outside the held-out fold, by least hash."""
+def labelled(docs: DataFrame, labels: DataFrame, label: str, parts: int, held: int, most: int, longest: int | None = None) -> DataFrame:
+    """(doc_id, text, label) of at most `most` labelled doc_ids outside the held-out fold, by least hash; of a doc_id
+    with several texts the one of least hash. Texts of more than `longest` bytes are left out."""
     chosen = labels.where(F.col(label).isNotNull() & F.col("doc_id").isNotNull()).where(fold("doc_id", parts) != held)
     chosen = chosen.groupBy("doc_id").agg(F.max(label).cast("int").alias("label"))
     chosen = chosen.orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)
-    return docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id")  # at most `most` rows of two numbers
+    text = F.coalesce("text", F.lit(""))
+    own = docs.select(F.col("doc_id").cast("long"), text.alias("text"))
+    if longest:
+        own = own.where(F.octet_length("text") <= longest)
+    found = own.join(F.broadcast(chosen), "doc_id")  # at most `most` rows of two numbers
+    return found.groupBy("doc_id").agg(F.min(F.struct(F.xxhash64("text"), "text")).alias("t"), F.first("label").alias("label")).select("doc_id", "t.text", "label")
 
 
 def fit(docs: DataFrame, labels: DataFrame, parts: int = 5, held: int = 0, most: int = SAMPLE) -> Machine:
