@@ -6,8 +6,9 @@ happens on the histogram of lengths, which has at most `capacity` entries whatev
 equal pieces are interchangeable, so the driver plans sequences by kind and count, and each piece then
 finds its place from its rank among the pieces of its length.
 
-Null or empty texts are one piece of length 1 (the end id). Ties are ranked by doc_id, then piece; rows
-that repeat a doc_id are ranked too, in any order. Other columns are left out. Empty tables: no rows.
+Null or empty texts are one piece of length 1 (the end id). Very long texts are tokenized whole, one at a time, and cut into
+pieces. Ties are ranked by doc_id, then piece, then checksum; rows that repeat a doc_id, or have none, are ranked too.
+Other columns are left out, so names cannot clash. Empty tables: no rows.
 """
 
 from __future__ import annotations
@@ -265,7 +266,7 @@ def ranked(df: DataFrame, group: str, order: list[str], salts: int) -> DataFrame
 
 
 def pack(found: DataFrame, capacity: int = CAPACITY) -> DataFrame:
-    """Give every row of `found` (doc_id, piece, length, ...) a sequence_id and an offset in it, gapless from 0.
+    """Give every row of `found` (doc_id, piece, length, ids_crc32, ...) a sequence_id and an offset in it, gapless from 0.
 
     The frame is read several times, so it should be a written table.
     """
@@ -295,7 +296,7 @@ def pack(found: DataFrame, capacity: int = CAPACITY) -> DataFrame:
                 offset[own] = off[at]
             yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in range(len(schema))), pa.array(sequence), pa.array(offset)], [*schema, "sequence_id", "offset"])
 
-    numbered = ranked(found, "length", ["doc_id", "piece"], salts)
+    numbered = ranked(found, "length", ["doc_id", "piece", "ids_crc32"], salts)
     return numbered.select(*schema, "rank").mapInArrow(run, f"{kinds}, sequence_id long, offset long")
 
 
