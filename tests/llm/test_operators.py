@@ -90,6 +90,26 @@ def test_media_frames(spark):
     assert sum(found[0].histogram) == 16 and found[4].error == "null" and found[5].error
 
 
+def test_feature_comes_from_composed_frames():
+    """The palette, disposal and transparency of the stored file make the feature; samples stay the payload."""
+    samples = (np.arange(192 * 300, dtype=np.int64) * 7 % 251).astype(np.uint8).reshape(-1, 192)
+    colours = media.cube()
+    cut = lambda **more: [media.Frame(0, 0, samples[i : i + 256], colours, 10, **more) for i in (0, 256)]
+    plain, black = (media.encode(cut(disposal=1), 192, 256, p) for p in (colours, np.zeros((256, 3), np.uint8)))
+    clear, cleared = media.encode(cut(disposal=1, transparent=7), 192, 256, colours), media.encode(cut(disposal=2), 192, 256, colours)
+    found = [media.read_back(x) for x in (plain, black, clear, cleared)]
+    assert {f[0] for f in found} == {samples.tobytes()} and len({f[1] for f in found}) == 4
+    assert found[1][1] == "2;200;" + ",".join([str(2 * 192 * 256)] + ["0"] * 63)
+    for gif, (_, feature, frames) in zip((plain, clear, cleared), found[::2] + found[3:], strict=False):
+        counts = np.zeros(64, int)
+        for (_, rgb), own in zip(media.compose(gif), frames, strict=True):
+            each = collections.Counter((int(r) >> 6) * 16 + (int(g) >> 6) * 4 + (int(b) >> 6) for r, g, b in rgb.reshape(-1, 3))
+            assert own["histogram"] == [each[k] for k in range(64)]
+            counts += own["histogram"]
+        assert feature == f"2;200;{','.join(map(str, counts))}"
+    assert [(f["start_ms"], f["delay_ms"]) for f in found[0][2]] == [(0, 100), (100, 100)]
+
+
 def test_lzw_of_noise_and_depths():
     r = np.random.default_rng(0)
     for depth in (1, 2, 5, 8):
@@ -260,6 +280,23 @@ def test_lines(docs, rows, none):
     assert linededup.digest(none).count() == 0 and linededup.clean(none).count() == 0
 
 
+def test_lines_over_many_groups_and_clashing_names(spark, docs):
+    want = {r.doc_id: r.kept_sha256 for r in linededup.digest(docs).collect()}
+    small = linededup.drops(docs, share=5, shard_lines=1).collect()
+    assert {r.doc_id: sorted(r.gone) for r in small} == {r.doc_id: sorted(r.gone) for r in linededup.drops(docs).collect()} and small
+    odd = docs.select("text", F.col("doc_id").alias("key"), *(F.lit(i).alias(c) for i, c in enumerate(("_doc", "_gone", "gone", "doc_id", "c0", "Gone_"))))
+    found = linededup.clean(odd, "key").collect()
+    assert all(hashlib.sha256((r.text or "").encode()).hexdigest() == want[r.key] and r[2:] == tuple(range(6)) for r in found)
+
+
+def test_shards_travel_packed():
+    h = np.random.default_rng(2).integers(-(2**62), 2**62, (4, 500))
+    own = linededup.Shard(*h)
+    again = linededup.Shard.unpacked(own.packed())
+    known, at = again.probe(h[0], h[1])
+    assert known.all() and (again.largest[at] == h[3]).all() and not again.probe(h[0], h[1] + 1)[0].any()
+
+
 def test_perfect_hash_is_minimal():
     h = np.unique(np.random.default_rng(1).integers(0, 2**63, 20_000, dtype=np.uint64))
     at = linededup.PerfectHash(h).place(h)
@@ -278,6 +315,44 @@ def test_suffix_short_strings(spark):
     check_suffix(spark.createDataFrame(rows, "doc_id long, text string"), [(i, t.encode()) for i, t in rows], 20, 7)
 
 
+def test_suffix_with_forced_collisions(spark):
+    """A hash of two bits, names crowded from two strings on, pieces of 31 bytes: the results are the same."""
+    r = random.Random(10)
+    rows = [(i % 25, "".join(r.choice("ab") for _ in range(r.randint(0, 130)))) for i in range(50)] + [(None, "ab" * 40), (None, "ba" * 41), (None, None)]
+    rows += [(60, rows[0][1]), (60, rows[0][1])]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    want = brute_removed([(t or "").encode() for _, t in rows], 20)
+    for params in ({"bits": 2}, {"crowd": 1}, {"piece": 31}, {"bits": 1, "crowd": 2, "piece": 47}):
+        found = suffix.repeats(df, length=20, period=7, with_text=True, **params).collect()
+        got = sorted((r.doc_id is None, r.doc_id or 0, r.n_bytes, bytes(r.kept), r.n_spans) for r in found)
+        assert got == sorted((i is None, i or 0, len(t or ""), *w) for (i, t), w in zip(rows, want, strict=True)), params
+
+
+def brute_removed(raws, length):
+    """(kept bytes, runs) of each text."""
+    seen = collections.Counter(raw[p : p + length] for raw in raws for p in range(len(raw) - length + 1))
+    out = []
+    for raw in raws:
+        gone = np.zeros(len(raw) + 1, bool)
+        for p in range(len(raw) - length + 1):
+            if seen[raw[p : p + length]] > 1:
+                gone[p : p + length] = True
+        out.append((bytes(b for b, g in zip(raw, gone, strict=False) if not g), int((np.diff(np.concatenate([[0], gone.astype(int)])) == 1).sum())))
+    return out
+
+
+def test_suffix_of_a_long_text(spark):
+    """A text above 10 MB with passages that repeat across the borders of its pieces."""
+    raw = bytearray(np.random.default_rng(3).integers(97, 123, 11 << 20, dtype=np.uint8).tobytes())
+    passage, spots = bytes(raw[500:1100]), [suffix.PIECE - 300, 3 * suffix.PIECE - 150, 5 * suffix.PIECE - 599, 10 * suffix.PIECE + 7]
+    for p in spots:
+        raw[p : p + 600] = passage
+    found = suffix.repeats(spark.createDataFrame([(1, raw.decode()), (2, "x" + passage.decode()), (3, "y" * 250)], "doc_id long, text string"), with_text=True)
+    by = {r.doc_id: r for r in found.collect()}
+    assert [(s["from"], s["to"]) for s in by[1].spans] == [(500, 1100), *((p, p + 600) for p in spots)]
+    assert (by[2].n_removed, by[2].n_spans, by[3].n_removed) == (600, 1, 250)
+
+
 def check_suffix(df, rows, length, period):
     seen = collections.Counter(raw[p : p + length] for _, raw in rows for p in range(len(raw) - length + 1))
     found = {r.doc_id: r for r in suffix.repeats(df, length=length, period=period, with_text=True).collect()}
@@ -332,6 +407,34 @@ def test_random_runs_are_found(spark):
     assert next(x for x in found if x.n_random).spans == "random:5:49"
 
 
+def test_names_do_not_join_values(spark):
+    r = random.Random(8)
+    key = "".join(r.choice("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789") for _ in range(44))
+    hexa = "".join(r.choice("0123456789ABCDEF") for _ in range(120))
+    plain = {0: f"SOME_LONG_SETTING_NAME={key}", 1: f"https://host.example/files/download/{key}/index", 2: f"blob {key}== end", 3: f"see /path/{hexa}/x", 4: "NO_SECRET_HERE_AT_ALL_BUT_A_NAME=value"}
+    found = {x.doc_id: x.spans for x in secrets.secrets(spark.createDataFrame([(5 * i + k, t) for i in range(20) for k, t in plain.items()], "doc_id long, text string")).collect()}
+    assert found[0] == "random:23:67" and found[1] == "random:36:80" and found[2] == "random:5:51" and found[3] == "random:10:130" and found[4] == ""
+
+
+def test_positions_of_many_matches(spark):
+    text = "äß " + " ".join("0123456789abcdef" * 2 for _ in range(5000)) + " token=abcdefgh12"
+    row = secrets.secrets(spark.createDataFrame([(1, text)], "doc_id long, text string")).first()
+    spans = [f"hex:{m.start()}:{m.end()}" for m in re.finditer("[0-9a-f]{32,}", text)]
+    assert row.n_hex == 5000 and row.spans == ",".join([*spans, f"assign:{text.index('token')}:{len(text)}"])
+
+
+def test_mixing_keeps_clashing_columns(spark, docs):
+    odd = ["_tokens", "_bits", "_take", "_more", "_epoch", "_partial", "_row", "_domain", "__take"]
+    more = docs.select("doc_id", "text", "lang", "source", *(F.lit(i).alias(c) for i, c in enumerate(odd)))
+    got = mixing.chosen(more, mixing.corpus_tree(), mixing.corpus_weights(), 0.6, 3)
+    assert got.columns == [*more.columns, *(f"___{c}" for c in ("domain", "language", "origin", "epoch", "tokens", "take"))]
+    rows_ = got.collect()
+    assert all(r[4:13] == tuple(range(9)) for r in rows_)
+    assert sorted((r.doc_id, r["___epoch"], r["___take"]) for r in rows_) == sorted((r.doc_id, r.epoch, r.take) for r in mixing.mix(docs, 0.6, 3).collect())
+    head = spark.createDataFrame([("a b\nc  d",), ("",), ("x",)], "t string")
+    assert [tuple(r) for r in head.select(*(mixing.prefix("t", F.lit(n).cast("long")) for n in (1, 3, 4, 9))).collect()] == [("a", "a b\nc", "a b\nc ", "a b\nc  d"), ("",) * 4, ("x",) * 4]
+
+
 def test_mixing_shares(spark):
     rows = [("a", "x", "p", 100), ("a", "x", "q", 900), ("a", "y", "r", 1000), ("b", "x", "s", 30), ("b", "x", "t", 10)]
     leaves = spark.createDataFrame(rows, "d string, l string, o string, _tokens long")
@@ -382,6 +485,26 @@ def test_embeddings(spark):
     assert embeddings.near_duplicates(df.limit(0)).count() == 0
 
 
+def test_embeddings_over_two_levels_and_blocks(spark):
+    """Few centres a level, so that lists need the second one, and small blocks; recall is stated and each link is right."""
+    r = np.random.default_rng(5)
+    base = r.normal(size=(1500, 64))
+    near = base[r.integers(0, 1500, 1500)] + r.normal(size=(1500, 64)) * 0.2
+    crowd = r.normal(size=64) + r.normal(size=(300, 64)) * 0.05
+    vectors = np.concatenate([base, near, crowd]).astype(np.float32)
+    rows = [(i, v.tolist()) for i, v in enumerate(vectors)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>").repartition(4)
+    link = brute_links(rows)
+    np.fill_diagonal(link, False)
+    assert link[:3000].sum() > 1000
+    model = embeddings.fit(np.stack([v / np.linalg.norm(v) for v in vectors.astype(float)]), 1 << 14, 0.95, 16, most=8)
+    assert len(model.centres) == 8 and len(model.second) == 8
+    for params, least in (({}, 0.99), ({"most": 5, "block": 64}, 0.9)):
+        found = {x.vec_id: x.n_links for x in embeddings.near_duplicates(df, **params).collect()}
+        got = np.array([found[i] for i in range(len(rows))])
+        assert (got <= link.sum(1)).all() and got[:3000].sum() >= least * link[:3000].sum(), params
+
+
 def test_pairs_are_counted_for_both_ends(spark):
     df = spark.createDataFrame([(1, [1.0, 0.0]), (2, [1.0, 0.01]), (3, [0.0, 1.0]), (4, [1.0, 0.0])], "vec_id long, embedding array<double>")
     found = {r.vec_id: (r.n_links, r.component_id) for r in embeddings.near_duplicates(df).collect()}
@@ -436,6 +559,32 @@ def test_machine_learns_pairs_of_harmless_terms():
     assert ((found >= 0.5) == np.array(y[4000:])).mean() > 0.9
 
 
+def test_machine_scores_are_the_sum_over_pairs():
+    r = np.random.default_rng(6)
+    m = toxicity.Machine(0.3, r.normal(size=toxicity.BUCKETS), r.normal(size=(toxicity.BUCKETS, toxicity.FACTORS)) * 0.2)
+    docs = [np.unique(r.integers(0, toxicity.BUCKETS, n)) for n in (0, 1, 2, 9, 30)]
+    got = m.raw_scores(np.repeat(np.arange(5), [len(d) for d in docs]), np.concatenate(docs), 5)
+    for d, x in zip(docs, got, strict=True):
+        pairs = sum(float(m.factor[a] @ m.factor[b]) for i, a in enumerate(d) for b in d[i + 1 :])
+        assert x == pytest.approx(0.3 + sum(m.weight[a] for a in d) + pairs, abs=1e-9)
+
+
+def test_network_is_a_convolution():
+    """Scores against filters slid over the bytes one chunk at a time, with the largest response of each kept."""
+    r = np.random.default_rng(7)
+    net = quality.Network(r.normal(size=(256, quality.DIM)), r.normal(size=(quality.CHUNK, quality.DIM + 1, quality.FILTERS)) * 0.2, r.normal(size=quality.FILTERS), r.normal(size=quality.FILTERS), 0.1)
+    texts_ = [b"", b"short", b"abcd1234abcd1234 and more text of some length", bytes(r.integers(0, 256, 150, dtype=np.uint8)), b"lorem ipsum " * 12]
+    got = net.scores(np.frombuffer(b"".join(texts_), np.uint8), np.concatenate([[0], np.cumsum([len(t) for t in texts_])]), net.tables())
+    for raw, x in zip(texts_, got, strict=True):
+        starts = range(0, max(0, -(-(len(raw) - quality.CHUNK) // quality.STRIDE)) * quality.STRIDE + 1, quality.STRIDE)
+        padded = raw.ljust(starts[-1] + quality.CHUNK, b"\0")
+        echo = [i < len(raw) and any(i - 3 - lag >= 0 and raw[i - 3 : i + 1] == raw[i - 3 - lag : i + 1 - lag] for lag in quality.ECHO) and i >= 3 for i in range(len(padded))]
+        rows_ = [np.append(net.byte[b], float(e)) for b, e in zip(padded, echo, strict=True)]
+        top = np.max([[sum(float(rows_[s + w] @ net.kernel[w, :, f]) for w in range(quality.CHUNK)) for f in range(quality.FILTERS)] for s in starts], axis=0)
+        z = float(np.tanh(np.maximum(top + net.threshold, 0)) @ net.weight + net.bias)
+        assert x == pytest.approx(1 / (1 + np.exp(-z)), abs=1e-4)
+
+
 def test_terms_do_not_cross_texts():
     raw = b"Foo bar" + b"foo" + b"" + b"bar"
     doc, bucket = toxicity.terms(np.frombuffer(raw, np.uint8), np.array([0, 7, 10, 10, 13]))
