@@ -219,6 +219,19 @@ def distinct(words: np.ndarray, bits: int, key: np.ndarray | None = None) -> tup
     return rows[fresh], keys[fresh], place, np.bincount(place, minlength=int(fresh.sum()))
 
 
+def again(words: np.ndarray, bits: int, many: int) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes and places as `distinct` gave them, when it found so many rows; no row is compared if as many hashes differ."""
+    key = mixed(words, bits)
+    order = np.argsort(key)
+    keys = key[order]
+    fresh = np.concatenate([np.ones(min(1, len(keys)), bool), keys[1:] != keys[:-1]])
+    if int(fresh.sum()) != many:
+        return distinct(words, bits, key)[1:3]
+    place = np.empty(len(words), np.int64)
+    place[order] = np.cumsum(fresh) - 1
+    return keys[fresh], place
+
+
 def levels(length: int) -> list[tuple[int, tuple[int, ...], int]]:
     """(bytes named, offsets of the names it is made of, bytes left over) of each level; the last names length - STEP + 1 bytes."""
     reach, size, out = length - STEP + 1, STEP, []
@@ -266,10 +279,11 @@ class Zone:
 
     def take(self, own: np.ndarray, words: np.ndarray, ranks: pa.Table, buckets: int) -> None:
         """Name the samples by the ranks that came back; 0 stands for no name."""
-        _, keys, place, _ = distinct(words, self.bits)
+        bodies = ranks.column("body").to_pylist()
+        keys, place = again(words, self.bits, sum(map(len, bodies)) // 4)
         borders, found = bucket_borders(keys, buckets), np.zeros(len(keys), np.uint64)
         hot = np.zeros(len(keys), bool)
-        for b, body in zip(ranks.column("bucket").to_pylist(), ranks.column("body").to_pylist(), strict=True):
+        for b, body in zip(ranks.column("bucket").to_pylist(), bodies, strict=True):
             rank = np.frombuffer(body, np.uint32)
             part = slice(borders[b], borders[b + 1])
             hot[part] = rank & _HOT > 0
@@ -331,6 +345,8 @@ def ranked(rows: pa.Table, words: int, bits: int, crowd: int) -> pa.Table:
 
 def merged(rows: pa.Table, bits: int) -> pa.Table:
     """For each suffix the shifts, as bits, at which a neighbour of the same name has the same bytes around it."""
+    if rows.column("bucket")[0].as_py() < 0:  # what a unit keeps
+        return rows.select(["unit", "bucket", "body"])
     parts = [np.frombuffer(x, np.uint64).reshape(-1, 3) for x in rows.column("body").to_pylist()]
     words = np.concatenate(parts)
     form, many = words[:, 2] >> np.uint64(48), words[:, 1] & _MANY > 0
@@ -418,9 +434,13 @@ def repeated(left: DataFrame, length: int, bits: int, crowd: int) -> DataFrame:
                 words, keys, _, often = distinct(own.triples(plan[most], most == 0)[1], bits)
                 words = np.concatenate([words, often[:, None].astype(np.uint64)], 1)
             else:
-                words, keys = own.suffixes()[1:]
-                words, keys, _, often = distinct(words, bits, keys)
+                sample, words, keys = own.suffixes()
+                words, keys, place, often = distinct(words, bits, keys)
                 words[often > 1, 1] |= _MANY
+                # Where each suffix stands and its place among those sent wait in a group of their own for the answers.
+                held = own.at[sample].astype("<i4").tobytes() + place.astype("<i4").tobytes()
+                state = pa.table({"unit": pa.array([unit], pa.int32()), "bucket": pa.array([-1 - unit], pa.int32()), "body": pa.array([held], pa.binary())})
+                return pa.concat_tables([sent(unit, words, bucket_borders(keys, buckets)), state])
             return sent(unit, words, bucket_borders(keys, buckets))
 
         return run if most else lambda rows: run(rows, None)
@@ -429,20 +449,17 @@ def repeated(left: DataFrame, length: int, bits: int, crowd: int) -> DataFrame:
         empty = {"h": pa.int64(), "g": pa.int64(), "from": pa.int64(), "to": pa.int64()}
         if not rows.num_rows:
             return pa.table({c: pa.array([], t) for c, t in empty.items()})
-        own = named(rows, known, len(plan))
-        sample, words, keys = own.suffixes()
-        _, keys, place, _ = distinct(words, bits, keys)
-        borders, found = bucket_borders(keys, buckets), np.zeros(len(keys), np.uint8)
-        answers = known.filter(pc.equal(known.column("level"), len(plan)))
-        for b, body in zip(answers.column("bucket").to_pylist(), answers.column("body").to_pylist(), strict=True):
-            found[borders[b] : borders[b + 1]] = np.frombuffer(body, np.uint8)
-        shifts = found[place] if len(place) else found
-        again = np.zeros(len(own.raw) + 1, bool)
+        rows = ordered(rows, "h", "g", "at")
+        raw, borders = as_bytes(rows.column("body").combine_chunks())
+        state, answers = known.filter(pc.less(known.column("bucket"), 0)), known.filter(pc.greater_equal(known.column("bucket"), 0)).sort_by("bucket")
+        at, place = np.frombuffer(state.column("body")[0].as_py(), "<i4").reshape(2, -1)
+        found = np.frombuffer(b"".join(answers.column("body").to_pylist()), np.uint8)
+        shifts, there = found[place], np.zeros(len(raw) + 1, bool)
         for d in range(STEP):
-            again[own.at[sample[shifts >> d & 1 > 0]] - d] = True
-        spans = runs(np.flatnonzero(again), length, own.borders)
+            there[at[shifts >> d & 1 > 0] - d] = True
+        spans = runs(np.flatnonzero(there), length, borders)
         part = pa.array([i for i, _, _ in spans], pa.int64())
-        take = lambda c: own.rows.column(c).combine_chunks().take(part)
+        take = lambda c: rows.column(c).combine_chunks().take(part)
         at = take("at")
         return pa.table({"h": take("h"), "g": take("g"), "from": pc.add(at, pa.array([a for _, a, _ in spans], pa.int64())), "to": pc.add(at, pa.array([b for _, _, b in spans], pa.int64()))})
 
@@ -458,7 +475,7 @@ def repeated(left: DataFrame, length: int, bits: int, crowd: int) -> DataFrame:
         apply = rank(3 + (plan[n][2] > 0)) if n < len(plan) else lambda t: merged(t, bits)
         answers = staged(out.groupBy("bucket").applyInArrow(apply, ROWS).withColumn("level", F.lit(n)), "ranks")
         known = answers if known is None else known.union(answers)
-    return left.groupBy("unit").cogroup(known.groupBy("unit")).applyInArrow(mark, "h long, g long, from long, to long")
+    return left.groupBy("unit").cogroup(answers.groupBy("unit")).applyInArrow(mark, "h long, g long, from long, to long")
 
 
 def repeats(
