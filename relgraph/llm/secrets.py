@@ -2,7 +2,7 @@
 
 Base patterns find assignments, access ids and hexadecimal runs. The battery looks at every maximal run of
 20 or more encoding characters. An equals sign can only end a run, as padding, so names do not join their values; a
-slash beside a lower-case word or before hexadecimal digits parts runs, as in paths. An encoding is inferred from the
+slash beside a lower-case word or hexadecimal digits parts runs, as in paths. An encoding is inferred from the
 run's characters, and its symbols are tested for uniform use of the alphabet (chi-squared), for the number of runs of upper and lower halves, and
 for serial correlation. A run that fails these at 0.001 is no random string. For the others, the chance that
 text of this length would use the alphabet so evenly is a p-value against "this is text", so a short run
@@ -28,7 +28,7 @@ ASSIGN = r"""(?i:password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?(
 # A whole run is at least as long as asked exactly if it matches with that length, as runs are maximal.
 ACCESS = r"AKIA[A-Z0-9]{12,}"
 HEX = r"(?<![0-9a-f])[0-9a-f]{32,}+"
-RUN = r"(?<![A-Za-z0-9+_-])(?:[A-Za-z0-9+_-]|(?<![a-z]{3})/(?![a-z]{3}|[0-9a-fA-F]{20})){20,}+={0,2}"
+RUN = r"(?<![A-Za-z0-9+_-])(?:[A-Za-z0-9+_-]|(?<![a-z]{3}|[0-9a-fA-F]{20})/(?![a-z]{3}|[0-9a-fA-F]{20})){20,}+={0,2}"
 #: Encodings, the first that fits: pattern, alphabet, sum of squared letter shares of text in it.
 ENCODINGS = (
     (r"^[0-9a-f]+$", "0123456789abcdef", 0.13),
