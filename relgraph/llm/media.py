@@ -68,15 +68,14 @@ def lzw_pack(data: bytes, depth: int = 8) -> bytes:
     clear, least = 1 << depth, depth + 1
     codes: list[int] = []
     borders = [0]
-    known: dict[int, int] = {}
-    get, put, fresh = known.get, codes.append, clear + 2
+    known: dict[tuple[int, int], int] = {}
+    put, fresh = codes.append, clear + 2
     if data:
         prefix = data[0]
-        for sample in memoryview(data)[1:]:
-            key = prefix << 8 | sample
-            code = get(key)
-            if code is not None:
-                prefix = code
+        for sample in data[1:]:
+            pair = prefix, sample
+            if pair in known:
+                prefix = known[pair]
                 continue
             put(prefix)
             if fresh == FULL:
@@ -85,7 +84,7 @@ def lzw_pack(data: bytes, depth: int = 8) -> bytes:
                 known.clear()
                 fresh = clear + 2
             else:
-                known[key] = fresh
+                known[pair] = fresh
                 fresh += 1
             prefix = sample
         put(prefix)
@@ -103,6 +102,33 @@ def lzw_pack(data: bytes, depth: int = 8) -> bytes:
     return out[:size].astype(np.uint8).tobytes()
 
 
+def _entries(codes: list[int], known: list[bytes], parts: list[bytes], prev: bytes) -> bytes:
+    """Append each code's entry to the parts, and what it teaches to the table while there is room; the last entry."""
+    if codes and not prev:
+        if codes[0] >= len(known):
+            raise ValueError("code beyond the table")
+        prev = known[codes[0]]
+        parts.append(prev)
+        codes = codes[1:]
+    add, emit = known.append, parts.append
+    room = MOST_CODES - len(known)
+    for code in codes[:room]:
+        if code < len(known):
+            entry = known[code]
+            add(prev + entry[:1])
+        else:
+            if code > len(known):
+                raise ValueError("code beyond the table")
+            entry = prev + prev[:1]
+            add(entry)
+        emit(entry)
+        prev = entry
+    if len(codes) > room:
+        parts += [known[code] for code in codes[room:]]
+        prev = parts[-1]
+    return prev
+
+
 def lzw_unpack(stream: bytes, depth: int, expected: int) -> bytes:
     """Samples of a code stream: stops at the end code, at the expected length, or when codes run out."""
     clear, least = 1 << depth, depth + 1
@@ -123,19 +149,9 @@ def lzw_unpack(stream: bytes, depth: int, expected: int) -> bytes:
         codes = (raw[j] | raw[j + 1] << 8 | raw[j + 2] << 16) >> (start & 7) & ((1 << bits) - 1)
         stop = np.flatnonzero((codes == clear) | (codes == clear + 1))
         last = int(stop[0]) if len(stop) else len(codes)
-        add, emit = known.append, parts.append
-        for code in codes[:last].tolist():
-            if code < len(known):
-                entry = known[code]
-            elif code == len(known) and prev:
-                entry = prev + prev[:1]
-            else:
-                raise ValueError("code beyond the table")
-            emit(entry)
-            had += len(entry)
-            if prev and len(known) < MOST_CODES:
-                add(prev + entry[:1])
-            prev = entry
+        seen = len(parts)
+        prev = _entries(codes[:last].tolist(), known, parts, prev)
+        had += sum(map(len, parts[seen:]))
         if len(stop):
             if codes[last] == clear + 1:
                 break
@@ -247,9 +263,11 @@ def shown(width: int, height: int, frames: list[Frame]) -> Iterator[tuple[Frame,
             index = f.index[:h, :w]
             if int(index.max()) >= len(f.palette):
                 raise ValueError("sample beyond the palette")
-            box = screen[f.top : f.top + h, f.left : f.left + w]
-            seen = index != f.transparent
-            box[seen] = f.palette[index][seen]
+            box, colours = screen[f.top : f.top + h, f.left : f.left + w], f.palette[index]
+            if f.transparent < 0:
+                box[:] = colours
+            else:
+                np.copyto(box, colours, where=(index != f.transparent)[..., None])
         yield f, screen.copy()
         if f.disposal == 2 and h > 0 and w > 0:
             screen[f.top : f.top + h, f.left : f.left + w] = 0
