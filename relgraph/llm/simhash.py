@@ -11,9 +11,11 @@ distinct fingerprints in it are bounded by the remaining bits, not by the corpus
 Fingerprints of such texts differ in about 10 of 64 bits, too many for blocks of equal bits, so texts are dealt to buckets
 by BANDS keys, each made of ROWS least values of the set under random orders: a pair of similarity s is missed by
 all keys with a chance of (1 - s^ROWS)^BANDS, 3e-6 at 0.8 and less above. In a bucket one member is compared with
-all, then another where the bucket still falls into parts, then bit slices compare all members of what are still
-several parts. What lies within REACH bits (five standard deviations beyond the mean distance at 0.8) is compared exactly,
-set with set, and only that links. So large groups of copies cost no square, and no candidate stays apart untested.
+all, then another where the bucket still falls into parts. Where it still does, bit slices compare all members and
+each is tested against the nearest of another part, so that groups grow together; what that leaves apart is tested pair by pair.
+What lies within REACH bits (five standard deviations beyond the mean distance at 0.8) is compared exactly,
+set with set, and only that links. So large groups of copies cost no square of pairs, though members that share much without being similar do,
+and no candidate stays apart untested.
 
 Null or empty texts have fingerprint zero and are linked like any other. Very long texts are hashed whole, one at a time. A
 row without doc_id links nothing in `near_duplicates` and gets the component of its fingerprint, null if no other row
@@ -35,6 +37,8 @@ from relgraph.llm.common import LOWER, components, discard, joined_names, local_
 
 BITS, KEPT = 64, 4
 BANDS, ROWS, REACH = 32, 5, 24
+#: The step from which on all pairs of parts are tested; a mark for no partner.
+MEET, NONE = 4, (1 << 63) - 1
 #: Least similarity of linked texts, as a fraction; words that a worker remembers the hash of.
 LEAST, REMEMBERED = (4, 5), 1 << 20
 _RNG = np.random.default_rng(11)
@@ -305,7 +309,8 @@ SIZES = f"least(n, mn) * {LEAST[1]} >= greatest(n, mn) * {LEAST[0]}"
 
 
 def candidates(members: DataFrame, joined: DataFrame | None, step: int) -> DataFrame:
-    """Pairs (a < b) within REACH of two parts of a bucket (key, name, n, fp): of one member with the others (steps 0 and 1), or all."""
+    """Pairs (a < b) within REACH of two parts of a bucket (key, name, n, fp): of one member with the others (steps 0 and
+    1), of each member with its nearest (until MEET), or all."""
     if joined is None:
         members = members.withColumn("part", F.col("name"))
     else:
@@ -324,14 +329,26 @@ def candidates(members: DataFrame, joined: DataFrame | None, step: int) -> DataF
         for key, fp, name, part, n in whole_buckets(batches, 1):
             keep, last = last_of_bucket([key])
             fp, name, part, n = fp[keep].view(np.uint64), name[keep], part[keep], n[keep]
+            best = np.full(len(fp), NONE)
             for i, j in close_pairs(fp, last, REACH) if len(fp) else ():
                 near = (part[i] != part[j]) & (np.minimum(n[i], n[j]) * LEAST[1] >= np.maximum(n[i], n[j]) * LEAST[0])
-                a, b = name[i[near]], name[j[near]]
-                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b))], ["a", "b"])
+                i, j = i[near], j[near]
+                if step >= MEET:
+                    yield linked_names(name[i], name[j])
+                    continue
+                far = np.bitwise_count(fp[i] ^ fp[j]).astype(np.int64) << 40
+                np.minimum.at(best, i, far | j)
+                np.minimum.at(best, j, far | i)
+            met = np.flatnonzero(best != NONE)
+            yield linked_names(name[met], name[best[met] & (1 << 40) - 1])
 
     return dealt.mapInArrow(run, "a long, b long").distinct()
 
 
+def linked_names(a: np.ndarray, b: np.ndarray) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b))], ["a", "b"])
+
+
 def similar_groups(classes: DataFrame, rows: DataFrame, shingle: int) -> DataFrame | None:
     """(node, component) of the classes (name, n, fp, bands, first) that are linked; rows: (id, row, doc_id, text)."""
     dealt = classes.select("name", "n", "fp", F.explode("bands").alias("key"))
@@ -342,9 +359,13 @@ def similar_groups(classes: DataFrame, rows: DataFrame, shingle: int) -> DataFra
     wanted = members.select("name").distinct().join(classes, "name").select("name", F.coalesce("first.doc_id", F.lit(0).cast("long")).alias("id"), "first.row")
     sets = staged(fetched(rows.join(wanted, ["id", "row"]).select("name", "text"), shingle).dropDuplicates(["name"]), "shingles")
     joined, links, done = None, None, None
-    for step in range(3):
-        pairs = candidates(members, joined, step)
-        pairs = staged(pairs.join(done, ["a", "b"], "left_anti") if done else pairs, "pairs")
+    for step in range(MEET + 1):
+        met = staged(candidates(members, joined, step), "met")
+        if met.isEmpty():
+            if step < 2:
+                continue
+            break  # no two parts have members within reach
+        pairs = staged(met.join(done, ["a", "b"], "left_anti"), "pairs") if done else met
         if pairs.isEmpty():
             continue
         found = staged(tested(pairs, sets), "similar")
