@@ -1,8 +1,9 @@
 """Local solvers in numpy, for graphs whose edges fit in a worker, and how Spark runs them.
 
-A kernel answers one (pair, repeat) at a time; Spark deals these tasks out. Within a kernel all worlds
-advance together: a step takes every (node, world) that is new, meets their edges at once, and keeps the
-(node, world) not seen before. Cost is counted in edge probes.
+A kernel answers one (pair, repeat) at a time; Spark deals these tasks out. Within a kernel a block of worlds
+advances together: a step takes every (node, world) that is new, meets their edges at once, and keeps the
+(node, world) not seen before. Memory is that of the graph and of nodes times a block; the bitmap index adds a bit for
+each edge and world. Cost is counted in edge probes, of which draws are part.
 """
 
 from __future__ import annotations
@@ -65,6 +66,11 @@ class Local:
             seen[fresh] = True
         return seen
 
+    def kept(self, which: np.ndarray) -> Local:
+        """The same nodes with some of the edges."""
+        src = self.src[which]
+        return Local(self.names, np.searchsorted(src, np.arange(len(self.names) + 1)), self.dst[which], self.prob[which], src)
+
     def cut(self, s: int, t: int) -> Local:
         """Only edges on some way from s to t; the ends keep a place even if none is left."""
         every = np.ones(len(self.dst), bool)
@@ -91,70 +97,144 @@ class Answer:
     depth: int = 0
 
 
+#: Most worlds that advance side by side, and most (node, world) that are held for them.
+BLOCK, HELD = 1024, 1 << 26
+
+
+def block_of(g: Local) -> int:
+    return max(64, min(BLOCK, HELD // max(1, len(g.names))))
+
+
 def sample(g: Local, s: int, t: int, k: int, rng: np.random.Generator, status: np.ndarray | None = None, max_hops: int | None = None, early: bool = True, bits: np.ndarray | None = None) -> Answer:
     """Plain sampling; coins fall as edges are met. `bits` (edge, world) are worlds drawn before; `status` fixes edges."""
     if s == t:
         return Answer(1.0)
     prob = g.prob if status is None else np.where(status == IN, 1.0, np.where(status == OUT, 0.0, g.prob))
-    seen = np.zeros((len(g.names), k), bool)
-    seen[s] = True
-    nodes, worlds = np.full(k, s), np.arange(k)
+    hits = probes = depth = 0
+    block = block_of(g)
+    for base in range(0, k, block):
+        size = min(block, k - base)
+        seen = np.zeros((len(g.names), size), bool)
+        seen[s] = True
+        nodes, worlds, n = np.full(size, s), np.arange(size), 0
+        while len(nodes) and (max_hops is None or n < max_hops):
+            n += 1
+            e, which = g.edges_of(nodes)
+            probes += len(e)
+            hit = bits[e, base + worlds[which]] if bits is not None else rng.random(len(e)) < prob[e]
+            d, w = g.dst[e[hit]], worlds[which[hit]]
+            flat = d * size + w
+            flat = np.unique(flat[~seen.ravel()[flat]])
+            seen.ravel()[flat] = True
+            nodes, worlds = flat // size, flat % size
+            if early:
+                on = ~seen[t][worlds]
+                nodes, worlds = nodes[on], worlds[on]
+        hits, depth = hits + int(seen[t].sum()), max(depth, n)
+    return Answer(hits / k, k, probes, depth)
+
+
+def drawn_bits(g: Local, words: int, rng: np.random.Generator, k: int, block: int = 1 << 22) -> np.ndarray:
+    """The packed index of k worlds: bit i of word w of an edge's row is world 64 w + i."""
+    out = np.zeros((len(g.dst), words), np.uint64)
+    step = max(1, block // max(1, 64 * words))
+    for a in range(0, len(g.dst), step):
+        prob = g.prob[a : a + step, None]
+        on = rng.random((len(prob), 64 * words)) < prob
+        on[:, k:] = False
+        out[a : a + step] = np.packbits(on, axis=1, bitorder="little").view(np.uint64)
+    return out
+
+
+_INDEX: dict[tuple, np.ndarray] = {}
+
+
+def shared_bits(g: Local, k: int, *seed: int) -> np.ndarray:
+    """The index of a graph, drawn once in a process and shared by all pairs of a repeat; only the last one is kept."""
+    key = (id(g.dst), k, seed)
+    if key not in _INDEX:
+        _INDEX.clear()
+        _INDEX[key] = drawn_bits(g, -(-k // 64), np.random.default_rng(seed), k)
+    return _INDEX[key]
+
+
+def bitmap_search(g: Local, s: int, t: int, k: int, rng: np.random.Generator, max_hops: int | None = None, index: np.ndarray | None = None, early: bool = True) -> Answer:
+    """One traversal for all worlds on packed words: nodes send on only the worlds that are new to them, until nothing
+    is new; `early` drops worlds that reach t. Probes count the words that are read."""
+    if s == t:
+        return Answer(1.0)
+    if index is None:
+        index = drawn_bits(g, -(-k // 64), rng, k)
+    words = index.shape[1]
+    full = np.packbits(np.arange(64 * words) < k, bitorder="little").view(np.uint64)
+    held = np.zeros((len(g.names), words), np.uint64)
+    held[s] = full
+    nodes, fresh = np.array([s]), full[None, :].copy()
     probes = n = 0
     while len(nodes) and (max_hops is None or n < max_hops):
         n += 1
         e, which = g.edges_of(nodes)
-        w = worlds[which]
-        probes += len(e)
-        hit = bits[e, w] if bits is not None else rng.random(len(e)) < prob[e]
-        d, w = g.dst[e[hit]], w[hit]
-        new = ~seen[d, w]
-        flat = np.unique(d[new] * k + w[new])
-        nodes, worlds = flat // k, flat % k
-        seen[nodes, worlds] = True
+        probes += len(e) * words
+        sent = index[e] & fresh[which]
+        order = np.argsort(g.dst[e], kind="stable")
+        to = g.dst[e[order]]
+        first = np.flatnonzero(np.concatenate([[True], to[1:] != to[:-1]])) if len(to) else np.zeros(0, np.int64)
+        if not len(first):
+            break
+        nodes = to[first]
+        fresh = np.bitwise_or.reduceat(sent[order], first, axis=0) & ~held[nodes]
+        held[nodes] |= fresh
         if early:
-            on = ~seen[t][worlds]
-            nodes, worlds = nodes[on], worlds[on]
-    return Answer(float(seen[t].mean()), k, probes, n)
+            fresh &= ~held[t]
+        on = fresh.any(1)
+        nodes, fresh = nodes[on], fresh[on]
+    return Answer(int(np.bitwise_count(held[t]).sum()) / k, k, probes, n)
 
 
 def skip(g: Local, s: int, t: int, k: int, rng: np.random.Generator, max_hops: int | None = None) -> Answer:
-    """Skip sampling: an edge's worlds are listed by geometric gaps once its source is met, and only these are visited.
+    """Skip sampling: an edge holds the visit of its source at which it fires next, and a gap is drawn only when it has fired.
 
-    The next firing lies one more than a gap after the last. Counting by world instead of by visit leaves
-    the law as it is, since a node is visited at most once in a world.
+    Worlds go in blocks; the visits that a node gets in a step, one for each world, are numbered on. An edge that is
+    not due within them costs one look; each firing costs one draw. Probes count looks and draws.
     """
     if s == t:
         return Answer(1.0)
-    seen = np.zeros((len(g.names), k), bool)
-    fresh = np.zeros_like(seen)
-    seen[s] = fresh[s] = True
-    place, count = np.full(len(g.names), -1), np.zeros(len(g.names), np.int64)
-    pool_edge, pool_world = np.zeros(0, np.int64), np.zeros(0, np.int64)
-    active, probes, n = np.array([s]), 0, 0
-    while len(active) and (max_hops is None or n < max_hops):
-        n += 1
-        new = active[place[active] < 0]
-        if len(new):
-            e, _ = g.edges_of(new)
-            at, world = firing_list(g.prob[e], k, rng)
-            e = e[at]
-            count[new] = np.bincount(np.searchsorted(new, g.src[e]), minlength=len(new))
-            place[new] = len(pool_edge) + np.cumsum(count[new]) - count[new]
-            pool_edge, pool_world = np.concatenate([pool_edge, e]), np.concatenate([pool_world, world])
-        size = count[active]
-        at = np.repeat(place[active] - np.cumsum(size) + size, size) + np.arange(int(size.sum()))
-        owner, where = pool_edge[at], pool_world[at]
-        on = fresh[g.src[owner], where]
-        probes += int(on.sum())
-        d, w = g.dst[owner[on]], where[on]
-        new = ~seen[d, w]
-        fresh[active] = False
-        d, w = d[new], w[new]
-        seen[d, w] = True
-        hold = ~seen[t][w]
-        fresh[d[hold], w[hold]] = True
-        active = np.unique(d[hold])
-    return Answer(float(seen[t].mean()), k, probes, n)
+    m = len(g.dst)
+    due, visits = np.full(m, -1, np.int64), np.zeros(len(g.names), np.int64)
+    hits = probes = depth = 0
+    block = block_of(g)
+    for base in range(0, k, block):
+        size = min(block, k - base)
+        seen = np.zeros((len(g.names), size), bool)
+        seen[s] = True
+        nodes, worlds, n = np.full(size, s), np.arange(size), 0
+        while len(nodes) and (max_hops is None or n < max_hops):
+            n += 1
+            active, first, count = np.unique(nodes, return_index=True, return_counts=True)
+            e, which = g.edges_of(active)
+            probes += len(e)
+            never = e[due[e] < 0]
+            due[never] = rng.geometric(g.prob[never]) - 1
+            probes += len(never)
+            end = visits[active] + count
+            live = np.flatnonzero(due[e] < end[which])
+            d, w = [], []
+            while len(live):
+                own = e[live]
+                d.append(g.dst[own])
+                w.append(worlds[first[which[live]] + due[own] - visits[active[which[live]]]])
+                due[own] += rng.geometric(g.prob[own])
+                probes += len(own)
+                live = live[due[own] < end[which[live]]]
+            visits[active] = end
+            flat = np.concatenate(d) * size + np.concatenate(w) if d else np.zeros(0, np.int64)
+            flat = np.unique(flat[~seen.ravel()[flat]])
+            seen.ravel()[flat] = True
+            nodes, worlds = flat // size, flat % size
+            on = ~seen[t][worlds]
+            nodes, worlds = nodes[on], worlds[on]
+        hits, depth = hits + int(seen[t].sum()), max(depth, n)
+    return Answer(hits / k, k, probes, depth)
 
 
 def firing_list(prob: np.ndarray, k: int, rng: np.random.Generator) -> tuple[np.ndarray, np.ndarray]:
@@ -252,7 +332,8 @@ def split(
             return whole
         return np.where(weights > 0, np.maximum(1, whole), 0)
 
-    def value(status: np.ndarray, n: int, depth: int) -> float:
+    def value(g: Local, status: np.ndarray, n: int, depth: int) -> float:
+        g, status = simplified(g, s, t, status, max_hops is None)
         out.depth = max(out.depth, depth)
         sure = _within(g, s, status == IN, max_hops, t)
         out.probes += int((sure >= 0).sum())
@@ -297,13 +378,29 @@ def split(
             own[chosen[: i - 1] if i else chosen] = OUT
             if i:
                 own[chosen[i - 1]] = IN
-            result += weight * value(own, int(count), depth + 1)
+            result += weight * value(g, own, int(count), depth + 1)
         return result
 
-    out.value = value(np.zeros(len(g.dst), np.int8), k, 0)
+    out.value = value(g, np.zeros(len(g.dst), np.int8), k, 0)
     return out
 
 
+def simplified(g: Local, s: int, t: int, status: np.ndarray, contract: bool = True, least: int = 64) -> tuple[Local, np.ndarray]:
+    """The graph without edges that are excluded, that lead back to what certain edges reach, or that no possible way
+    from s to t holds; done where a tenth of the edges is excluded."""
+    gone = int((status == OUT).sum())
+    if len(status) < least or 10 * gone < len(status):
+        return g, status
+    open_ = status != OUT
+    keep = open_ & g.spread(s, open_)[g.src]
+    part, held = g.kept(keep), status[keep]
+    back = Local(part.names, np.searchsorted(np.sort(part.dst), np.arange(len(part.names) + 1)), part.src[np.argsort(part.dst, kind="stable")], part.prob)
+    on = back.spread(t, np.ones(len(back.dst), bool))[part.dst]
+    if contract:  # with a bound on hops a shorter way to a node that is certain can matter
+        on &= ~part.spread(s, held == IN)[part.dst] | (held == IN)
+    return part.kept(on), held[on]
+
+
 def stratum_weights(prob: np.ndarray) -> np.ndarray:
     """Chance that no edge exists, then for each edge that it is the first to exist; they sum to one."""
     none = np.concatenate([[1.0], np.cumprod(1 - prob)])
@@ -361,14 +458,10 @@ def enumerate_exact(g: Local, s: int, t: int, most: int = 20) -> Answer:
     return Answer(float(weight[seen[t]].sum()), 1 << m)
 
 
-def world_bits(g: Local, k: int, rng: np.random.Generator) -> np.ndarray:
-    return rng.random((len(g.dst), k)) < g.prob[:, None]
-
-
 #: Names of methods for `solve`; each takes (graph, s, t, k, rng) and the method's own parameters.
 METHODS: dict[str, Callable[..., Answer]] = {
     "mc": sample,
-    "bitmap": lambda g, s, t, k, rng, **p: sample(g, s, t, k, rng, early=False, bits=world_bits(g, k, rng), **p),
+    "bitmap": bitmap_search,
     "skip": skip,
     "skip_sequential": skip_sequential,
     "split": split,
@@ -390,6 +483,8 @@ def answer(g: Local, method: str, s: int, t: int, k: int, seed: tuple[int, ...],
     a, b = g.at(s), g.at(t)
     if a < 0 or b < 0:
         return Answer(0.0)
+    if method == "bitmap":  # one index for all pairs of a repeat
+        params = {"index": shared_bits(g, k, seed[0], seed[-1])} | params
     return METHODS[method](g, a, b, k, np.random.default_rng(seed), **params)
 
 

@@ -70,23 +70,29 @@ def reach(
 
 
 def terminal_set(g: UncertainGraph, nodes: list[int] | None, k: int, seed: int = 1) -> DataFrame:
-    """(terminals, k, hits, r_hat): share of worlds in which the first of the nodes reaches all others; None: all nodes."""
+    """(terminals, k, hits, r_hat): share of worlds in which every two of the nodes reach each other; None: all nodes.
+
+    That holds if the first of them reaches all and all reach it, so the search runs forward and backward on the same worlds.
+    """
     spark = g.edges.sparkSession
     wanted = g.nodes if nodes is None else spark.createDataFrame([(n,) for n in nodes], "node long")
     wanted = written(wanted, "terminals")
     least, many = wanted.agg(F.min("node"), F.count("*")).first()
     root = least if nodes is None else nodes[0]
     pairs = spark.createDataFrame([(1, root, -1, 0)], "pair_id int, s long, t long, hops int")
-    edges = g.edges
 
-    def step(fresh, seen, n):
-        met = fresh.join(edges, fresh.node == edges.src).where(coin(seed, "rep", "world", "edge_id") < F.col("prob"))
-        found = met.select("pair_id", "rep", "world", F.col("dst").alias("node"), "t").distinct()
-        return found.join(seen.select(*STATE), STATE, "left_anti")
+    def held(edges: DataFrame) -> DataFrame:
+        def step(fresh, seen, n):
+            met = fresh.join(edges, fresh.node == edges.src).where(coin(seed, "rep", "world", "edge_id") < F.col("prob"))
+            found = met.select("pair_id", "rep", "world", F.col("dst").alias("node"), "t").distinct()
+            return found.join(seen.select(*STATE), STATE, "left_anti")
+
+        seen, _ = grow(starts(pairs, k, 1), step, None, "terminals")
+        return seen.join(wanted, "node").groupBy("world").agg(F.count("*").alias("n")).where(F.col("n") == many).select("world")
 
-    seen, _ = grow(starts(pairs, k, 1), step, None, "terminals")
-    held = seen.join(wanted, "node").groupBy("world").agg(F.count("*").alias("n")).where(F.col("n") == many)
-    return held.agg(F.count("*").alias("hits")).select(F.lit(many).cast("long").alias("terminals"), F.lit(k).alias("k"), "hits", (F.col("hits") / F.lit(k)).alias("r_hat"))
+    back = g.edges.select("edge_id", F.col("dst").alias("src"), F.col("src").alias("dst"), "prob")
+    both = held(g.edges).join(held(back), "world")
+    return both.agg(F.count("*").alias("hits")).select(F.lit(many).cast("long").alias("terminals"), F.lit(k).alias("k"), "hits", (F.col("hits") / F.lit(k)).alias("r_hat"))
 
 
 def reach_sql(workload: str, k: int, seed: int = 1, reps: int = 1, max_hops: int | None = None, method: str = "mc", present: str | None = None) -> str:

@@ -46,3 +46,12 @@ def recommend(spark: SparkSession, low_variance: bool = False, tight_memory: boo
     wide = spark.createDataFrame(rows, ["method", *CRITERIA])
     score = sum((F.col(c) * w for c, w in weight.items()), F.lit(0)).alias("score")
     return wide.select("method", score).selectExpr("method", "score", "CAST(rank() OVER (ORDER BY score DESC) AS INT) AS place")
+
+
+def recommend_sql() -> str:
+    """The choice for low variance where an index is allowed and speed counts, for DuckDB."""
+    rows = ", ".join(f"('{m}', {', '.join(map(str, v))})" for m, *v in STARS)
+    return f"""WITH one AS (SELECT * FROM (VALUES {rows}) v(method, variance, accuracy, time, memory)),
+every AS (SELECT * FROM one UNION ALL SELECT 'tree+' || method, variance, accuracy, time + 1, memory FROM one WHERE method IN ('split', 'strata')),
+scored AS (SELECT method, CAST(2 * variance + accuracy + 2 * time AS BIGINT) AS score FROM every)
+SELECT method, score, CAST(rank() OVER (ORDER BY score DESC) AS INTEGER) AS place FROM scored"""

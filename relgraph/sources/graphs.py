@@ -18,13 +18,17 @@ KEY_SQL = "CAST(src * 4294967296 + dst AS BIGINT) AS edge_id"
 SUPPLIERS = 1_000_000_000
 
 
-def copurchase(spark: SparkSession, sf_dir: str, mu: float = 5, first: str = "1997-01-01", last: str = "1997-03-01") -> UncertainGraph:
+def copurchase(spark: SparkSession, sf_dir: str, mu: float = 5, first: str | None = None, last: str | None = None) -> UncertainGraph:
     """Parts bought in the same order, in both directions; probability from the number of orders they share.
 
-    The date range reaches the scan of orders. An order's parts meet in one row, so one shuffle by order and one
+    All orders count, or those of a range of dates, which reaches the scan of orders. An order's parts meet in one row, so one shuffle by order and one
     by pair do, and the lines are not joined with themselves.
     """
-    orders = table(spark, sf_dir, "orders").where((F.col("o_orderdate") >= F.lit(first).cast("timestamp")) & (F.col("o_orderdate") < F.lit(last).cast("timestamp")))
+    orders = table(spark, sf_dir, "orders")
+    if first:
+        orders = orders.where(F.col("o_orderdate") >= F.lit(first).cast("timestamp"))
+    if last:
+        orders = orders.where(F.col("o_orderdate") < F.lit(last).cast("timestamp"))
     lines = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey")
     held = lines.join(orders.select("o_orderkey"), F.col("l_orderkey") == F.col("o_orderkey"))
     sets = held.groupBy("l_orderkey").agg(F.collect_set("l_partkey").alias("parts"))  # the few lines of an order
@@ -33,9 +37,8 @@ def copurchase(spark: SparkSession, sf_dir: str, mu: float = 5, first: str = "19
     return UncertainGraph.of(counts.select("src", "dst", probability.exp_cdf(F.col("c"), mu).alias("prob")))
 
 
-def copurchase_sql(mu: float = 5, first: str = "1997-01-01", last: str = "1997-03-01") -> str:
-    return f"""WITH held AS (SELECT DISTINCT l_orderkey AS k, l_partkey AS p FROM lineitem JOIN orders ON l_orderkey = o_orderkey
-  WHERE o_orderdate >= TIMESTAMP '{first}' AND o_orderdate < TIMESTAMP '{last}'),
+def copurchase_sql(mu: float = 5) -> str:
+    return f"""WITH held AS (SELECT DISTINCT l_orderkey AS k, l_partkey AS p FROM lineitem JOIN orders ON l_orderkey = o_orderkey),
 met AS (SELECT a.p AS src, b.p AS dst, count(*) AS c FROM held a JOIN held b ON a.k = b.k AND a.p <> b.p GROUP BY ALL)
 SELECT {KEY_SQL}, src, dst, round(1 - exp(-c / {float(mu)!r}), 9) AS prob FROM met"""
 

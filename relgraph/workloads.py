@@ -23,9 +23,9 @@ GRAPHS = {
     "knn": (graphs.nearest, graphs.nearest_sql()),
     "knn5": (lambda s, d: graphs.nearest(s, d, 5), graphs.nearest_sql(5)),
     "choice": (graphs.choice, graphs.choice_sql()),
-    "copurchase_year": (lambda s, d: graphs.copurchase(s, d, 5, "1997-01-01", "1998-01-01"), graphs.copurchase_sql(5, "1997-01-01", "1998-01-01")),
 }
-MAIN = graphs.copurchase_sql()
+#: The main graph: each vector of the whole embeddings table to its three nearest. Sparse, with distances up to many hops.
+MAIN = graphs.nearest_sql()
 #: Toy graphs with known answers: name, edges (src, dst, prob), s, t.
 TOYS = (
     ("single", ((1, 2, 0.5),), 1, 2),
@@ -42,7 +42,7 @@ TOYS = (
 
 def main(spark: SparkSession, sf_dir: str) -> UncertainGraph:
     """The main graph, written once, as several passes read it."""
-    return UncertainGraph(written(graphs.copurchase(spark, sf_dir).edges, "graph"))
+    return UncertainGraph(written(graphs.nearest(spark, sf_dir).edges, "graph"))
 
 
 def both(spark: SparkSession, sf_dir: str, n: int = PAIRS, hops: int = 2) -> tuple[UncertainGraph, DataFrame]:
@@ -50,7 +50,7 @@ def both(spark: SparkSession, sf_dir: str, n: int = PAIRS, hops: int = 2) -> tup
     return g, workload.pairs(g, n, hops, SEED)
 
 
-def bench(spark: SparkSession, sf_dir: str, n: int = PAIRS, hops: int = 2, graph: str = "copurchase"):
+def bench(spark: SparkSession, sf_dir: str, n: int = PAIRS, hops: int = 2, graph: str = "knn"):
     g = UncertainGraph(written(GRAPHS[graph][0](spark, sf_dir).edges, "graph"))
     pairs = workload.pairs(g, n, hops, SEED)
     return experiments.solver(g, pairs, SEED), g, pairs
@@ -134,7 +134,8 @@ def mc_hops(spark, sf_dir):
 @query(f"""WITH RECURSIVE g AS (SELECT * FROM ({GRAPHS["nation"][1]})), ends AS (SELECT DISTINCT node FROM (SELECT src AS node FROM g UNION ALL SELECT dst FROM g)),
 worlds AS (SELECT CAST(range AS INTEGER) AS world FROM range({WORLDS})),
 walk AS (SELECT world, (SELECT min(node) FROM ends) AS node FROM worlds UNION SELECT w.world, e.dst FROM walk w JOIN g e ON w.node = e.src WHERE {mc.coin_sql(SEED, "0", "w.world", "e.edge_id")} < e.prob),
-full_ AS (SELECT world FROM walk GROUP BY world HAVING count(*) = (SELECT count(*) FROM ends))
+back AS (SELECT world, (SELECT min(node) FROM ends) AS node FROM worlds UNION SELECT w.world, e.src FROM back w JOIN g e ON w.node = e.dst WHERE {mc.coin_sql(SEED, "0", "w.world", "e.edge_id")} < e.prob),
+full_ AS (SELECT world FROM walk GROUP BY world HAVING count(*) = (SELECT count(*) FROM ends) INTERSECT SELECT world FROM back GROUP BY world HAVING count(*) = (SELECT count(*) FROM ends))
 SELECT (SELECT count(*) FROM ends) AS terminals, {WORLDS} AS k, count(*) AS hits, count(*) / {WORLDS}.0::DOUBLE AS r_hat FROM full_""")
 def mc_terminal_set(spark, sf_dir):
     g = UncertainGraph(written(graphs.nation(spark, sf_dir).edges, "graph"))
@@ -152,7 +153,8 @@ def bitmap_refresh(spark, sf_dir):
     return bitmap.refresh(g, bitmap.build(g, 100, SEED), 3, 100, SEED)
 
 
-@query()
+@query(f"""SELECT * FROM ({bitmap.build_sql(MAIN, 64, SEED)}) WHERE src % 2 <> 0
+UNION ALL SELECT * FROM ({bitmap.build_sql(MAIN, 64, SEED, 3)}) WHERE src % 2 = 0""")
 def bitmap_refresh_touched(spark, sf_dir):
     g = main(spark, sf_dir)
     return bitmap.refresh(g, bitmap.build(g, 64, SEED), 3, 64, SEED, g.edges.where(F.pmod("src", F.lit(2)) == 0))
@@ -321,6 +323,47 @@ def exact_strata(spark, sf_dir):
     return toys(spark, "strata", r=3, leaf=None)
 
 
+#: Ways to estimate, each held against the exact answers of all toys: method and its parameters.
+VARIANTS: dict[str, tuple[str, dict]] = {
+    "mc": ("mc", {}), "mc_late_stop": ("mc", {"early": False}), "bitmap": ("bitmap", {}), "skip": ("skip", {}), "skip_sequential": ("skip_sequential", {}),
+    "skip_retest": ("skip_sequential", {"corrected": False, "loop": "retest"}), "split_proportional": ("split", {}), "split_random": ("split", {"allocation": "random"}),
+    "split_pooled": ("split", {"allocation": "pooled"}), "split_random_edge": ("split", {"edge_order": "random"}), "split_leaf_20": ("split", {"leaf": 20}),
+    "split_hops": ("split", {"max_hops": 4}), "strata": ("strata", {"r": 3}), "strata_one_edge": ("strata", {"r": 1}), "strata_pooled": ("strata", {"r": 3, "allocation": "pooled"}),
+}
+
+
+def agreement(spark, method: str, params: dict, k: int = 60, reps: int = 200) -> DataFrame:
+    """(toy, s, t, r, agrees): the exact answer, and whether the mean of the repeats lies within four of its standard deviations."""
+    out = []
+    for i, (name, edges, s, t) in enumerate(TOYS):
+        pair = spark.createDataFrame([(i, s, t, 0)], "pair_id int, s long, t long, hops int")
+        g = literal(spark, list(edges))
+        exact = kernels.solve(g, pair, "enumerate", 1).select("pair_id", "s", "t", F.col("r_hat").alias("r"))
+        runs = kernels.solve(g, pair, method, k, reps, SEED, **params).groupBy("pair_id").agg(F.avg("r_hat").alias("mean"), F.stddev("r_hat").alias("sd"))
+        near = F.abs(F.col("mean") - F.col("r")) <= 4 * F.greatest(F.col("sd"), F.sqrt(F.col("r") * (1 - F.col("r")) / k / reps)) / F.sqrt(F.lit(float(reps))) + F.sqrt(F.col("r") / k / reps) + 1e-9
+        out.append(exact.join(runs, "pair_id").select(F.lit(name).alias("toy"), "s", "t", F.round("r", 9).alias("r"), near.alias("agrees")))
+    return experiments.together(out)
+
+
+for _name, (_method, _params) in VARIANTS.items():
+    query(f"SELECT *, TRUE AS agrees FROM ({_toy_sql()})", f"agree_{_name}")(lambda s, d, m=_method, p=_params: agreement(s, m, p))
+
+
+def through_tree(spark) -> DataFrame:
+    """Exact answers on the query graphs of the tree index."""
+    out = []
+    for i, (name, edges, s, t) in enumerate(TOYS):
+        pair = spark.createDataFrame([(i, s, t, 0)], "pair_id int, s long, t long, hops int")
+        runs = tree.reach(tree.build(literal(spark, list(edges))), pair, 1, "enumerate")
+        out.append(runs.select(F.lit(name).alias("toy"), "s", "t", F.round("r_hat", 9).alias("r")))
+    return experiments.together(out)
+
+
+@query(_toy_sql())
+def exact_tree(spark, sf_dir):
+    return through_tree(spark)
+
+
 # Measures over runs that both engines can draw.
 RUNS_SQL = mc.reach_sql(workload.pairs_sql(MAIN, 5), 32, SEED, 4)
 SKIP_SQL = skip.reach_sql(workload.pairs_sql(MAIN, 5), 32, SEED)
@@ -396,7 +439,7 @@ def advisor_scores(spark, sf_dir):
     return advisor.scores(spark)
 
 
-@query()
+@query(advisor.recommend_sql())
 def advisor_recommend(spark, sf_dir):
     return advisor.recommend(spark, low_variance=True)
 

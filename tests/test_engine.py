@@ -80,6 +80,41 @@ def test_late_changes_reach_visited_nodes():
     there = {(0, 4), (4, 1), (1, 3), (3, 2)}
     bits = np.array([[(int(g.names[a]), int(g.names[b])) in there] for a, b in zip(g.src, g.dst, strict=True)])
     assert kernels.sample(g, g.at(0), g.at(2), 1, np.random.default_rng(0), bits=bits, early=False).value == 1.0
+    assert kernels.bitmap_search(g, g.at(0), g.at(2), 1, None, index=bits.astype(np.uint64)).value == 1.0
+
+
+def test_packed_worlds_hit_as_single_ones():
+    """Packed words against one world at a time over the same index, with and without a bound on hops."""
+    r = np.random.default_rng(5)
+    g = local([(int(a), int(b), float(p)) for a, b, p in zip(r.integers(0, 30, 120), r.integers(0, 30, 120), r.uniform(0.1, 0.9, 120), strict=True) if a != b])
+    index = kernels.drawn_bits(g, 3, r, 150)
+    bits = np.unpackbits(index.view(np.uint8), axis=1, bitorder="little").astype(bool)
+    assert not bits[:, 150:].any()
+    for hops_ in (None, 2):
+        for s, t in ((0, 5), (3, 29), (7, 11)):
+            want = kernels.sample(g, s, t, 150, r, bits=bits, max_hops=hops_, early=False).value
+            assert want == kernels.bitmap_search(g, s, t, 150, r, hops_, index).value == kernels.bitmap_search(g, s, t, 150, r, hops_, index, early=False).value
+
+
+def test_simplified_graphs_give_the_same_answers():
+    r = np.random.default_rng(6)
+    for _ in range(40):
+        edges = [(int(a), int(b), float(p)) for a, b, p in zip(r.integers(0, 7, 14), r.integers(0, 7, 14), r.uniform(0.1, 0.9, 14), strict=True) if a != b]
+        g = local([*edges, (0, 6, 0.01)])
+        s, t = g.at(0), g.at(6)
+        status = r.choice([kernels.FREE, kernels.IN, kernels.OUT], len(g.dst), p=[0.6, 0.1, 0.3]).astype(np.int8)
+        part, held = kernels.simplified(g, s, t, status, least=1)
+        fixed = [kernels.Local(x.names, x.first, x.dst, np.where(y == kernels.IN, 1.0, np.where(y == kernels.OUT, 0.0, x.prob)), x.src) for x, y in ((g, status), (part, held))]
+        a, b = (kernels.enumerate_exact(x, s, t).value for x in fixed)
+        assert a == pytest.approx(b, abs=1e-12)
+
+
+def test_skip_draws_little():
+    """Looks and draws together stay below the coins of plain sampling where edges are unlikely, and the law is the same."""
+    r = np.random.default_rng(7)
+    g = local([(int(a), int(b), 0.03) for a, b in zip(r.integers(0, 40, 900), r.integers(0, 40, 900), strict=True) if a != b])
+    plain, lazy = (kernels.answer(g, m, 0, 9, 4000, (1,), {}) for m in ("mc", "skip"))
+    assert lazy.probes < 0.5 * plain.probes and abs(plain.value - lazy.value) < 4 * math.sqrt(2 * plain.value * (1 - plain.value) / 4000)
 
 
 def test_recursion_lowers_variance_t600():
@@ -319,7 +354,7 @@ def test_streams(spark, small, tmp_path):
 
 
 FAST = (
-    "graph_copurchase", "graph_userflow", "graph_custsupp", "graph_nation", "graph_knn", "graph_choice", "pairs_h2", "hops_bfs", "mc_hops", "bitmap_index",
+    "mc_terminal_set", "bitmap_refresh_touched", "advisor_recommend", "agree_skip", "agree_bitmap", "agree_strata", "exact_tree", "graph_copurchase", "graph_userflow", "graph_custsupp", "graph_nation", "graph_knn", "graph_choice", "pairs_h2", "hops_bfs", "mc_hops", "bitmap_index",
     "bitmap_refresh", "skip_reach", "mc_reach", "bitmap_reach", "strata_weights", "exact_toy", "exact_factor", "chernoff_k", "advisor_scores", "asof_snapshot",
     "interval_coactivity", "session_coactivity", "stream_snapshot_ratio", "rho_k",
 )
