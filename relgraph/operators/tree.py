@@ -24,7 +24,8 @@ from relgraph.model import UncertainGraph
 from relgraph.operators import kernels
 from relgraph.plans.iterate import Store, grow, written
 
-ROUNDS = 64
+#: Rounds of folding. Each costs some jobs; the index is lossless after any number, later ones fold ever fewer nodes.
+ROUNDS = 6
 
 
 @dataclass(frozen=True)
