@@ -13,8 +13,10 @@ by BANDS keys, each made of ROWS least values of the set under random orders: a
 all keys with a chance of (1 - s^ROWS)^BANDS, 3e-6 at 0.8 and less above. In a bucket one member is compared with
 all, then another where the bucket still falls into parts. Where it still does, bit slices compare all members and
 each is tested against the nearest of another part, so that groups grow together; what that leaves apart is tested pair by pair.
-What lies within REACH bits (five standard deviations beyond the mean distance at 0.8) is compared exactly,
-set with set, and only that links. So large groups of copies cost no square of pairs, though members that share much without being similar do,
+What lies within REACH bits (five standard deviations beyond the mean distance at 0.8) and has signs that allow it is
+compared exactly, set with set, and only that links. A sign has SIGN bits, each the parity of the shingles that fall on it; two signs
+differ in no more bits than their sets differ in shingles, so those that differ in too many need no comparison and
+no pair that is similar enough is lost by it. So large groups of copies cost no square of pairs, though members that share much without being similar do,
 and no candidate stays apart untested.
 
 Null or empty texts have fingerprint zero and are linked like any other. Very long texts are hashed whole, one at a time. A
@@ -39,6 +41,8 @@ BITS, KEPT = 64, 4
 BANDS, ROWS, REACH = 32, 5, 24
 #: The step from which on all pairs of parts are tested; a mark for no partner.
 MEET, NONE = 4, (1 << 63) - 1
+#: Bits of a sign, 64 to a column.
+SIGN = 512
 #: Least similarity of linked texts, as a fraction; words that a worker remembers the hash of.
 LEAST, REMEMBERED = (4, 5), 1 << 20
 _RNG = np.random.default_rng(11)
@@ -252,13 +256,24 @@ def band_keys(own: np.ndarray, most: int = 1 << 16) -> np.ndarray:
     return out
 
 
+def signed(own: np.ndarray) -> np.ndarray:
+    """The sign of a set of hashes: for each value of a hash's highest bits, whether an odd number of hashes has it."""
+    odd = np.bincount((own >> np.uint64(65 - SIGN.bit_length())).astype(np.int64), minlength=SIGN) & 1
+    return np.packbits(odd.astype(np.uint8), bitorder="little").view(np.uint64)
+
+
+def allowed(differ, total):
+    """Whether sets of `total` hashes together that differ in at least `differ` can be similar enough; for arrays and columns."""
+    return differ * (LEAST[1] + LEAST[0]) <= total * (LEAST[1] - LEAST[0])
+
+
 def similar(a: np.ndarray, b: np.ndarray) -> bool:
     shared = len(np.intersect1d(a, b, assume_unique=True))
     return shared * LEAST[1] >= LEAST[0] * (len(a) + len(b) - shared)
 
 
 def sketches(rows: DataFrame, shingle: int) -> DataFrame:
-    """(id, row, doc_id, text) -> (id, row, doc_id, name, n, fp, bands): hash and size of the set, fingerprint, keys of the bands."""
+    """(id, row, doc_id, text) -> (id, row, doc_id, name, n, fp, bands, sign): hash and size of the set, fingerprint, keys of the bands, sign."""
 
     def run(batches):
         known = WordHashes()
@@ -269,10 +284,12 @@ def sketches(rows: DataFrame, shingle: int) -> DataFrame:
             bands = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(found).view(np.int64)))
             names = [_named(x) for x in sets]
             prints = [majority(x) if len(x) else 0 for x in sets]
-            signed = [pa.array(np.array(x, np.uint64).view(np.int64)) for x in (names, prints)]
-            yield pa.RecordBatch.from_arrays([*batch.columns[:3], signed[0], pa.array([len(x) for x in sets], pa.int32()), signed[1], bands], ["id", "row", "doc_id", "name", "n", "fp", "bands"])
+            names, prints = (pa.array(np.array(x, np.uint64).view(np.int64)) for x in (names, prints))
+            signs = pa.ListArray.from_arrays(np.arange(len(sets) + 1, dtype=np.int32) * (SIGN // 64), np.concatenate([signed(x) for x in sets]).view(np.int64))
+            sizes = pa.array([len(x) for x in sets], pa.int32())
+            yield pa.RecordBatch.from_arrays([*batch.columns[:3], names, sizes, prints, bands, signs], ["id", "row", "doc_id", "name", "n", "fp", "bands", "sign"])
 
-    return rows.mapInArrow(run, "id long, row long, doc_id long, name long, n int, fp long, bands array<long>")
+    return rows.mapInArrow(run, "id long, row long, doc_id long, name long, n int, fp long, bands array<long>, sign array<long>")
 
 
 def _named(own: np.ndarray) -> int:
@@ -306,33 +323,40 @@ def tested(pairs: DataFrame, sets: DataFrame) -> DataFrame:
 
 
 SIZES = f"least(n, mn) * {LEAST[1]} >= greatest(n, mn) * {LEAST[0]}"
+MEMBER = ("name", "n", "part", "fp", "sign")
 
 
 def candidates(members: DataFrame, joined: DataFrame | None, step: int) -> DataFrame:
-    """Pairs (a < b) within REACH of two parts of a bucket (key, name, n, fp): of one member with the others (steps 0 and
-    1), of each member with its nearest (until MEET), or all."""
+    """Pairs (a < b) within REACH, and with signs that allow it, of two parts of a bucket (key, name, n, fp, sign): of one
+    member with the others (steps 0 and 1), of each member with its nearest (until MEET), or all."""
     if joined is None:
         members = members.withColumn("part", F.col("name"))
     else:
         members = members.join(joined.toDF("name", "part"), "name", "left").withColumn("part", F.coalesce("part", "name"))
     if step < 2:
         order = F.xxhash64("name", "key") if step else F.col("name")
-        other = members.groupBy("key").agg(F.min(F.struct(order.alias("o"), "name", "n", "part", "fp")).alias("h"))
-        other = other.select("key", *(F.col(f"h.{c}").alias(f"m{c}") for c in ("name", "n", "part", "fp")))
+        other = members.groupBy("key").agg(F.min(F.struct(order.alias("o"), *MEMBER)).alias("h"))
+        other = other.select("key", *(F.col(f"h.{c}").alias(f"m{c}") for c in MEMBER))
         met = members.join(other, "key").where("part <> mpart").where(F.bit_count(F.col("fp").bitwiseXOR(F.col("mfp"))) <= REACH).where(SIZES)
+        differ = sum((F.bit_count(F.col("sign")[k].bitwiseXOR(F.col("msign")[k])) for k in range(SIGN // 64)), F.lit(0))
+        met = met.where(allowed(differ, F.col("n") + F.col("mn")))
         return met.select(F.least("name", "mname").alias("a"), F.greatest("name", "mname").alias("b")).distinct()
     parts = members.groupBy("key").agg(F.min("part").alias("low"), F.max("part").alias("high")).where("low <> high").select("key")
-    dealt = members.join(parts, "key").select("key", "fp", "name", "part", F.col("n").cast("long").alias("n"))
+    signs = [F.col("sign")[k].alias(f"s{k}") for k in range(SIGN // 64)]
+    dealt = members.join(parts, "key").select("key", "fp", "name", "part", F.col("n").cast("long").alias("n"), *signs)
     dealt = dealt.repartition(width(members.sparkSession), "key").sortWithinPartitions("key")
 
     def run(batches):
-        for key, fp, name, part, n in whole_buckets(batches, 1):
+        for key, fp, name, part, n, *sign in whole_buckets(batches, 1):
             keep, last = last_of_bucket([key])
+            sign = [x[keep].view(np.uint64) for x in sign]  # bits of negative numbers are not counted
             fp, name, part, n = fp[keep].view(np.uint64), name[keep], part[keep], n[keep]
             best = np.full(len(fp), NONE)
             for i, j in close_pairs(fp, last, REACH) if len(fp) else ():
                 near = (part[i] != part[j]) & (np.minimum(n[i], n[j]) * LEAST[1] >= np.maximum(n[i], n[j]) * LEAST[0])
                 i, j = i[near], j[near]
+                near = allowed(sum(np.bitwise_count(x[i] ^ x[j]).astype(np.int64) for x in sign), n[i] + n[j])
+                i, j = i[near], j[near]
                 if step >= MEET:
                     yield linked_names(name[i], name[j])
                     continue
@@ -350,12 +374,12 @@ def linked_names(a: np.ndarray, b: np.ndarray) -> pa.RecordBatch:
 
 
 def similar_groups(classes: DataFrame, rows: DataFrame, shingle: int) -> DataFrame | None:
-    """(node, component) of the classes (name, n, fp, bands, first) that are linked; rows: (id, row, doc_id, text)."""
-    dealt = classes.select("name", "n", "fp", F.explode("bands").alias("key"))
+    """(node, component) of the classes (name, n, fp, bands, sign, first) that are linked; rows: (id, row, doc_id, text)."""
+    dealt = classes.select("name", F.explode("bands").alias("key"))
     marks = [F.bit_xor(F.xxhash64("name", F.lit(i))).alias(f"x{i}") for i in range(2)]
     buckets = dealt.groupBy("key").agg(F.count("*").alias("c"), *marks).where("c > 1")
     buckets = buckets.groupBy("c", "x0", "x1").agg(F.min("key").alias("key"))  # buckets with the same members count once
-    members = staged(dealt.join(buckets.select("key"), "key"), "members")
+    members = staged(dealt.join(buckets.select("key"), "key").join(classes.select("name", "n", "fp", "sign"), "name"), "members")
     wanted = members.select("name").distinct().join(classes, "name").select("name", F.coalesce("first.doc_id", F.lit(0).cast("long")).alias("id"), "first.row")
     sets = staged(fetched(rows.join(wanted, ["id", "row"]).select("name", "text"), shingle).dropDuplicates(["name"]), "shingles")
     joined, links, done = None, None, None
@@ -384,7 +408,7 @@ def distinct(docs: DataFrame, shingle: int = 5, text: str = "text", key: str = "
     rows = docs.select(*ident, doc_id.alias("doc_id"), F.col(f"`{text}`").alias("text"))
     sets = staged(sketches(rows, shingle), "sets")
     first = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "row"))
-    classes = sets.groupBy("name").agg(first.alias("first"), *(F.first(c).alias(c) for c in ("n", "fp", "bands")))
+    classes = sets.groupBy("name").agg(first.alias("first"), *(F.first(c).alias(c) for c in ("n", "fp", "bands", "sign")))
     classes = staged(classes, "classes")
     discard(sets)
     joined = similar_groups(classes, rows, shingle)

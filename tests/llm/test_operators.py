@@ -231,6 +231,23 @@ def brute_components(ids, linked):
     return {i: find(i) for i in ids}
 
 
+def test_signs_lose_no_similar_pair():
+    """Signs never differ in more bits than sets in hashes, so no pair of enough similarity is turned down; most others are."""
+    r = np.random.default_rng(3)
+    kept = far = 0
+    for k in range(400):
+        whole = r.integers(0, 1 << 63, 20 + k, dtype=np.uint64) << np.uint64(1)
+        a, b = (np.unique(r.permutation(whole)[: int(len(whole) * share)]) for share in r.uniform(0.6, 1, 2))
+        differ = int(np.bitwise_count(simhash.signed(a) ^ simhash.signed(b)).sum())
+        assert differ <= len(np.setxor1d(a, b))
+        if simhash.similar(a, b):
+            assert simhash.allowed(differ, len(a) + len(b))
+        else:
+            far, kept = far + 1, kept + bool(simhash.allowed(differ, len(a) + len(b)))
+    assert far > 200 and kept < far / 2
+    assert not simhash.signed(np.zeros(0, np.uint64)).any() and len(simhash.signed(a)) * 64 == simhash.SIGN
+
+
 def test_simhash(docs, rows, none):
     prints = {i: brute_fingerprint(t) for i, t, *_ in rows}
     groups = brute_components(sorted(prints), lambda a, b: (prints[a] ^ prints[b]).bit_count() <= 2)
