@@ -26,6 +26,13 @@ RUNS = "method string, pair_id int, s long, t long, rep int, k int, k_used long,
 FREE, IN, OUT = 0, 1, -1
 
 
+def once(found: np.ndarray, place: np.ndarray) -> np.ndarray:
+    """Each value once; `place` has room for an entry a possible value, whatever it holds."""
+    i = np.arange(len(found))
+    place[found] = i
+    return found[place[found] == i]
+
+
 @dataclass
 class Local:
     """A graph in arrays: edges sorted by source, nodes numbered."""
@@ -35,6 +42,7 @@ class Local:
     dst: np.ndarray
     prob: np.ndarray
     src: np.ndarray = field(default=None)
+    turned: Local | None = field(default=None, repr=False)
 
     @staticmethod
     def of(src: np.ndarray, dst: np.ndarray, prob: np.ndarray) -> Local:
@@ -56,13 +64,13 @@ class Local:
 
     def spread(self, start: int, open_: np.ndarray) -> np.ndarray:
         """Nodes reached over open edges, as a mask."""
-        seen = np.zeros(len(self.names), bool)
+        seen, place = np.zeros(len(self.names), bool), np.empty(len(self.names), np.int64)
         seen[start] = True
         fresh = np.array([start])
         while len(fresh):
             e, _ = self.edges_of(fresh)
             found = self.dst[e[open_[e]]]
-            fresh = np.unique(found[~seen[found]])
+            fresh = once(found[~seen[found]], place)
             seen[fresh] = True
         return seen
 
@@ -71,22 +79,23 @@ class Local:
         src = self.src[which]
         return Local(self.names, np.searchsorted(src, np.arange(len(self.names) + 1)), self.dst[which], self.prob[which], src)
 
+    def back(self) -> Local:
+        """The graph with all edges turned round, made once."""
+        if self.turned is None:
+            order = np.argsort(self.dst, kind="stable")
+            src = self.dst[order]
+            self.turned = Local(self.names, np.searchsorted(src, np.arange(len(self.names) + 1)), self.src[order], self.prob[order], src)
+        return self.turned
+
     def cut(self, s: int, t: int) -> Local:
         """Only edges on some way from s to t; the ends keep a place even if none is left."""
         every = np.ones(len(self.dst), bool)
-        ahead = self.spread(s, every)
-        back = Local.of(self.dst, self.src, self.prob) if len(self.dst) else self
-        behind = np.zeros(len(self.names), bool)
-        behind[back.names[back.spread(back.at(t), np.ones(len(back.dst), bool))] if len(self.dst) and back.at(t) >= 0 else [t]] = True
-        keep = ahead[self.src] & behind[self.dst]
-        src = np.concatenate([self.names[self.src[keep]], [self.names[s]]])
-        dst = np.concatenate([self.names[self.dst[keep]], [self.names[t]]])
-        prob = np.concatenate([self.prob[keep], [0.0]])
-        out = Local.of(src, dst, prob)
-        none = np.flatnonzero(out.prob == 0)
-        first = out.first - np.searchsorted(none, out.first)
-        hold = out.prob > 0
-        return Local(out.names, first, out.dst[hold], out.prob[hold], out.src[hold])
+        keep = self.spread(s, every)[self.src] & self.back().spread(t, every)[self.dst]
+        on = np.zeros(len(self.names), bool)
+        on[self.src[keep]] = on[self.dst[keep]] = on[[s, t]] = True
+        number = np.cumsum(on) - 1
+        src = number[self.src[keep]]
+        return Local(self.names[on], np.searchsorted(src, np.arange(int(on.sum()) + 1)), number[self.dst[keep]], self.prob[keep], src)
 
 
 @dataclass
@@ -105,12 +114,42 @@ def block_of(g: Local) -> int:
     return max(64, min(BLOCK, HELD // max(1, len(g.names))))
 
 
-def sample(g: Local, s: int, t: int, k: int, rng: np.random.Generator, status: np.ndarray | None = None, max_hops: int | None = None, early: bool = True, bits: np.ndarray | None = None) -> Answer:
-    """Plain sampling; coins fall as edges are met. `bits` (edge, world) are worlds drawn before; `status` fixes edges."""
-    if s == t:
-        return Answer(1.0)
-    prob = g.prob if status is None else np.where(status == IN, 1.0, np.where(status == OUT, 0.0, g.prob))
-    hits = probes = depth = 0
+@dataclass
+class Fixed:
+    """Edges that groups of worlds fix: the group of each world, whether any group fixes an edge, and (group, edge) in order
+    with whether it exists there."""
+
+    owner: np.ndarray
+    any: np.ndarray
+    keys: np.ndarray
+    exists: np.ndarray
+
+    @staticmethod
+    def of(sizes: list[int], edges: list[np.ndarray], exists: list[np.ndarray], m: int) -> Fixed:
+        every = np.concatenate(edges)
+        touched = np.zeros(m, bool)
+        touched[every] = True
+        group = np.repeat(np.arange(len(edges)), [len(e) for e in edges])
+        keys = group * m + every
+        order = np.argsort(keys)
+        return Fixed(np.repeat(np.arange(len(sizes)), sizes), touched, keys[order], np.concatenate(exists)[order])
+
+    def settle(self, hit: np.ndarray, e: np.ndarray, worlds: np.ndarray) -> None:
+        """Put what is fixed in place of the coins `hit` of edges e in worlds."""
+        at = np.flatnonzero(self.any[e])
+        if len(at):
+            keys = self.owner[worlds[at]] * len(self.any) + e[at]
+            i = np.minimum(np.searchsorted(self.keys, keys), len(self.keys) - 1)
+            own = self.keys[i] == keys
+            hit[at[own]] = self.exists[i[own]]
+
+
+def reached(
+    g: Local, s: int, t: int, k: int, rng: np.random.Generator, max_hops: int | None = None, early: bool = True, bits: np.ndarray | None = None, fixed: Fixed | None = None,
+) -> tuple[np.ndarray, int, int]:
+    """(whether t is reached in each of k worlds, probes, depth); coins fall as edges are met. `bits` (edge, world) are worlds drawn before."""
+    out = np.zeros(k, bool)
+    probes = depth = 0
     block = block_of(g)
     for base in range(0, k, block):
         size = min(block, k - base)
@@ -121,7 +160,12 @@ def sample(g: Local, s: int, t: int, k: int, rng: np.random.Generator, status: n
             n += 1
             e, which = g.edges_of(nodes)
             probes += len(e)
-            hit = bits[e, base + worlds[which]] if bits is not None else rng.random(len(e)) < prob[e]
+            if bits is not None:
+                hit = bits[e, base + worlds[which]]
+            else:
+                hit = rng.random(len(e)) < g.prob[e]
+                if fixed is not None:
+                    fixed.settle(hit, e, base + worlds[which])
             d, w = g.dst[e[hit]], worlds[which[hit]]
             flat = d * size + w
             flat = np.unique(flat[~seen.ravel()[flat]])
@@ -130,17 +174,29 @@ def sample(g: Local, s: int, t: int, k: int, rng: np.random.Generator, status: n
             if early:
                 on = ~seen[t][worlds]
                 nodes, worlds = nodes[on], worlds[on]
-        hits, depth = hits + int(seen[t].sum()), max(depth, n)
-    return Answer(hits / k, k, probes, depth)
+        out[base : base + size], depth = seen[t], max(depth, n)
+    return out, probes, depth
+
+
+def sample(g: Local, s: int, t: int, k: int, rng: np.random.Generator, max_hops: int | None = None, early: bool = True, bits: np.ndarray | None = None) -> Answer:
+    """Plain sampling."""
+    if s == t:
+        return Answer(1.0)
+    found, probes, depth = reached(g, s, t, k, rng, max_hops, early, bits)
+    return Answer(int(found.sum()) / k, k, probes, depth)
 
 
 def drawn_bits(g: Local, words: int, rng: np.random.Generator, k: int, block: int = 1 << 22) -> np.ndarray:
-    """The packed index of k worlds: bit i of word w of an edge's row is world 64 w + i."""
+    """The packed index of k worlds: bit i of word w of an edge's row is world 64 w + i. A coin is a byte, and more where that does not decide."""
     out = np.zeros((len(g.dst), words), np.uint64)
     step = max(1, block // max(1, 64 * words))
     for a in range(0, len(g.dst), step):
-        prob = g.prob[a : a + step, None]
-        on = rng.random((len(prob), 64 * words)) < prob
+        chance = g.prob[a : a + step] * 256
+        low = np.minimum(chance, 255).astype(np.uint8)
+        byte = np.frombuffer(rng.bytes(len(low) * 64 * words), np.uint8).reshape(len(low), -1)
+        on = byte < low[:, None]
+        at = np.flatnonzero(byte == low[:, None])  # one in 256 needs more than its first byte
+        on.ravel()[at] = rng.random(len(at)) < (chance - low)[at // on.shape[1]]
         on[:, k:] = False
         out[a : a + step] = np.packbits(on, axis=1, bitorder="little").view(np.uint64)
     return out
@@ -159,36 +215,38 @@ def shared_bits(g: Local, k: int, *seed: int) -> np.ndarray:
 
 
 def bitmap_search(g: Local, s: int, t: int, k: int, rng: np.random.Generator, max_hops: int | None = None, index: np.ndarray | None = None, early: bool = True) -> Answer:
-    """One traversal for all worlds on packed words: nodes send on only the worlds that are new to them, until nothing
-    is new; `early` drops worlds that reach t. Probes count the words that are read."""
+    """One traversal for all worlds on packed words: a (node, word) with worlds that are new to it sends those on, until
+    nothing is new; `early` drops worlds that reach t. Probes count the words that are read."""
     if s == t:
         return Answer(1.0)
     if index is None:
         index = drawn_bits(g, -(-k // 64), rng, k)
     words = index.shape[1]
     full = np.packbits(np.arange(64 * words) < k, bitorder="little").view(np.uint64)
-    held = np.zeros((len(g.names), words), np.uint64)
-    held[s] = full
-    nodes, fresh = np.array([s]), full[None, :].copy()
+    held, place = np.zeros(len(g.names) * words, np.uint64), np.empty(len(g.names) * words, np.int64)
+    flat, at_t = index.ravel(), slice(t * words, (t + 1) * words)
+    at, fresh = s * words + np.flatnonzero(full), full[full != 0]
+    held[at] = fresh
     probes = n = 0
-    while len(nodes) and (max_hops is None or n < max_hops):
+    while len(at) and (max_hops is None or n < max_hops):
         n += 1
-        e, which = g.edges_of(nodes)
-        probes += len(e) * words
-        sent = index[e] & fresh[which]
-        order = np.argsort(g.dst[e], kind="stable")
-        to = g.dst[e[order]]
-        first = np.flatnonzero(np.concatenate([[True], to[1:] != to[:-1]])) if len(to) else np.zeros(0, np.int64)
-        if not len(first):
-            break
-        nodes = to[first]
-        fresh = np.bitwise_or.reduceat(sent[order], first, axis=0) & ~held[nodes]
-        held[nodes] |= fresh
+        word = at % words
+        e, which = g.edges_of(at // words)
+        probes += len(e)
+        word = word[which]
+        to, sent = g.dst[e] * words + word, flat[e * words + word] & fresh[which]
+        sent &= ~held[to]
+        on = np.flatnonzero(sent)
+        to, sent = to[on], sent[on]
+        at = once(to, place)
+        before = held[at]
+        np.bitwise_or.at(held, to, sent)
+        fresh = held[at] ^ before
         if early:
-            fresh &= ~held[t]
-        on = fresh.any(1)
-        nodes, fresh = nodes[on], fresh[on]
-    return Answer(int(np.bitwise_count(held[t]).sum()) / k, k, probes, n)
+            fresh &= ~held[at_t][at % words]
+            on = fresh != 0
+            at, fresh = at[on], fresh[on]
+    return Answer(int(np.bitwise_count(held[at_t]).sum()) / k, k, probes, n)
 
 
 def skip(g: Local, s: int, t: int, k: int, rng: np.random.Generator, max_hops: int | None = None) -> Answer:
@@ -303,8 +361,9 @@ def split(
     splitting on one edge, larger r stratified splitting. Edges come from the border of what certain edges
     reach ('depth', 'random'), or in the order of a breadth-first search over all that is possible ('breadth').
 
-    A group whose certain edges hold a way is 1, one whose possible edges hold none is 0. Groups with few
-    samples ('at_most' or 'below' the leaf size) or with fewer edges to choose from than r are sampled plainly; leaf
+    Groups with few samples ('at_most' or 'below' the leaf size) or with fewer edges to choose from than r are sampled plainly:
+    they wait until their graph is divided and are then sampled side by side, in one search. Of the others, one whose
+    certain edges hold a way is 1 and one whose possible edges hold none is 0. leaf
     None never samples, so the answer is exact. allocation 'proportional' gives each branch its share,
     at least one sample; 'random' deals samples by chance; 'pooled' lets branches with less than one sample
     share what is left, chosen in proportion to their weight.
@@ -332,56 +391,79 @@ def split(
             return whole
         return np.where(weights > 0, np.maximum(1, whole), 0)
 
-    def value(g: Local, status: np.ndarray, n: int, depth: int) -> float:
-        g, status = simplified(g, s, t, status, max_hops is None)
-        out.depth = max(out.depth, depth)
-        sure = _within(g, s, status == IN, max_hops, t)
-        out.probes += int((sure >= 0).sum())
-        if sure[t] >= 0:
-            return 1.0
-        if _within(g, s, status != OUT, max_hops, t)[t] < 0:
-            return 0.0
-        if small(n):
-            border = np.zeros(0, np.int64)
-        elif edge_order == "breadth":  # not only at the border of what is certain
-            border = _first_free(g, s, status, r)
-        else:
-            certain, _ = g.edges_of(np.flatnonzero(sure >= 0))
-            border = certain[(status[certain] == FREE) & (sure[g.dst[certain]] < 0 if max_hops is None else True)]
-            far = sure[g.src[border]]
-            border = border[rng.permutation(len(border))] if edge_order == "random" else border[np.lexsort((border, -far))]
-        if small(n) or (leaf is not None and len(border) < r):
-            found = sample(g, s, t, n, rng, status, max_hops)
-            out.used += n
-            out.probes += found.probes
-            return found.value
-        chosen = border[:r]
-        if not len(chosen):
-            return 0.0
-        weights = stratum_weights(g.prob[chosen])
-        each = shares(n, weights)
-        factor = weights.copy()
-        if leaf is not None and allocation == "random":
-            factor = each / n
-        elif leaf is not None and allocation == "pooled":
-            low = (weights > 0) & (np.floor(n * weights + 1e-9) == 0)
-            if low.any():
-                drawn = int(each[low].sum())
-                if not drawn:  # no sample is left for these branches: one of them speaks for all, drawn by weight
-                    each[rng.choice(np.flatnonzero(low), p=weights[low] / weights[low].sum())] = drawn = 1
-                factor[low] = weights[low].sum() * each[low] / drawn
-        result = 0.0
-        for i, (weight, count) in enumerate(zip(factor, each, strict=True)):
-            if not count:
-                continue
-            own = status.copy()
-            own[chosen[: i - 1] if i else chosen] = OUT
-            if i:
-                own[chosen[i - 1]] = IN
-            result += weight * value(g, own, int(count), depth + 1)
-        return result
-
-    out.value = value(g, np.zeros(len(g.dst), np.int8), k, 0)
+    def enter(g: Local, base: np.ndarray, n: int, depth: int, weight: float) -> None:
+        """Divide a graph of which `base` is known, then sample what waits."""
+        waiting = []
+
+        def divide(status: np.ndarray, known: np.ndarray, way: np.ndarray | None, n: int, depth: int, weight: float) -> np.ndarray | None:
+            """Returns a possible way, which saves the next branch a search."""
+            out.depth = max(out.depth, depth)
+            if small(n):
+                waiting.append((n, known, status[known] == IN, weight))
+                return way
+            if 10 * len(known) >= len(status):
+                less, left = simplified(g, s, t, status, max_hops is None)
+                if less is not g:
+                    enter(less, left, n, depth, weight)
+                    return way
+            sure = _within(g, s, status, max_hops, t)
+            reach = np.flatnonzero(sure >= 0)
+            out.probes += len(reach)
+            if sure[t] >= 0:
+                out.value += weight
+                return way
+            if way is None or (status[way] == OUT).any():  # a way stays possible until one of its edges is excluded
+                way = _way(g, s, t, status, max_hops)
+                if way is None:
+                    return None
+            if edge_order == "breadth":  # not only at the border of what is certain
+                border = _first_free(g, s, status, r)
+            else:
+                certain, _ = g.edges_of(reach)
+                border = certain[(status[certain] == FREE) & (sure[g.dst[certain]] < 0 if max_hops is None else True)]
+                far = sure[g.src[border]]
+                border = border[rng.permutation(len(border))] if edge_order == "random" else border[np.lexsort((border, -far))]
+            if leaf is not None and len(border) < r:
+                waiting.append((n, known, status[known] == IN, weight))
+                return way
+            chosen = border[:r]
+            if not len(chosen):
+                return way
+            weights = stratum_weights(g.prob[chosen])
+            each = shares(n, weights)
+            factor = weights.copy()
+            if leaf is not None and allocation == "random":
+                factor = each / n
+            elif leaf is not None and allocation == "pooled":
+                low = (weights > 0) & (np.floor(n * weights + 1e-9) == 0)
+                if low.any():
+                    drawn = int(each[low].sum())
+                    if not drawn:  # no sample is left for these branches: one of them speaks for all, drawn by weight
+                        each[rng.choice(np.flatnonzero(low), p=weights[low] / weights[low].sum())] = drawn = 1
+                    factor[low] = weights[low].sum() * each[low] / drawn
+            found = way
+            for i in (*range(1, len(factor)), 0):  # from few to many excluded edges
+                share, count = factor[i], each[i]
+                if not count:
+                    continue
+                now = chosen[:i] if i else chosen
+                own = status.copy()
+                own[now] = OUT
+                if i:
+                    own[now[-1]] = IN
+                found = divide(own, np.concatenate([known, now]), found, int(count), depth + 1, weight * share)
+            return way
+
+        divide(base, np.flatnonzero(base), None, n, depth, weight)
+        if waiting:
+            sizes, edges, exists, shares_ = zip(*waiting, strict=True)
+            found, probes, _ = reached(g, s, t, sum(sizes), rng, max_hops, fixed=Fixed.of(sizes, edges, exists, len(g.dst)) if any(map(len, edges)) else None)
+            hits = np.bincount(np.repeat(np.arange(len(sizes)), sizes), found, len(sizes))
+            out.value += float((np.array(shares_) * hits / np.array(sizes)).sum())
+            out.used += len(found)
+            out.probes += probes
+
+    enter(g, np.zeros(len(g.dst), np.int8), k, 0, 1.0)
     return out
 
 
@@ -394,8 +476,7 @@ def simplified(g: Local, s: int, t: int, status: np.ndarray, contract: bool = Tr
     open_ = status != OUT
     keep = open_ & g.spread(s, open_)[g.src]
     part, held = g.kept(keep), status[keep]
-    back = Local(part.names, np.searchsorted(np.sort(part.dst), np.arange(len(part.names) + 1)), part.src[np.argsort(part.dst, kind="stable")], part.prob)
-    on = back.spread(t, np.ones(len(back.dst), bool))[part.dst]
+    on = part.back().spread(t, np.ones(len(part.dst), bool))[part.dst]
     if contract:  # with a bound on hops a shorter way to a node that is certain can matter
         on &= ~part.spread(s, held == IN)[part.dst] | (held == IN)
     return part.kept(on), held[on]
@@ -407,23 +488,44 @@ def stratum_weights(prob: np.ndarray) -> np.ndarray:
     return np.concatenate([[none[-1]], prob * none[:-1]])
 
 
-def _within(g: Local, a: int, open_: np.ndarray, limit: int | None, until: int | None = None) -> np.ndarray:
-    """Hop distances over open edges, up to the limit or the level that holds `until`; -1 beyond."""
-    far = np.full(len(g.names), -1)
+def _within(g: Local, a: int, status: np.ndarray, limit: int | None, until: int) -> np.ndarray:
+    """Hop distances over certain edges, up to the limit or the level that holds `until`; -1 beyond."""
+    far, place = np.full(len(g.names), -1), np.empty(len(g.names), np.int64)
     far[a] = 0
     fresh, n = np.array([a]), 0
-    while len(fresh) and (limit is None or n < limit) and (until is None or far[until] < 0):
+    while len(fresh) and (limit is None or n < limit) and far[until] < 0:
         n += 1
         e, _ = g.edges_of(fresh)
-        found = g.dst[e[open_[e]]]
-        fresh = np.unique(found[far[found] < 0])
+        found = g.dst[e[status[e] == IN]]
+        fresh = once(found[far[found] < 0], place)
         far[fresh] = n
     return far
 
 
+def _way(g: Local, a: int, b: int, status: np.ndarray, limit: int | None) -> np.ndarray | None:
+    """The edges of a shortest way from a to b on which none is excluded, if there is one within the limit."""
+    unseen, start = -1, -2
+    via = np.full(len(g.names), unseen)
+    via[a] = start
+    fresh, n = np.array([a]), 0
+    while len(fresh) and (limit is None or n < limit) and via[b] == unseen:
+        n += 1
+        e, _ = g.edges_of(fresh)
+        e = e[(status[e] != OUT) & (via[g.dst[e]] == unseen)]
+        via[g.dst[e]] = e
+        fresh = g.dst[e[via[g.dst[e]] == e]]
+    if via[b] == unseen:
+        return None
+    out = []
+    while b != a:
+        out.append(via[b])
+        b = g.src[via[b]]
+    return np.array(out)
+
+
 def _first_free(g: Local, a: int, status: np.ndarray, enough: int) -> np.ndarray:
     """Undecided edges in the order of a breadth-first search over all that is possible, by whole levels until there are enough."""
-    seen = np.zeros(len(g.names), bool)
+    seen, place = np.zeros(len(g.names), bool), np.empty(len(g.names), np.int64)
     seen[a] = True
     fresh, out, had = np.array([a]), [], 0
     while len(fresh) and had < enough:
@@ -432,7 +534,7 @@ def _first_free(g: Local, a: int, status: np.ndarray, enough: int) -> np.ndarray
         out.append(free)
         had += len(free)
         found = g.dst[e[status[e] != OUT]]
-        fresh = np.unique(found[~seen[found]])
+        fresh = once(found[~seen[found]], place)
         seen[fresh] = True
     return np.concatenate([*out, np.zeros(0, np.int64)]).astype(np.int64)
 
