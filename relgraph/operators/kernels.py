@@ -8,6 +8,8 @@ each edge and world. Cost is counted in edge probes, of which draws are part.
 
 from __future__ import annotations
 
+import time
+import tracemalloc
 from collections.abc import Callable
 from dataclasses import dataclass, field
 
@@ -22,7 +24,7 @@ from relgraph.plans.reach import relevant
 
 #: Most edges that are sent to every worker (24 bytes each); larger graphs are cut to each pair's relevant edges.
 MOST_EDGES = 2_000_000
-RUNS = "method string, pair_id int, s long, t long, rep int, k int, k_used long, hits double, r_hat double, probes long, depth int"
+RUNS = "method string, pair_id int, s long, t long, rep int, k int, k_used long, hits double, r_hat double, probes long, depth int, ms double, bytes long"
 FREE, IN, OUT = 0, 1, -1
 
 
@@ -591,7 +593,10 @@ def answer(g: Local, method: str, s: int, t: int, k: int, seed: tuple[int, ...],
 
 
 def solve(g: UncertainGraph, pairs: DataFrame, method: str, k: int, reps: int = 1, seed: int = 1, name: str | None = None, **params) -> DataFrame:
-    """A run for every pair and repeat, as (method, pair_id, s, t, rep, k, k_used, hits, r_hat, probes, depth).
+    """A run for every pair and repeat, as (method, pair_id, s, t, rep, k, k_used, hits, r_hat, probes, depth, ms, bytes).
+
+    ms is the time of a run in its worker. With watch=True the first repeat has in bytes the most memory that it held beside the
+    interpreter, the graph and a shared index included, and no ms, as watching takes time itself.
 
     A graph of up to MOST_EDGES edges, counted first, is sent to the workers; of a larger one each pair gets
     the edges that matter to it, which must fit in a worker.
@@ -623,12 +628,32 @@ def solve(g: UncertainGraph, pairs: DataFrame, method: str, k: int, reps: int =
     return ends.groupBy("pair_id").cogroup(edges.groupBy("pair_id")).applyInArrow(one, RUNS)
 
 
+def _watched(g: Local, *query) -> tuple[Answer, int]:
+    """An answer and the most bytes held for it."""
+    had = sum(x.nbytes for x in _INDEX.values()) + sum(x.nbytes for x in (g.names, g.first, g.dst, g.prob, g.src))
+    tracemalloc.start()
+    try:
+        found = answer(g, *query)
+        return found, had + tracemalloc.get_traced_memory()[1]
+    finally:
+        tracemalloc.stop()
+
+
 def _runs(g: Local, rows: dict, label: str, method: str, k: int, seed: int, params: dict) -> pa.RecordBatch:
-    found = [answer(g, method, s, t, k, (seed, p, rep), params) for p, s, t, rep in zip(rows["pair_id"], rows["s"], rows["t"], rows["rep"], strict=True)]
+    watch, params = params.get("watch", False), {name: v for name, v in params.items() if name != "watch"}
+    found, ms, held = [], [], []
+    for p, s, t, rep in zip(rows["pair_id"], rows["s"], rows["t"], rows["rep"], strict=True):
+        began = time.perf_counter()
+        query = (method, s, t, k, (seed, p, rep), params)
+        one, most = _watched(g, *query) if watch and rep == 0 else (answer(g, *query), None)
+        found.append(one)
+        held.append(most)
+        ms.append((time.perf_counter() - began) * 1000 if most is None else None)
     n = len(found)
     columns = [
         pa.array([label] * n), pa.array(rows["pair_id"], pa.int32()), pa.array(rows["s"], pa.int64()), pa.array(rows["t"], pa.int64()), pa.array(rows["rep"], pa.int32()),
         pa.array([k] * n, pa.int32()), pa.array([a.used for a in found], pa.int64()), pa.array([a.value * k for a in found], pa.float64()),
         pa.array([a.value for a in found], pa.float64()), pa.array([a.probes for a in found], pa.int64()), pa.array([a.depth for a in found], pa.int32()),
+        pa.array(ms, pa.float64()), pa.array(held, pa.int64()),
     ]
     return pa.RecordBatch.from_arrays(columns, [x.split()[0] for x in RUNS.split(", ")])

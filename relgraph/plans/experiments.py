@@ -23,9 +23,9 @@ def together(frames: Iterable[DataFrame]) -> DataFrame:
     return reduce(DataFrame.unionByName, frames)
 
 
-def solver(g: UncertainGraph, pairs: DataFrame, seed: int = 1) -> Callable[..., DataFrame]:
-    """run(method, k, reps, **parameters): any of the six methods or 'tree+inner'; the tree is built once."""
-    held: dict[str, tree.TreeIndex] = {}
+def solver(g: UncertainGraph, pairs: DataFrame, seed: int = 1, held: dict[str, tree.TreeIndex] | None = None) -> Callable[..., DataFrame]:
+    """run(method, k, reps, **parameters): any of the six methods or 'tree+inner'; the tree is built once, and kept in `held` for other pairs."""
+    held = {} if held is None else held
 
     def run(method: str, k: int, reps: int = 1, **params) -> DataFrame:
         if not method.startswith("tree"):
@@ -49,15 +49,21 @@ def curves(run, methods: Iterable[str], ks: Iterable[int], reps: int) -> DataFra
     return measures.dispersion(runs).join(measures.cost(runs), ["method", "k"])
 
 
-def converge(run, method: str, start: int = 250, step: int = 250, limit: int = 2500, reps: int = 100, rho: float = 0.001) -> tuple[int | None, DataFrame]:
-    """The first k whose dispersion ratio is below rho (None: not up to the limit), and the table of all k tried."""
-    rows = []
+def searched(run, method: str, start: int = 250, step: int = 250, limit: int = 2500, reps: int = 100, rho: float = 0.001) -> tuple[int | None, list[DataFrame]]:
+    """The first k whose dispersion ratio is below rho (None: not up to the limit), and the runs of each k tried."""
+    tried = []
     for k in range(start, limit + 1, step):
-        rows.append(written(measures.dispersion(run(method, k, reps)), "converge"))
-        found = rows[-1].first()
+        tried.append(written(run(method, k, reps), "converge"))
+        found = measures.dispersion(tried[-1]).first()
         if found is not None and found["rho"] is not None and found["rho"] < rho:
-            return k, together(rows)
-    return None, together(rows)
+            return k, tried
+    return None, tried
+
+
+def converge(run, method: str, *args, **params) -> tuple[int | None, DataFrame]:
+    """As `searched`, with the table of all k tried."""
+    k, tried = searched(run, method, *args, **params)
+    return k, together(measures.dispersion(x) for x in tried)
 
 
 def convergence_table(run, methods: Iterable[str], **params) -> DataFrame:
@@ -78,13 +84,58 @@ def errors(run, methods: Iterable[str], k: int, reps: int, reference_k: int = 10
     return found.join(measures.dispersion(runs).select("method", "k", "r_k"), ["method", "k"]).join(both, "k")
 
 
+def over_k(run, methods: Iterable[str], ks: Iterable[int], reps: int, reference_k: int = 10_000) -> DataFrame:
+    """(method, k, pairs, r_k, rho, ref, re, skipped, ms, probes, k_used, bytes): reliability, error, time and memory as k grows.
+
+    The reference is plain sampling at a large k; ref is its mean over the pairs.
+    """
+    methods, ks = list(methods), list(ks)
+    base = written(run("mc", reference_k, 1).select("pair_id", F.col("r_hat").alias("ref")), "reference")
+    runs = written(together(run(m, k, reps, watch=True) for m in methods for k in ks), "runs")
+    found = measures.dispersion(runs).select("method", "k", "pairs", "r_k", "rho").join(measures.relative_error(runs, base), ["method", "k"]).join(_cost(runs), ["method", "k"])
+    return found.crossJoin(base.agg(F.avg("ref").alias("ref")))
+
+
+def _cost(runs: DataFrame) -> DataFrame:
+    """(method, k, ms, ms_per_sample, probes, k_used, bytes): mean cost of a run; see `kernels.solve` on ms and bytes."""
+    mean = (F.avg(c).alias(c) for c in ("ms", "probes", "k_used", "bytes"))
+    return runs.groupBy("method", "k").agg(*mean).withColumn("ms_per_sample", F.col("ms") / F.col("k"))
+
+
+def full_tables(run, methods: Iterable[str], reps: int, k: int = 1000, limit: int = 2500, rho: float = 0.001) -> DataFrame:
+    """(at, method, k, converged, pairs, r_k, rho, re, skipped, d, d_without, ms, ms_per_sample, probes, k_used, bytes) of every
+    method at its own convergence and at one k. Errors are against plain sampling at its convergence; a method
+    that does not converge up to the limit is shown there, with converged false."""
+    methods, step = list(methods), 250
+    watched = lambda *a: run(*a, watch=True)
+    runs, ends = {"convergence": [], "fixed": []}, {}
+    for m in methods:
+        end, tried = searched(watched, m, step, step, limit, reps, rho)
+        ends[m] = (step * len(tried), end is not None)
+        runs["convergence"].append(tried[-1])
+        runs["fixed"].append(tried[k // step - 1] if k % step == 0 and len(tried) >= k // step else written(watched(m, k, reps), "fixed"))
+    plain = runs["convergence"][methods.index("mc")]
+    base = written(plain.groupBy("pair_id").agg(F.avg("r_hat").alias("ref")), "reference")
+    met = base.sparkSession.createDataFrame([(m, *e) for m, e in ends.items()], "method string, end int, settled boolean")
+    out = []
+    for at, parts in runs.items():
+        every = together(parts)
+        errors_ = written(measures.relative_error(every, base), "errors")
+        apart = [measures.pairwise_deviation(errors_.withColumn("k", F.lit(0)), leave).agg(F.max("d").alias(name)) for name, leave in (("d", None), ("d_without", "mc"))]
+        found = measures.dispersion(every).select("method", "k", "pairs", "r_k", "rho").join(errors_, ["method", "k"]).join(_cost(every), ["method", "k"])
+        found = found.crossJoin(apart[0]).crossJoin(apart[1])  # one row each, null for too few methods
+        found = found.join(met, "method").withColumn("converged", F.col("settled") & (F.col("k") == F.col("end"))).drop("settled", "end")
+        out.append(found.withColumn("at", F.lit(at)))
+    return together(out)
+
+
 def by_distance(g: UncertainGraph, methods: Iterable[str], hops: Iterable[int], n: int, k: int, reps: int, seed: int = 1) -> DataFrame:
     """(hops, method, k, pairs, v_k, r_k, rho, ...): the same methods for pairs farther and farther apart; distances without pairs are absent."""
-    out = []
+    out, held = [], {}
     for h in hops:
         pairs = workload.pairs(g, n, h, seed)
         if not pairs.isEmpty():
-            out.append(curves(solver(g, pairs, seed), methods, [k], reps).withColumn("hops", F.lit(h)))
+            out.append(curves(solver(g, pairs, seed, held), methods, [k], reps).withColumn("hops", F.lit(h)))
     return together(out)
 
 

@@ -445,51 +445,71 @@ def advisor_recommend(spark, sf_dir):
 
 
 # Experiments.
+#: Pairs and repeats of the registered experiments, and the steps of k.
+TRIED, REPEATS, STEPS = 20, 10, (250, 500, 1000)
+
+
 @query()
 def convergence_table(spark, sf_dir):
-    run, _, _ = bench(spark, sf_dir)
-    return experiments.convergence_table(run, ("mc", "split", "tree+mc"), reps=10, limit=1000)
+    run, _, _ = bench(spark, sf_dir, TRIED)
+    return experiments.convergence_table(run, experiments.SIX, reps=REPEATS, limit=2500)
 
 
 @query()
 def variance_curves(spark, sf_dir):
-    run, _, _ = bench(spark, sf_dir)
-    return experiments.curves(run, experiments.SIX, (250, 500), 8)
+    run, _, _ = bench(spark, sf_dir, TRIED)
+    return experiments.curves(run, experiments.SIX, STEPS, REPEATS)
+
+
+@query()
+def tables_knn5(spark, sf_dir):
+    run, _, _ = bench(spark, sf_dir, PAIRS, graph="knn5")
+    return experiments.full_tables(run, experiments.SIX, 6)
+
+
+@query()
+def tradeoff_userflow(spark, sf_dir):
+    run, _, _ = bench(spark, sf_dir, PAIRS, graph="userflow")
+    return experiments.over_k(run, experiments.SIX, STEPS, 4)
 
 
 @query()
 def errors_fixed_k(spark, sf_dir):
-    run, _, _ = bench(spark, sf_dir)
-    return experiments.errors(run, experiments.SIX, 1000, 4)
+    run, _, _ = bench(spark, sf_dir, TRIED)
+    return experiments.errors(run, experiments.SIX, 1000, REPEATS)
 
 
 @query()
 def timings(spark, sf_dir):
-    run, _, pairs = bench(spark, sf_dir)
+    run, _, pairs = bench(spark, sf_dir, TRIED)
     return experiments.timings(run, pairs, experiments.SIX, 1000)
 
 
 @query()
 def distance_sweep(spark, sf_dir):
-    return experiments.by_distance(main(spark, sf_dir), ("mc", "skip"), (2, 4, 6), 8, 1000, 3)
+    return experiments.by_distance(main(spark, sf_dir), experiments.SIX, (2, 4, 6, 8), TRIED, 1000, 3)
 
 
 @query()
 def threshold_sweep(spark, sf_dir):
-    run, _, _ = bench(spark, sf_dir, 5)
-    return experiments.sweep(run, "split", "leaf", (2, 5, 20, 100), 1000, 6)
+    run, _, _ = bench(spark, sf_dir, TRIED)
+    return experiments.together(experiments.sweep(run, m, "leaf", (2, 5, 10, 20, 50, 100), 1000, REPEATS) for m in ("split", "strata"))
 
 
 @query()
 def strata_sweep(spark, sf_dir):
-    run, _, _ = bench(spark, sf_dir, 5)
-    return experiments.sweep(run, "strata", "r", (1, 5, 25, 50), 1000, 6)
+    run, _, _ = bench(spark, sf_dir, TRIED)
+    return experiments.together(experiments.sweep(run, "strata", "r", (1, 5, 10, 25, 50, 100), k, REPEATS) for k in (500, 1000))
 
 
-@query()
-def coupling(spark, sf_dir):
-    run, _, _ = bench(spark, sf_dir)
-    return experiments.coupling(run, ("skip", "split", "strata"), 1000, 4)
+def _coupling(name: str, graph: str):
+    @query(name=name)
+    def run(spark, sf_dir):
+        return experiments.coupling(bench(spark, sf_dir, graph=graph)[0], ("skip", "split", "strata"), 1000, 4)
+
+
+for _name, _graph in (("coupling", "knn"), ("coupling_userflow", "userflow")):
+    _coupling(_name, _graph)
 
 
 @query()

@@ -306,6 +306,18 @@ def test_convergence(spark, small):
     assert k in (100, 200) and rows.count() == k // 100
 
 
+def test_tables_and_curves(spark, ring):
+    """Error, time and memory of methods at convergence and over k; plain sampling is its own reference at convergence."""
+    run = experiments.solver(*ring)
+    rows = {(r["at"], r["method"]): r for r in experiments.full_tables(run, ("mc", "split"), 10, 500, 750, 0.01).collect()}
+    assert len(rows) == 4 and rows["convergence", "mc"].re == 0 and {r.k for (at, _), r in rows.items() if at == "fixed"} == {500}
+    assert all(r.bytes > 0 and r.ms > 0 and r.converged == (r.rho < 0.01) for (at, _), r in rows.items() if at == "convergence")
+    runs = measures.dispersion(run("mc", 500, 10)).first()
+    assert rows["fixed", "mc"].r_k == pytest.approx(runs.r_k) and rows["fixed", "mc"].rho == pytest.approx(runs.rho)
+    over = {(r.method, r.k): r for r in experiments.over_k(run, ("mc", "bitmap"), (64, 640), 4, 2000).collect()}
+    assert len(over) == 4 and over["bitmap", 640].bytes > over["bitmap", 64].bytes and all(abs(r.r_k - r.ref) < 0.15 for r in over.values())
+
+
 def test_advisor(spark):
     assert advisor.scores(spark).where("criterion = 'variance' AND place = 1").count() == 2
     best = {r.method for r in advisor.recommend(spark, low_variance=True).where("place = 1").collect()}
