@@ -462,8 +462,8 @@ def variance_curves(spark, sf_dir):
 
 
 @query()
-def tables_knn5(spark, sf_dir):
-    run, _, _ = bench(spark, sf_dir, PAIRS, graph="knn5")
+def full_tables(spark, sf_dir):
+    run, _, _ = bench(spark, sf_dir, PAIRS)
     return experiments.full_tables(run, experiments.SIX, 6)
 
 
