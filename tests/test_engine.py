@@ -14,7 +14,7 @@ from relgraph.model import GraphError, UncertainGraph
 from relgraph.operators import bitmap, kernels, mc, skip, strata, tree
 from relgraph.plans import advisor, experiments, reach, workload
 from relgraph.plans.iterate import written
-from relgraph.sources import tables
+from relgraph.sources import graphs, tables
 
 PAIR = "pair_id int, s long, t long, hops int"
 KNOWN = {"single": 0.5, "chain": 0.25, "parallel": 0.8125, "diamond": 0.4375, "cycle": 0.125, "same": 1.0, "apart": 0.0, "rare": 0.001}
@@ -335,6 +335,35 @@ def test_sources(spark, tmp_path):
     spark.sql("DROP TABLE an_index")
 
 
+def _nearest_by_all_pairs(rows, k, meet=lambda a, b: True):
+    """The k nearest of each vector of a dict among those it meets, by cosine to nine digits and then by id."""
+    out = set()
+    for a, x in rows.items():
+        met = [(round(float(x @ y / np.sqrt((x @ x) * (y @ y))), 9), -b) for b, y in rows.items() if a != b and meet(a, b) and x.any() and y.any()]
+        out |= {(a, -b, c) for c, b in sorted(met, reverse=True)[:k] if c > 0}
+    return out
+
+
+def test_nearest_in_bounded_groups(spark, tmp_path, monkeypatch):
+    """Ids of one remainder, copies, a zero and a null vector: groups stay small and every vector keeps its nearest."""
+    rng = np.random.default_rng(3)
+    rows = {8 * i: np.round(rng.normal(size=4), 1) for i in range(300)} | {8 * i: np.ones(4) for i in range(300, 330)} | {8 * 330: np.zeros(4)}
+    data = [(i, v.tolist(), 0) for i, v in rows.items()] + [(8 * 331, None, 0)]
+    spark.createDataFrame(data, "vec_id long, embedding array<double>, label int").write.parquet(str(tmp_path / "embeddings.parquet"))
+    monkeypatch.setattr(graphs, "GROUP", 30)
+    got = {(r.src, r.dst, r.prob) for r in graphs.nearest(spark, str(tmp_path)).edges.collect()}
+    assert got == _nearest_by_all_pairs(rows, 3)
+    monkeypatch.setattr(graphs, "TILE", 7)
+    ids = np.array(list(rows))
+    met = {"part": ids // 8 % 2, "vec_id": ids, "v": [v.tolist() for v in rows.values()]}
+    for part in (0, None):  # one group in itself, then two groups in each other
+        mine = {k: [x for x, p in zip(v, met["part"], strict=True) if part in (None, p)] for k, v in met.items()}
+        table = graphs._nearest_of(graphs.pa.table(mine), 3).to_pydict()
+        kept = {i: v for i, v in rows.items() if part in (None, i // 8 % 2)}
+        want = _nearest_by_all_pairs(kept, 3, lambda a, b: part is not None or a // 8 % 2 != b // 8 % 2)  # noqa: B023
+        assert set(zip(table["src"], table["dst"], table["cosine"], strict=True)) == want
+
+
 def test_sql_surface(spark, ring):
     from relgraph import sql
 
