@@ -154,13 +154,30 @@ def bucket_borders(hashes: np.ndarray, buckets: int) -> np.ndarray:
     return np.searchsorted(bucket, np.arange(buckets + 1, dtype=np.uint64))
 
 
+def planes(words: np.ndarray) -> bytes:
+    """Rows of words byte by byte, after a mask of the bytes that are not 0 in every row; only those are kept."""
+    raw = np.ascontiguousarray(words, "<u8").view(np.uint8).reshape(len(words), -1)
+    on = raw.any(0)
+    return np.packbits(on, bitorder="little").tobytes() + raw.T[on].tobytes()
+
+
+def from_planes(body: bytes, width_: int) -> np.ndarray:
+    """The rows, not all 0, of so many words that `planes` wrote."""
+    on = np.unpackbits(np.frombuffer(body, np.uint8, width_), bitorder="little").astype(bool)
+    kept = np.frombuffer(body, np.uint8, offset=width_).reshape(int(on.sum()), -1)
+    raw = np.zeros((kept.shape[1], 8 * width_), np.uint8)
+    raw[:, on] = kept.T
+    return raw.view("<u8")
+
+
 def sent(unit: int, packed: np.ndarray, borders: np.ndarray) -> pa.Table:
-    """What a unit sends to each bucket, a row a bucket."""
+    """What a unit sends to each bucket, a row a bucket; rows of words as planes."""
+    form = planes if packed.ndim > 1 else np.ndarray.tobytes
     full = np.flatnonzero(np.diff(borders))
     return pa.table({
         "unit": pa.array(np.full(len(full), unit), pa.int32()),
         "bucket": pa.array(full, pa.int32()),
-        "body": pa.array([packed[borders[b] : borders[b + 1]].tobytes() for b in full], pa.binary()),
+        "body": pa.array([form(packed[borders[b] : borders[b + 1]]) for b in full], pa.binary()),
     })
 
 
@@ -332,7 +349,7 @@ def seen_behind(word: np.ndarray, d: int) -> np.ndarray:
 
 def ranked(rows: pa.Table, words: int, bits: int, crowd: int) -> pa.Table:
     """Ranks from 1 of a bucket's strings that stand more than once, for each unit that sent them; others get 0."""
-    parts = [np.frombuffer(x, np.uint64).reshape(-1, words + 1) for x in rows.column("body").to_pylist()]
+    parts = [from_planes(x, words + 1) for x in rows.column("body").to_pylist()]
     whole = np.concatenate(parts)
     _, _, place, _ = distinct(whole[:, :-1], bits)
     often = np.bincount(place, whole[:, -1].astype(float))
@@ -347,7 +364,7 @@ def merged(rows: pa.Table, bits: int) -> pa.Table:
     """For each suffix the shifts, as bits, at which a neighbour of the same name has the same bytes around it."""
     if rows.column("bucket")[0].as_py() < 0:  # what a unit keeps
         return rows.select(["unit", "bucket", "body"])
-    parts = [np.frombuffer(x, np.uint64).reshape(-1, 3) for x in rows.column("body").to_pylist()]
+    parts = [from_planes(x, 3) for x in rows.column("body").to_pylist()]
     words = np.concatenate(parts)
     form, many = words[:, 2] >> np.uint64(48), words[:, 1] & _MANY > 0
     out = np.zeros(len(words), np.uint8)
@@ -405,7 +422,7 @@ def regions(texts: DataFrame, size: int, length: int, period: int, piece: int =
             "body": pa.array([raw[base[i] + a : base[i] + b].tobytes() for i, a, b in found], pa.binary()),
         })
 
-    out = staged(pieces.groupBy("unit").cogroup(flags.groupBy("unit")).applyInArrow(leave, REGIONS), "regions")
+    out = staged(pieces.groupBy("unit").cogroup(flags.groupBy("unit")).applyInArrow(leave, REGIONS), "regions", "zstd")
     discard(flags)
     return out
 
@@ -438,7 +455,8 @@ def repeated(left: DataFrame, length: int, bits: int, crowd: int) -> DataFrame:
                 words, keys, place, often = distinct(words, bits, keys)
                 words[often > 1, 1] |= _MANY
                 # Where each suffix stands and its place among those sent wait in a group of their own for the answers.
-                held = own.at[sample].astype("<i4").tobytes() + place.astype("<i4").tobytes()
+                order = np.argsort(sample, kind="stable")
+                held = planes(np.stack([np.diff(own.at[sample[order]], prepend=0), place[order] + 1], 1)) if len(sample) else b""
                 state = pa.table({"unit": pa.array([unit], pa.int32()), "bucket": pa.array([-1 - unit], pa.int32()), "body": pa.array([held], pa.binary())})
                 return pa.concat_tables([sent(unit, words, bucket_borders(keys, buckets)), state])
             return sent(unit, words, bucket_borders(keys, buckets))
@@ -452,7 +470,9 @@ def repeated(left: DataFrame, length: int, bits: int, crowd: int) -> DataFrame:
         rows = ordered(rows, "h", "g", "at")
         raw, borders = as_bytes(rows.column("body").combine_chunks())
         state, answers = known.filter(pc.less(known.column("bucket"), 0)), known.filter(pc.greater_equal(known.column("bucket"), 0)).sort_by("bucket")
-        at, place = np.frombuffer(state.column("body")[0].as_py(), "<i4").reshape(2, -1)
+        body = state.column("body")[0].as_py()
+        steps, place = from_planes(body, 2).astype(np.int64).T if body else np.zeros((2, 0), np.int64)
+        at, place = np.cumsum(steps), place - 1
         found = np.frombuffer(b"".join(answers.column("body").to_pylist()), np.uint8)
         shifts, there = found[place], np.zeros(len(raw) + 1, bool)
         for d in range(STEP):
@@ -489,7 +509,7 @@ def repeats(
     spark = df.sparkSession
     base = df.select(F.col(key).cast("long").alias("doc_id"), F.coalesce(F.col(text).cast("string"), F.lit("")).alias("text"))
     named = [F.xxhash64("text").alias("h"), F.xxhash64(F.lit("copy"), "text").alias("g")]
-    texts = staged(base.groupBy("text").agg(F.count("*").alias("n")).select(*named, "n", "text"), "texts")
+    texts = staged(base.groupBy("text").agg(F.count("*").alias("n")).select(*named, "n", "text"), "texts", "zstd")
     size, most = texts.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0)), F.coalesce(F.sum("n"), F.lit(0))).first()
     left = regions(texts.select("h", "g", "text"), size, length, period, piece)
     found = repeated(left, length, bits, crowd)

@@ -358,6 +358,15 @@ def brute_removed(raws, length):
     return out
 
 
+def test_suffix_sends_only_bytes_that_are_used():
+    """Names, texts of seven bytes and counts take fewer bytes than their words when they are sent, and come back the same."""
+    rng = np.random.default_rng(2)
+    words = np.stack([rng.integers(1, 1 << 20, 3000) | rng.integers(0, 600, 3000) << 32, rng.integers(0, 1 << 56, 3000), np.ones(3000, np.int64)], 1).astype(np.uint64)
+    sent = suffix.sent(4, words, np.array([0, 1000, 1000, 3000]))
+    assert sent.column("bucket").to_pylist() == [0, 2] and sum(map(len, sent.column("body").to_pylist())) <= 3000 * 13 + 2 * 3
+    assert (np.concatenate([suffix.from_planes(x, 3) for x in sent.column("body").to_pylist()]) == words).all()
+
+
 def test_suffix_of_a_long_text(spark):
     """A text above 10 MB with passages that repeat across the borders of its pieces."""
     raw = bytearray(np.random.default_rng(3).integers(97, 123, 11 << 20, dtype=np.uint8).tobytes())
