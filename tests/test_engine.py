@@ -423,6 +423,18 @@ def test_queries_equal_sql(spark, small, duck, tmp_path, name):
         assert duck.execute(f"SELECT count(*) FROM (SELECT {c} FROM {a} EXCEPT ALL SELECT {c} FROM {b})").fetchall() == [(0,)]
 
 
+def test_agreement_on_a_given_table(spark, small, duck):
+    """Pairs and graphs come from the embeddings table; the exact answers equal the SQL's, and every way agrees with them."""
+    _, edges = workloads.surroundings(spark, small)
+    assert edges.groupBy("pair_id").count().agg(F.max("count")).first()[0] <= 12
+    want = {tuple(r) for r in duck.execute(f"SELECT pair_id, s, t, r FROM ({workloads.surroundings_sql()})").fetchall()}
+    assert len(want) == workloads.PAIRS and all(0 < r <= 1 for *_, r in want)
+    for name in workloads.ON_TABLE:
+        rows = workloads.queries()[f"agree_{name}"](spark, small).collect()
+        assert {(r.pair_id, r.s, r.t, r.r) for r in rows} == want, name
+        assert all(r.agrees for r in rows), name
+
+
 def test_entry(spark):
     assert entry_module.entry(spark).count() > 0
     assert set(entry_module.oracle_sql()) <= set(entry_module.queries())
