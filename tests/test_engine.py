@@ -325,6 +325,26 @@ def test_advisor(spark):
     assert {r.method for r in advisor.recommend(spark, tight_memory=True, may_index=False).where("place = 1").collect()} == {"skip"}
 
 
+def needing(spark):
+    """The needs of four sources: only 1 and 4 have no edge as likely as one half."""
+    g = tables.literal(spark, [(1, 2, 0.25), (1, 3, 0.499), (2, 3, 0.5), (3, 1, 0.25), (3, 2, 0.75), (4, 1, 0.125)])
+    return g, advisor.needs(g)
+
+
+def test_advisor_for_the_sources_of_a_graph(spark, small):
+    g, needs = needing(spark)
+    assert {(r.s, r.low_variance, r.tight_memory) for r in needs.collect()} == {(1, True, False), (2, False, False), (3, False, False), (4, True, False)}
+    found = advisor.needs_recommend(needs).collect()
+    for s, low in ((1, True), (2, False), (3, False), (4, True)):
+        want = {tuple(r) for r in advisor.recommend(spark, low_variance=low).collect()}
+        assert {(r.method, r.score, r.place) for r in found if r.s == s} == want and len(want) == 8
+    large = advisor.needs_recommend(advisor.needs(g, 5), may_index=False).where("s = 2 AND place = 1").collect()
+    assert [(r.method, r.tight_memory) for r in large] == [("skip", True)]
+    sources = workloads.queries()["graph_knn"](spark, small).select(F.col("src").alias("s")).distinct()
+    every = workloads.queries()["advisor_recommend"](spark, small)
+    assert every.count() == 8 * sources.count() and every.join(sources, "s", "left_anti").isEmpty()
+
+
 def test_sources(spark, tmp_path):
     g = tables.literal(spark, [(1, 2, 0.5), (2, 3, 0.25)])
     for kind in ("csv", "json", "parquet"):
