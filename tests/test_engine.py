@@ -345,6 +345,17 @@ def test_advisor_for_the_sources_of_a_graph(spark, small):
     assert every.count() == 8 * sources.count() and every.join(sources, "s", "left_anti").isEmpty()
 
 
+def test_advisor_scores_by_needs_of_a_graph(spark, small):
+    rows = advisor.needs_scores(needing(spark)[1]).collect()
+    assert len(rows) == 48 and {(r.low_variance, r.sources) for r in rows} == {(True, 2), (False, 2)}
+    weights = {(r.low_variance, r.criterion): r.weight for r in rows}
+    assert weights == {(low, c): w for low in (True, False) for c, w in (("variance", 2 * low), ("accuracy", 1), ("time", 2), ("memory", 0))}
+    stars = {tuple(r) for r in advisor.scores(spark).collect()}
+    assert {(r.method, r.criterion, r.stars, r.place) for r in rows} == stars
+    kinds = workloads.queries()["advisor_scores"](spark, small).select("low_variance", "sources").distinct().collect()
+    assert sum(r.sources for r in kinds) == workloads.queries()["graph_knn"](spark, small).select("src").distinct().count()
+
+
 def test_sources(spark, tmp_path):
     g = tables.literal(spark, [(1, 2, 0.5), (2, 3, 0.25)])
     for kind in ("csv", "json", "parquet"):
