@@ -29,6 +29,7 @@ each other). There are no ties to break. Other columns are left out, so names ca
 from __future__ import annotations
 
 import hashlib
+from collections.abc import Iterable
 
 import numpy as np
 import pyarrow as pa
@@ -91,21 +92,23 @@ def ordered(rows: pa.Table, *keys: str) -> pa.Table:
     return rows.sort_by([(k, "ascending") for k in keys])
 
 
+def on_cover(sizes: np.ndarray, period: int, reach: int) -> tuple[np.ndarray, np.ndarray]:
+    """The positions within each part, of so many bytes, whose residues are on the cover and from which `reach` bytes are left; their parts."""
+    spots = np.flatnonzero(np.isin(np.arange(int(sizes.max(initial=0))) % period, cover(period)))
+    many = np.searchsorted(spots, sizes - reach, side="right")
+    part = np.repeat(np.arange(len(sizes)), many)
+    return spots[np.arange(len(part)) - (np.cumsum(many) - many)[part]], part
+
+
 class Screen:
     """The pieces of a unit side by side, in an order that a second run repeats, and their sampled strings."""
 
     def __init__(self, rows: pa.Table, length: int, period: int):
         self.rows = ordered(rows, "h", "g", "k")
         self.raw, self.borders = as_bytes(self.rows.column("body").combine_chunks())
-        self.length, self.period, n = length, period, len(self.raw)
-        self.reach = length - period + 1
-        sizes = np.diff(self.borders)
-        within = np.arange(n, dtype=np.int32) - np.repeat(self.borders[:-1].astype(np.int32), sizes)
-        left = np.repeat(sizes.astype(np.int32), sizes) - within
-        wanted = np.zeros(period, bool)
-        wanted[cover(period)] = True
-        self.sampled = np.flatnonzero(np.resize(wanted, int(sizes.max(initial=0)))[within] & (left >= self.reach))
-        self.whole = left >= length
+        self.length, self.period, self.reach, n = length, period, length - period + 1, len(self.raw)
+        within, self.part = on_cover(np.diff(self.borders), period, self.reach)
+        self.sampled = self.borders[self.part] + within
         top = 8
         while 2 * top <= min(64, self.reach):
             top *= 2
@@ -113,20 +116,22 @@ class Screen:
 
     def regions(self, tied: np.ndarray) -> list[tuple[int, int, int]]:
         """(piece, from, to) of the maximal runs of whole strings with a tied sample within the period."""
-        n = len(self.raw)
-        mark = np.zeros(n + self.period + 1, np.int32)
-        mark[self.sampled[tied] + 1] = 1
-        seen = np.cumsum(mark, dtype=np.int32)
-        at = np.flatnonzero((seen[self.period : self.period + n] > seen[:n]) & self.whole)
-        return runs(at, self.length, self.borders)
+        at, part = self.sampled[tied], self.part[tied]
+        base, end = self.borders[part], self.borders[part + 1]
+        first, last = np.maximum(at - self.period + 1, base), np.minimum(at, end - self.length) + self.length
+        fresh = np.ones(len(at), bool)
+        fresh[1:] = (part[1:] != part[:-1]) | (first[1:] > last[:-1])
+        of = np.flatnonzero(fresh)
+        until = np.append(of[1:], len(at))[: len(of)] - 1
+        return list(zip(part[of].tolist(), (first - base)[of].tolist(), (last - base)[until].tolist(), strict=True))
 
 
 def runs(at: np.ndarray, length: int, borders: np.ndarray) -> list[tuple[int, int, int]]:
-    """(part, from, to) of the maximal runs of bytes under strings at the positions; parts end at the borders."""
+    """(part, from, to) of the maximal runs of bytes under strings at the positions, each given once; parts end at the borders."""
     n = int(borders[-1])
     step = np.zeros(n + 1, np.int32)
     step[at] += 1
-    np.subtract.at(step, at + length, 1)
+    step[at + length] -= 1
     under = np.cumsum(step[:-1]) > 0
     cut = np.zeros(n + 1, bool)
     cut[borders] = True
@@ -136,9 +141,27 @@ def runs(at: np.ndarray, length: int, borders: np.ndarray) -> list[tuple[int, in
     return list(zip(part.tolist(), (first - borders[part]).tolist(), (last - borders[part]).tolist(), strict=True))
 
 
+def by_hash(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """An order of the hashes by as many of their high bits as leave room for a place beside them, and these bits in that order."""
+    bits = np.uint64(len(keys).bit_length())
+    both = keys >> bits << bits
+    both |= np.arange(len(keys), dtype=np.uint64)
+    both.sort()  # much faster than to sort places by their hashes
+    low = (np.uint64(1) << bits) - np.uint64(1)
+    return (both & low).astype(np.int64), both & ~low
+
+
+def with_equals(order: np.ndarray, keys: np.ndarray) -> np.ndarray:
+    """Whose key stands more than once, for keys given in order."""
+    out, same = np.zeros(len(order), bool), keys[1:] == keys[:-1]
+    out[order[1:][same]] = True
+    out[order[:-1][same]] = True
+    return out
+
+
 def dealt(names: np.ndarray, buckets: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Distinct hashes in order, borders of the buckets (ranges of high bits), each input's place, places with several."""
-    order = np.argsort(names)
+    """Hashes in order, most repeats left out, borders of the buckets (ranges of high bits), each input's place, places with several."""
+    order, _ = by_hash(names)
     sorted_ = names[order]
     fresh = np.ones(len(names), bool)
     fresh[1:] = sorted_[1:] != sorted_[:-1]
@@ -149,52 +172,71 @@ def dealt(names: np.ndarray, buckets: int) -> tuple[np.ndarray, np.ndarray, np.n
     return hashes, bucket_borders(hashes, buckets), place, often
 
 
+def bucket_of(hashes: np.ndarray, buckets: int) -> np.ndarray:
+    return (hashes >> np.uint64(32)) * np.uint64(buckets) >> np.uint64(32)
+
+
 def bucket_borders(hashes: np.ndarray, buckets: int) -> np.ndarray:
-    bucket = (hashes >> np.uint64(32)) * np.uint64(buckets) >> np.uint64(32)
-    return np.searchsorted(bucket, np.arange(buckets + 1, dtype=np.uint64))
+    return np.searchsorted(bucket_of(hashes, buckets), np.arange(buckets + 1, dtype=np.uint64))
 
 
-def planes(words: np.ndarray) -> bytes:
-    """Rows of words byte by byte, after a mask of the bytes that are not 0 in every row; only those are kept."""
-    raw = np.ascontiguousarray(words, "<u8").view(np.uint8).reshape(len(words), -1)
-    on = raw.any(0)
-    return np.packbits(on, bitorder="little").tobytes() + raw.T[on].tobytes()
+def planes(words: np.ndarray, borders: np.ndarray) -> list[bytes]:
+    """The rows of words of each range that is not empty, byte by byte, after a mask of the bytes that are not 0 in all its rows; only those are kept."""
+    full = np.flatnonzero(np.diff(borders))
+    if not len(full):
+        return []
+    (n, k), first = words.shape, borders[full]
+    raw, used = np.empty((8 * k, n), np.uint8), np.empty((len(full), k), "<u8")
+    for c in range(k):
+        word = np.ascontiguousarray(words[:, c], "<u8")
+        raw[8 * c : 8 * c + 8] = word.view(np.uint8).reshape(n, 8).T
+        used[:, c] = np.bitwise_or.reduceat(word, first)
+    on = used.view(np.uint8) > 0
+    masks = np.packbits(on, axis=1, bitorder="little")
+    return [masks[i].tobytes() + raw[on[i], borders[b] : borders[b + 1]].tobytes() for i, b in enumerate(full)]
+
+
+def all_planes(bodies: list[bytes], width_: int) -> tuple[np.ndarray, list[int]]:
+    """The rows, not all 0, of so many words that `planes` wrote, one body after the other, and how many each has."""
+    on = [np.unpackbits(np.frombuffer(x, np.uint8, width_), bitorder="little").astype(bool) for x in bodies]
+    sizes = [(len(x) - width_) // int(o.sum()) for x, o in zip(bodies, on, strict=True)]
+    n, a = sum(sizes), 0
+    raw, words = np.zeros((8 * width_, n), np.uint8), np.empty((width_, n), "<u8")
+    for body, o, m in zip(bodies, on, sizes, strict=True):
+        raw[o, a : a + m] = np.frombuffer(body, np.uint8, offset=width_).reshape(-1, m)
+        a += m
+    for c in range(width_):
+        words[c].view(np.uint8).reshape(n, 8)[:] = raw[8 * c : 8 * c + 8].T
+    return words.T, sizes
 
 
 def from_planes(body: bytes, width_: int) -> np.ndarray:
-    """The rows, not all 0, of so many words that `planes` wrote."""
-    on = np.unpackbits(np.frombuffer(body, np.uint8, width_), bitorder="little").astype(bool)
-    kept = np.frombuffer(body, np.uint8, offset=width_).reshape(int(on.sum()), -1)
-    raw = np.zeros((kept.shape[1], 8 * width_), np.uint8)
-    raw[:, on] = kept.T
-    return raw.view("<u8")
+    return all_planes([body], width_)[0]
 
 
 def sent(unit: int, packed: np.ndarray, borders: np.ndarray) -> pa.Table:
     """What a unit sends to each bucket, a row a bucket; rows of words as planes."""
-    form = planes if packed.ndim > 1 else np.ndarray.tobytes
     full = np.flatnonzero(np.diff(borders))
+    bodies = planes(packed, borders) if packed.ndim > 1 else [packed[borders[b] : borders[b + 1]].tobytes() for b in full]
     return pa.table({
         "unit": pa.array(np.full(len(full), unit), pa.int32()),
         "bucket": pa.array(full, pa.int32()),
-        "body": pa.array([form(packed[borders[b] : borders[b + 1]]) for b in full], pa.binary()),
+        "body": pa.array(bodies, pa.binary()),
     })
 
 
 def ties(rows: pa.Table) -> pa.Table:
-    """For each unit's hashes in a bucket, which ones another unit has too."""
+    """For each unit's hashes in a bucket, which ones stand there again."""
     parts = [np.frombuffer(x, np.uint32) for x in rows.column("body").to_pylist()]
     names = np.concatenate(parts)
-    order = np.argsort(names, kind="stable")
-    same = names[order][1:] == names[order][:-1]
-    tied = np.zeros(len(names), bool)
-    tied[order[1:][same]] = True
-    tied[order[:-1][same]] = True
-    return answered(rows, [np.packbits(x).tobytes() for x in apart(tied, parts)])
+    both = names.astype(np.uint64) << np.uint64(32) | np.arange(len(names), dtype=np.uint64)
+    both.sort()
+    tied = with_equals((both & np.uint64((1 << 32) - 1)).astype(np.int64), both >> np.uint64(32))
+    return answered(rows, [np.packbits(x).tobytes() for x in apart(tied, map(len, parts))])
 
 
-def apart(values: np.ndarray, parts: list[np.ndarray]) -> list[np.ndarray]:
-    return np.split(values, np.cumsum([len(p) for p in parts])[:-1])
+def apart(values: np.ndarray, sizes: Iterable[int]) -> list[np.ndarray]:
+    return np.split(values, np.cumsum([*sizes])[:-1])
 
 
 def answered(rows: pa.Table, bodies: list[bytes]) -> pa.Table:
@@ -211,36 +253,46 @@ def told(own: Screen, flags: pa.Table, buckets: int) -> np.ndarray:
     return tied[place] if len(own.hashes) else np.zeros(0, bool)
 
 
-def mixed(words: np.ndarray, bits: int) -> np.ndarray:
-    """A hash of each row of words, of which so many high bits are used."""
-    x = words[:, 0] * _A
-    for k in range(1, words.shape[1]):
-        x = joined_names(x, words[:, k])
-    x = joined_names(x, x >> np.uint64(32))
-    return x if bits >= 64 else x >> np.uint64(64 - bits) << np.uint64(64 - bits)
+def mixed(words: np.ndarray, bits: int, block: int = 1 << 15) -> np.ndarray:
+    """A hash of each row of words, of which so many high bits are used; worked out block by block."""
+    out = np.empty(len(words), np.uint64)
+    for a in range(0, len(words), block):
+        x = words[a : a + block, 0] * _A
+        for k in range(1, words.shape[1]):
+            x = joined_names(x, words[a : a + block, k])
+        out[a : a + block] = joined_names(x, x >> np.uint64(32))
+    return out if bits >= 64 else out >> np.uint64(64 - bits) << np.uint64(64 - bits)
+
+
+def picked(words: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """Rows of words, which lie in memory word by word."""
+    return (np.compress if at.dtype == bool else lambda i, x, axis: np.take(x, i, axis))(at, words.T, 1).T
 
 
 def distinct(words: np.ndarray, bits: int, key: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Distinct rows sorted by their hash and then word by word, their hashes, each input's place, and how often each stands."""
-    key = mixed(words, bits) if key is None else key
-    order = np.argsort(key)
-    rows, keys = words[order], key[order]
-    same = (rows[1:] == rows[:-1]).all(1)
-    if (same != (keys[1:] == keys[:-1])).any():  # different rows of one hash
-        order = np.lexsort((*words.T[::-1], key))
-        rows, keys = words[order], key[order]
-        same = (rows[1:] == rows[:-1]).all(1)
+    """Distinct rows sorted by the high bits of their hash and then word by word, these bits, each input's place, and how often each stands."""
+    order, keys = by_hash(mixed(words, bits) if key is None else key)
+    rows = picked(words, order)
+    equal = keys[1:] == keys[:-1]
+    same = np.logical_and.reduce([equal, *(c[1:] == c[:-1] for c in rows.T)])
+    if (same != equal).any():  # different rows of one hash: these hashes' rows are sorted
+        group = np.cumsum(np.concatenate([[False], ~equal]))
+        several = np.zeros(int(group[-1]) + 1, bool)
+        several[group[1:][same != equal]] = True
+        on = np.flatnonzero(several[group])
+        order[on] = order[on][np.lexsort((*picked(rows, on).T[::-1], group[on]))]
+        rows = picked(words, order)
+        same = np.logical_and.reduce([equal, *(c[1:] == c[:-1] for c in rows.T)])
     fresh = np.concatenate([np.ones(min(1, len(rows)), bool), ~same])
     place = np.empty(len(words), np.int64)
     place[order] = np.cumsum(fresh) - 1
-    return rows[fresh], keys[fresh], place, np.bincount(place, minlength=int(fresh.sum()))
+    return picked(rows, fresh), keys[fresh], place, np.diff(np.flatnonzero(fresh), append=len(words))
 
 
 def again(words: np.ndarray, bits: int, many: int) -> tuple[np.ndarray, np.ndarray]:
     """Hashes and places as `distinct` gave them, when it found so many rows; no row is compared if as many hashes differ."""
     key = mixed(words, bits)
-    order = np.argsort(key)
-    keys = key[order]
+    order, keys = by_hash(key)
     fresh = np.concatenate([np.ones(min(1, len(keys)), bool), keys[1:] != keys[:-1]])
     if int(fresh.sum()) != many:
         return distinct(words, bits, key)[1:3]
@@ -268,31 +320,24 @@ class Zone:
         self.rows = ordered(rows, "h", "g", "at")
         self.raw, self.borders = as_bytes(self.rows.column("body").combine_chunks())
         self.length, self.bits, n = length, bits, len(self.raw)
-        sizes = np.diff(self.borders)
-        within = np.arange(n, dtype=np.int32) - np.repeat(self.borders[:-1].astype(np.int32), sizes)
-        left = np.repeat(sizes.astype(np.int32), sizes) - within
-        wanted = np.zeros(STEP, bool)
-        wanted[cover(STEP)] = True
-        self.at = np.flatnonzero(np.resize(wanted, int(sizes.max(initial=0)))[within] & (left >= STEP))
-        self.within, self.left = within[self.at], left[self.at]
-        self.place = np.full(n + length, -1, np.int32)
-        self.place[self.at] = np.arange(len(self.at), dtype=np.int32)
+        self.within, part = on_cover(np.diff(self.borders), STEP, STEP)
+        self.at, self.left = self.borders[part] + self.within, np.diff(self.borders)[part] - self.within
         #: Eight bytes from each position, with eight of nothing before the first.
         self.view = np.ndarray((n + length + 16,), "<u8", bytes(8) + self.raw.tobytes() + bytes(length + 16), strides=(1,))
         self.names = self.view[self.at + 8] & np.uint64((1 << 8 * STEP) - 1)
         self.hot = np.zeros(len(self.at), bool)
 
     def triples(self, level: tuple[int, tuple[int, ...], int], first: bool) -> tuple[np.ndarray, np.ndarray]:
-        """Samples that can be named at a level, and the names that make up theirs."""
+        """Samples that can be named at a level, and the names that make up theirs; each STEP bytes of a region hold as many samples."""
         size, offsets, over = level
         own = np.flatnonzero(self.left >= size)
-        parts = [self.names[self.place[self.at[own] + o]] for o in offsets]
+        parts = [self.names[own + o // STEP * len(cover(STEP))] for o in offsets]
         if not first:
             alive = np.logical_and.reduce([p > 0 for p in parts])
             own, parts = own[alive], [p[alive] for p in parts]
         if over:
             parts.append(self.view[self.at[own] + 8 + size - over] & np.uint64((1 << 8 * over) - 1))
-        return own, np.stack(parts, 1) if len(own) else np.zeros((0, len(parts)), np.uint64)
+        return own, np.stack(parts).T
 
     def take(self, own: np.ndarray, words: np.ndarray, ranks: pa.Table, buckets: int) -> None:
         """Name the samples by the ranks that came back; 0 stands for no name."""
@@ -324,17 +369,18 @@ class Zone:
         fits = np.zeros(len(own), np.uint64)
         for d in range(STEP):
             fits |= ((least <= d) & (d <= most)).astype(np.uint64) << np.uint64(48 + d)
-        words = np.stack([self.names[own], before | fits, behind], 1) if len(own) else np.zeros((0, 3), np.uint64)
-        words, own = words[fits > 0], own[fits > 0]
+        words = picked(np.stack([self.names[own], before | fits, behind]).T, fits > 0)
+        own = own[fits > 0]
         hot = self.hot[own]
-        sample, rows, keys = [own[~hot]], [words[~hot]], [mixed(words[~hot][:, :1], self.bits)]
+        sample, rows = [own[~hot]], [picked(words, ~hot)]
+        keys = [mixed(rows[0][:, :1], self.bits)]
         for d in range(STEP if hot.any() else 0):
             fit = hot & (words[:, 1] >> np.uint64(48 + d) & np.uint64(1) > 0)
-            part = np.stack([words[fit, 0], seen_before(words[fit, 1], d) | np.uint64(1 << 48 + d), seen_behind(words[fit, 2], d) | np.uint64(1 + d << 48)], 1)
+            part = np.stack([words[fit, 0], seen_before(words[fit, 1], d) | np.uint64(1 << 48 + d), seen_behind(words[fit, 2], d) | np.uint64(1 + d << 48)]).T
             sample.append(own[fit])
             rows.append(part)
             keys.append(mixed(part, self.bits))
-        return np.concatenate(sample), np.concatenate(rows), np.concatenate(keys)
+        return np.concatenate(sample), np.concatenate([x.T for x in rows], 1).T, np.concatenate(keys)
 
 
 def seen_before(word: np.ndarray, d: int) -> np.ndarray:
@@ -349,36 +395,39 @@ def seen_behind(word: np.ndarray, d: int) -> np.ndarray:
 
 def ranked(rows: pa.Table, words: int, bits: int, crowd: int) -> pa.Table:
     """Ranks from 1 of a bucket's strings that stand more than once, for each unit that sent them; others get 0."""
-    parts = [from_planes(x, words + 1) for x in rows.column("body").to_pylist()]
-    whole = np.concatenate(parts)
+    whole, sizes = all_planes(rows.column("body").to_pylist(), words + 1)
     _, _, place, _ = distinct(whole[:, :-1], bits)
     often = np.bincount(place, whole[:, -1].astype(float))
     rank = np.where(often > 1, np.cumsum(often > 1), 0).astype(np.uint32)
     if len(rank) >= int(_HOT):
         raise ValueError("too many strings in a bucket")
     rank[often > crowd] |= _HOT
-    return answered(rows, [x.tobytes() for x in apart(rank[place], parts)])
+    return answered(rows, [x.tobytes() for x in apart(rank[place], sizes)])
 
 
 def merged(rows: pa.Table, bits: int) -> pa.Table:
     """For each suffix the shifts, as bits, at which a neighbour of the same name has the same bytes around it."""
     if rows.column("bucket")[0].as_py() < 0:  # what a unit keeps
         return rows.select(["unit", "bucket", "body"])
-    parts = [from_planes(x, 3) for x in rows.column("body").to_pylist()]
-    words = np.concatenate(parts)
-    form, many = words[:, 2] >> np.uint64(48), words[:, 1] & _MANY > 0
-    out = np.zeros(len(words), np.uint8)
+    words, sizes = all_planes(rows.column("body").to_pylist(), 3)
+    many = words[:, 1] & _MANY > 0
+    words[:, 1] &= ~_MANY
+    words, _, place, _ = distinct(words, bits)
+    count = np.bincount(place, 1 + many)
+    form, fits = words[:, 2] >> np.uint64(48), (words[:, 1] >> np.uint64(48)).astype(np.uint8)
+    out = np.where(count > 1, fits, 0).astype(np.uint8)  # what stands again with all its bytes fits at all its shifts
+    some = np.flatnonzero(with_equals(*by_hash(mixed(words[:, :1], bits))))  # of names with different bytes around
     for d in range(STEP):
-        own = np.flatnonzero((words[:, 1] >> np.uint64(48 + d) & np.uint64(1) > 0) & ((form == 0) | (form == 1 + d)))
+        own = some[(fits[some] >> d & 1 > 0) & ((form[some] == 0) | (form[some] == 1 + d))]
         if not len(own):
             continue
         alone = form[own] > 0  # cut to its shift already
         before, behind = words[own, 1] & np.uint64((1 << 48) - 1), words[own, 2] & np.uint64((1 << 48) - 1)
-        key = np.stack([words[own, 0], np.where(alone, before, seen_before(before, d)), seen_behind(behind, d)], 1)
-        _, _, place, _ = distinct(key, bits)
-        often = np.bincount(place, 1 + many[own])
-        out[own] |= (often[place] > 1).astype(np.uint8) << d
-    return answered(rows, [x.tobytes() for x in apart(out, parts)])
+        key = np.stack([words[own, 0], np.where(alone, before, seen_before(before, d)), seen_behind(behind, d)]).T
+        _, _, at, _ = distinct(key, bits)
+        often = np.bincount(at, count[own])
+        out[own] |= (often[at] > 1).astype(np.uint8) << d
+    return answered(rows, [x.tobytes() for x in apart(out[place], sizes)])
 
 
 ROWS = "unit int, bucket int, body binary"
@@ -449,17 +498,20 @@ def repeated(left: DataFrame, length: int, bits: int, crowd: int) -> DataFrame:
             own, unit = named(rows, known, most), rows.column("unit")[0].as_py()
             if most < len(plan):
                 words, keys, _, often = distinct(own.triples(plan[most], most == 0)[1], bits)
-                words = np.concatenate([words, often[:, None].astype(np.uint64)], 1)
+                words, borders = np.concatenate([words.T, often[None].astype(np.uint64)]).T, bucket_borders(keys, buckets)
             else:
                 sample, words, keys = own.suffixes()
+                room = np.uint64(buckets.bit_length())  # for the bucket, above the hash of all words
+                keys = bucket_of(keys, buckets) << np.uint64(64) - room | mixed(words, bits) >> room
                 words, keys, place, often = distinct(words, bits, keys)
+                borders = np.searchsorted(keys >> np.uint64(64) - room, np.arange(buckets + 1, dtype=np.uint64))
                 words[often > 1, 1] |= _MANY
                 # Where each suffix stands and its place among those sent wait in a group of their own for the answers.
                 order = np.argsort(sample, kind="stable")
-                held = planes(np.stack([np.diff(own.at[sample[order]], prepend=0), place[order] + 1], 1)) if len(sample) else b""
+                held = b"".join(planes(np.stack([np.diff(own.at[sample[order]], prepend=0), place[order] + 1]).T, np.array([0, len(sample)])))
                 state = pa.table({"unit": pa.array([unit], pa.int32()), "bucket": pa.array([-1 - unit], pa.int32()), "body": pa.array([held], pa.binary())})
-                return pa.concat_tables([sent(unit, words, bucket_borders(keys, buckets)), state])
-            return sent(unit, words, bucket_borders(keys, buckets))
+                return pa.concat_tables([sent(unit, words, borders), state])
+            return sent(unit, words, borders)
 
         return run if most else lambda rows: run(rows, None)
 

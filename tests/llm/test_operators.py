@@ -7,6 +7,7 @@ import re
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -367,6 +368,27 @@ def test_suffix_sends_only_bytes_that_are_used():
     assert (np.concatenate([suffix.from_planes(x, 3) for x in sent.column("body").to_pylist()]) == words).all()
 
 
+def test_suffix_sorts_only_what_collides(monkeypatch):
+    """Rows whose hash others share are told apart by their words, and only these; repeats at all shifts need no search by shift."""
+    rng = np.random.default_rng(4)
+    words, key = rng.integers(0, 300, (4000, 2), dtype=np.uint64), np.arange(4000, dtype=np.uint64) << np.uint64(40)
+    words[2000:], key[2000:] = words[:2000], key[:2000]
+    key[[5, 2005]] = key[[9, 2009]]
+    met, lexsort = [], np.lexsort
+    monkeypatch.setattr(np, "lexsort", lambda keys: met.append(len(keys[0])) or lexsort(keys))
+    rows, _, place, often = suffix.distinct(words, 64, key)
+    assert (rows[place] == words).all() and often.tolist() == np.bincount(place).tolist() and len(rows) == 2000
+    assert sum(met) == 4
+    searched, found = [], suffix.distinct
+    monkeypatch.setattr(suffix, "distinct", lambda words, *a: searched.append(len(words)) or found(words, *a))
+    same = np.stack([np.arange(1, 1001), np.full(1000, 0x7F << 48 | 5), np.full(1000, 6)], 1).astype(np.uint64)
+    other = same.copy()
+    other[:10, 1] ^= np.uint64(5)  # another farthest byte before, which only the largest shift needs
+    sent = [suffix.sent(u, w, np.array([0, 1000])) for u, w in enumerate((same, same, other))]
+    out = [np.frombuffer(x, np.uint8).tolist() for x in suffix.merged(pa.concat_tables(sent), 64).column("body").to_pylist()]
+    assert out == [[0x7F] * 1000] * 2 + [[0x7F if w > 9 else 0x3F for w in range(1000)]] and sum(searched) <= 3000 + 7 * 20
+
+
 def test_suffix_of_a_long_text(spark):
     """A text above 10 MB with passages that repeat across the borders of its pieces."""
     raw = bytearray(np.random.default_rng(3).integers(97, 123, 11 << 20, dtype=np.uint8).tobytes())
