@@ -219,6 +219,31 @@ def test_sent_and_joined_traversals_agree(spark, ring, monkeypatch, how):
     assert sent == rows() and any(r[0] == 99 for r in sent) and any(r[3] < 0 for r in sent)
 
 
+def test_deep_search_takes_no_round_a_hop(spark, monkeypatch):
+    """On a connected graph of 102 564 vectors a search takes over 100 hops."""
+    g = tables.literal(spark, [(i, i + 1, 1.0) for i in range(40)])
+    pairs = spark.createDataFrame([(1, 0, 40, 40), (2, 40, 0, 1), (3, 5, 5, 0), (4, 99, 7, 1)], PAIR)
+    rounds = _counted_rounds(monkeypatch)
+    found = {(r.pair_id, r.rep): r.hits for r in mc.reach(g, pairs, 6, 1, 2).collect()}
+    assert found == {(p, rep): h for p, h in ((1, 6), (2, 0), (3, 6), (4, 0)) for rep in (0, 1)} and len(rounds) <= 2
+
+
+@pytest.mark.parametrize("how", [{"reps": 2}, {"max_hops": 2}])
+def test_sent_and_joined_searches_agree(spark, ring, monkeypatch, how):
+    g, pairs = ring
+    rows = lambda **more: sorted(map(tuple, mc.reach(g, pairs, 70, 3, **how, **more).collect()))
+    sent = rows()
+    assert sent == rows(early_stop=False) and any(0 < r[6] < 70 for r in sent)
+    monkeypatch.setattr(kernels, "MOST_EDGES", 0)
+    assert sent == rows()
+
+
+def test_coins_alike_in_spark_and_python(spark):
+    ids = [0, 7, -3, 1 << 62]
+    drawn = [r.c for r in spark.createDataFrame([(i,) for i in ids], "e long").select(coins.coin(5, F.lit(2), F.lit(31), "e").alias("c")).collect()]
+    assert drawn == coins.coins_of(ids, 5, 2, 31).tolist() and len(coins.coins_of([], 5)) == 0
+
+
 def test_refresh(spark, ring):
     g, _ = ring
     bits = lambda df: {(r.edge_id, r.word): r.bits for r in df.collect()}
