@@ -253,6 +253,46 @@ def test_refresh(spark, ring):
     assert all(part[k] == (other if k[0] == 0 else first)[k] for k in first)
 
 
+@pytest.mark.parametrize("seed", [1, 1 << 40])
+def test_fast_index_holds_the_fast_coins(spark, seed):
+    rows = [(0, 1, 2, 0.5), (-5, 2, 3, 0.01), (1 << 40, 3, 4, 1.0), (7 << 33, 4, 5, 1 - 2.0**-53), (9, 5, 6, 2.0**-60), (11, 6, 7, 0.0)]
+    rows += [(100 + i, i, i + 1, i / 1300) for i in range(1, 1300)]  # over two slices
+    g = UncertainGraph(spark.createDataFrame(rows, "edge_id long, src long, dst long, prob double").coalesce(1))
+    for worlds in (1, 64, 150):
+        index = {(r.edge_id, r.src, r.dst, r.word): (r.bits & (1 << 64) - 1, r.epoch) for r in bitmap.build(g, worlds, seed, 3, fast=True).collect()}
+        each = g.edges.withColumn("world", F.explode(F.sequence(F.lit(0), F.lit(worlds - 1))))
+        expected = {(*r[:3], w): (0, 3) for r in rows for w in range(-(-worlds // 64))}
+        for r in each.where(coins.coin(seed, F.lit(3), "world", "edge_id", fast=True) < F.col("prob")).collect():
+            key = (r.edge_id, r.src, r.dst, r.world // 64)
+            expected[key] = (expected[key][0] | 1 << r.world % 64, 3)
+        assert index == expected
+
+
+def test_refresh_cost_draws_the_whole_index_for_each_of_1000_queries(spark, small, monkeypatch):
+    """Every refresh has all edges, 1500 worlds and an epoch of its own, and counts in the mean."""
+    drawn, edges = [], set()
+
+    def build(g, worlds, epoch, fast):
+        edges.add(g)
+        drawn.append((worlds, epoch))
+
+    monkeypatch.setattr(bitmap, "build", build)
+    monkeypatch.setattr(experiments, "timed", lambda frame: float(len(drawn)))
+    (row,) = workloads.QUERIES["refresh_cost"](spark, small).collect()
+    assert len(drawn) == len({e for _, e in drawn}) == 1000 and {w for w, _ in drawn} == {1500}
+    assert tuple(row) == (1000, 1500, 500.5)
+    (g,) = edges
+    assert sorted(map(tuple, g.edges.collect())) == sorted(map(tuple, graphs.nearest(spark, small).edges.collect()))
+
+
+def test_refresh_cost_works_every_refresh_out(spark, ring, monkeypatch):
+    found = []
+    monkeypatch.setattr(experiments, "touch", lambda frame: found.append([(r.epoch, r.word) for r in frame.collect()]))
+    assert experiments.refresh_cost(ring[0], 3, 130).first()[:2] == (3, 130)
+    n = ring[0].edges.count()
+    assert [sorted(rows) for rows in found] == [sorted([(e, w) for w in range(3)] * n) for e in (1, 2, 3)]
+
+
 def test_level_form_agrees(spark, ring):
     g, pairs = ring
     got = {r.pair_id: r.r_hat for r in strata.reach(g, pairs, 3000, r=3, leaf=30).collect()}
